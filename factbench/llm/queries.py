@@ -23,6 +23,13 @@ def op2_mixture(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mix(slim, "size").select("doc_id", "size", "source_size", "target", "taken")
 
 
+def op4_repeat_windows(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from factbench.llm.repeat_windows import remove_repeats
+
+    out = remove_repeats(_table(spark, sf_dir, "documents"), window=13)
+    return out.select("doc_id", "n_words", "n_removed", F.sha2("kept", 256).alias("kept_sha256"))
+
+
 def op5_url_templates(spark: SparkSession, sf_dir: str) -> DataFrame:
     from factbench.llm.url_templates import judge
 
@@ -41,6 +48,12 @@ def op6_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     return coded.select("doc_id", F.floor(F.length("ids") / 4).alias("n_tokens"), F.sha2("ids", 256).alias("ids_sha256"), F.sha2("decoded", 256).alias("decoded_sha256"))
 
 
+def op7_token_groups(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from factbench.llm.token_groups import link_groups
+
+    return link_groups(_table(spark, sf_dir, "documents"), words=4, threshold=85)
+
+
 def op8_perspectives(spark: SparkSession, sf_dir: str) -> DataFrame:
     from factbench.llm.perspectives import rotate
 
@@ -58,8 +71,10 @@ def op10_bin_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 QUERIES: dict[str, Query] = {
     "op2_mixture": op2_mixture,
+    "op4_repeat_windows": op4_repeat_windows,
     "op5_url_templates": op5_url_templates,
     "op6_byte_bpe": op6_byte_bpe,
+    "op7_token_groups": op7_token_groups,
     "op8_perspectives": op8_perspectives,
     "op10_bin_shards": op10_bin_shards,
 }
