@@ -14,6 +14,13 @@ def _table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+def op1_curve_search(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from factbench.llm.curve_search import search
+
+    vectors = _table(spark, sf_dir, "embeddings")
+    return search(vectors, vectors.filter("vec_id % 20 = 0"))
+
+
 def op2_mixture(spark: SparkSession, sf_dir: str) -> DataFrame:
     from factbench.llm.common import stored
     from factbench.llm.mixture import count_words, mix
@@ -23,6 +30,16 @@ def op2_mixture(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mix(slim, "size").select("doc_id", "size", "source_size", "target", "taken")
 
 
+def op3_kernel_langid(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from factbench.llm.kernel_langid import predict, train
+
+    docs = _table(spark, sf_dir, "documents").select("doc_id", "text", "lang")
+    held_out = F.coalesce(F.pmod(F.crc32(F.col("doc_id").cast("string").cast("binary")), F.lit(4)) == 2, F.lit(False))
+    model = train(docs, ~held_out)
+    out = predict(docs.select("doc_id", "text"), model, carry=["doc_id"])
+    return out.select("doc_id", held_out.alias("held_out"), "lang_pred", "score")
+
+
 def op4_repeat_windows(spark: SparkSession, sf_dir: str) -> DataFrame:
     from factbench.llm.repeat_windows import remove_repeats
 
@@ -62,6 +79,12 @@ def op8_perspectives(spark: SparkSession, sf_dir: str) -> DataFrame:
     return out.withColumn("masks", masks)
 
 
+def op9_multi_index(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from factbench.llm.multi_index import near_groups
+
+    return near_groups(_table(spark, sf_dir, "embeddings"), threshold=0.9)
+
+
 def op10_bin_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
     from factbench.llm.bin_shards import shard
 
@@ -69,14 +92,24 @@ def op10_bin_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
     return rows.select("doc_id", "size", "text_crc32", F.lit("bytes").alias("law"), "shard", "slot", F.lit(None).cast("int").alias("grown_shard"))
 
 
+def pipeline(spark: SparkSession, sf_dir: str) -> DataFrame:
+    import corpus_pipeline
+
+    return corpus_pipeline.run(spark, sf_dir).withColumn("ids", F.sha2("ids", 256)).withColumnRenamed("ids", "ids_sha256")
+
+
 QUERIES: dict[str, Query] = {
+    "op1_curve_search": op1_curve_search,
     "op2_mixture": op2_mixture,
+    "op3_kernel_langid": op3_kernel_langid,
     "op4_repeat_windows": op4_repeat_windows,
     "op5_url_templates": op5_url_templates,
     "op6_byte_bpe": op6_byte_bpe,
     "op7_token_groups": op7_token_groups,
     "op8_perspectives": op8_perspectives,
+    "op9_multi_index": op9_multi_index,
     "op10_bin_shards": op10_bin_shards,
+    "pipeline": pipeline,
 }
 
 ORACLES: dict[str, str] = {

@@ -107,7 +107,7 @@ def _window_rows(seed: int, window: int):
     return run
 
 
-def _cut(window: int):
+def _cut(window: int, names: list[str]):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for at in range(0, batch.num_rows, 1024):
@@ -130,8 +130,7 @@ def _cut(window: int):
                     removed.append(gone)
                     kept.append(b" ".join(words_kept))
                 yield pa.RecordBatch.from_arrays(
-                    [part.column(0), pa.array(totals, pa.int64()), pa.array(removed, pa.int64()), pa.array(kept, pa.binary()), part.column(1)],
-                    names=["doc_id", "n_words", "n_removed", "kept", "text"],
+                    [part.column(0), pa.array(totals, pa.int64()), pa.array(removed, pa.int64()), pa.array(kept, pa.binary()), part.column(1), *part.columns[3:]], names=names
                 )
 
     return run
@@ -154,20 +153,23 @@ def repeated_windows(docs: DataFrame, window: int = 13, key: str = "doc_id", tex
     return rows.filter("sure").select("doc_id", "starts").unionByName(open_rows).groupBy("doc_id").agg(F.flatten(F.collect_list("starts")).alias("starts"))
 
 
-def remove_repeats(docs: DataFrame, window: int = 13, key: str = "doc_id", text: str = "text") -> DataFrame:
+def remove_repeats(docs: DataFrame, window: int = 13, key: str = "doc_id", text: str = "text", carry: list[str] | None = None) -> DataFrame:
     """(doc_id, n_words, n_removed, kept, text): each whole text without the words that repeated windows cover.
 
     A window is ``window`` consecutive words of one document; it counts as repeated if its words also start in a
     document with a smaller id, judged on the input. ``kept`` has the other words, joined by one space, and
     ``text`` the input. Null and empty texts have no words. Rows with a null id keep all words and take no part.
     Repeated rows (same id, same text) are one document and each lose the same words; an empty table gives an
-    empty table; further columns are left out.
+    empty table; further columns are left out but for those in ``carry``, whose names may not clash with these.
     """
     found = repeated_windows(docs, window, key, text).withColumnRenamed("doc_id", "_doc")
-    whole = docs.select(F.col(key).cast("long").alias("doc_id"), F.col(text).cast("binary").alias("text"))
-    joined = whole.join(found, whole["doc_id"] == found["_doc"], "left").select("doc_id", "text", "starts")
-    out = joined.mapInArrow(_cut(window), "doc_id long, n_words long, n_removed long, kept binary, text binary")
-    return out.select("doc_id", "n_words", "n_removed", F.col("kept").cast("string").alias("kept"), F.col("text").cast("string").alias("text"))
+    more = carry or []
+    whole = docs.select(F.col(key).cast("long").alias("doc_id"), F.col(text).cast("binary").alias("text"), *more)
+    joined = whole.join(found, whole["doc_id"] == found["_doc"], "left").select("doc_id", "text", "starts", *more)
+    names = ["doc_id", "n_words", "n_removed", "kept", "text", *more]
+    kinds = ", ".join(f"`{c}` {docs.schema[c].dataType.simpleString()}" for c in more)
+    out = joined.mapInArrow(_cut(window, names), "doc_id long, n_words long, n_removed long, kept binary, text binary" + (f", {kinds}" if more else ""))
+    return out.withColumns({c: F.col(c).cast("string") for c in ("kept", "text")})
 
 
 def _longer(window: int):
