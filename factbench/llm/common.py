@@ -8,6 +8,7 @@ import uuid
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute  # noqa: F401  makes pa.compute available
 import xxhash
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -54,6 +55,12 @@ def release() -> None:
 atexit.register(release)
 
 
+def without_ids(df: DataFrame, ids: DataFrame, key: str, most: int = 2_000_000) -> DataFrame:
+    """Rows of ``df`` whose ``key`` isn't in the stored one-column table ``ids``; as ``keep_ids``."""
+    small = ids.count() <= most
+    return df.join(F.broadcast(ids) if small else ids, key, "left_anti")
+
+
 def keep_ids(df: DataFrame, ids: DataFrame, key: str, most: int = 2_000_000) -> DataFrame:
     """Rows of ``df`` whose ``key`` is in the stored one-column table ``ids``: broadcast up to ``most`` ids, a shuffle beyond."""
     small = ids.count() <= most
@@ -84,7 +91,7 @@ def running_sum(df: DataFrame, keys: list[str], bucket: str, order: list[Column]
 class _WordHashes(dict):
     """64-bit hashes of words; forgets all when full, so that memory stays bounded."""
 
-    most = 400_000
+    most = 150_000
 
     def __missing__(self, word: bytes) -> int:
         if len(self) >= self.most:
@@ -121,11 +128,23 @@ def run_hashes(hashes: np.ndarray, length: int) -> np.ndarray:
     return out
 
 
-OWNED = "token long, lo long, hi long, owners array<long>"
+def text_slices(batches, place: int = 1, most: int = 8 << 20):
+    """Batches cut so that the texts in column ``place`` of each part add up to about ``most`` bytes."""
+    for batch in batches:
+        ends = np.asarray(pa.compute.cumulative_sum(pa.compute.fill_null(pa.compute.binary_length(batch.column(place)), 0).cast(pa.int64())))
+        start = 0
+        while start < batch.num_rows:
+            done = ends[start - 1] if start else 0
+            stop = max(start + 1, int(np.searchsorted(ends, done + most, "right")))
+            yield batch.slice(start, stop - start)
+            start = stop
+
+
+OWNED = "token long, owner long, owners array<long>"
 
 
 def owned_batch(tokens: list[np.ndarray], owners: list[int]) -> pa.RecordBatch:
-    """A row per distinct token of a batch: smallest and largest owner, and all owners if there are several.
+    """A row per distinct token of a batch: its smallest owner, and all owners if there are several.
 
     This is the map-side combination that keeps a token of a third of all documents to a row per batch.
     """
@@ -141,26 +160,19 @@ def owned_batch(tokens: list[np.ndarray], owners: list[int]) -> pa.RecordBatch:
     values = owner[np.repeat(many, last - first)] if len(token) else owner
     lists = pa.ListArray.from_arrays(pa.array(offsets), pa.array(values), mask=pa.array(~many))
     return pa.RecordBatch.from_arrays(
-        [pa.array(token[first].view(np.int64)), pa.array(owner[first]), pa.array(owner[last - 1]), lists],
-        names=["token", "lo", "hi", "owners"],
+        [pa.array(token[first].view(np.int64)), pa.array(owner[first]), lists], names=["token", "owner", "owners"]
     )
 
 
 def shared_tokens(rows: DataFrame) -> DataFrame:
     """(token, owner) for every token of OWNED rows that two or more owners have.
 
-    One shuffle: the grouping and the semi-join read the same exchange, as both need all four columns.
+    A semi-join of the rows with themselves: both sides need the same columns and read one exchange, a hot token
+    has a row per batch, and skewed partitions can be split.
     """
-    dealt = rows.repartition("token")
-    several = (
-        dealt.groupBy("token")
-        .agg(F.min("lo").alias("_lo"), F.max("hi").alias("_hi"), F.count("owners").alias("_lists"))
-        .filter("_lo < _hi or _lists < 0")
-        .select("token")
-    )
-    return dealt.join(several.hint("shuffle_hash"), "token", "left_semi").select(
-        "token", F.explode(F.when(F.col("owners").isNull() & (F.col("lo") <= F.col("hi")), F.array("lo")).otherwise(F.col("owners"))).alias("owner")
-    )
+    another = (F.col("a.token") == F.col("b.token")) & ((F.col("a.owner") != F.col("b.owner")) | F.col("b.owners").isNotNull())
+    kept = rows.alias("a").join(rows.alias("b").hint("merge"), another, "left_semi")
+    return kept.select("token", F.explode(F.coalesce("owners", F.array("owner"))).alias("owner"))
 
 
 def valid_vector(column: str) -> Column:

@@ -1,7 +1,7 @@
 """Substring dedup by level-wise doubling.
 
 Level one looks at windows of half the length, and of those only at anchors: each full window names the least
-hash among its half windows, so that equal windows name equal anchors and a quarter of all positions suffices.
+hash among its half windows, so that equal windows name equal anchors and fewer than a quarter of all places do.
 Anchors that a single document has die here. Only around survivors are windows of full length formed and
 compared; further doublings (``longest``) again extend survivors alone. Every level counts over all documents.
 """
@@ -16,7 +16,7 @@ from numpy.lib.stride_tricks import sliding_window_view
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from factbench.llm.common import OWNED, owned_batch, run_hashes, shared_tokens, stored, word_hashes
+from factbench.llm.common import OWNED, owned_batch, run_hashes, shared_tokens, stored, text_slices, without_ids, word_hashes
 
 
 def _anchored(hashes: np.ndarray, seed: int, window: int) -> tuple[np.ndarray, np.ndarray]:
@@ -30,7 +30,7 @@ def _anchored(hashes: np.ndarray, seed: int, window: int) -> tuple[np.ndarray, n
 
 def _seed_rows(seed: int, window: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in text_slices(batches):
             tokens, owners = [], []
             for doc, text in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
                 if doc is None or not text:
@@ -45,7 +45,7 @@ def _seed_rows(seed: int, window: int):
     return run
 
 
-WINDOWS = "win long, doc_id long, starts array<int>, sure boolean"
+WINDOWS = "win long, doc_id long, pos int, starts array<int>, sure boolean"
 
 
 def _pairs(starts: np.ndarray) -> np.ndarray:
@@ -71,23 +71,28 @@ def _window_batch(win: np.ndarray, doc: np.ndarray, pos: np.ndarray) -> pa.Recor
         flags.append(True)
     w, d, p = win[~sure], doc[~sure], pos[~sure]
     first = np.flatnonzero(np.r_[True, w[1:] != w[:-1]]) if len(w) else np.empty(0, np.int64)
-    values = np.stack([p, np.ones_like(p)], axis=1).ravel()
-    lengths = np.r_[[len(x) for x in lists], 2 * np.diff(np.r_[first, len(w)])].astype(np.int64)
-    starts = pa.ListArray.from_arrays(pa.array(np.r_[0, np.cumsum(lengths)].astype(np.int32)), pa.array(np.concatenate([*lists, values]).astype(np.int32)))
+    # most windows start once in their document: those need no list
+    times = np.diff(np.r_[first, len(w)])
+    many = np.repeat(times > 1, times)
+    values = np.stack([p[many], np.ones(int(many.sum()), np.int64)], axis=1).ravel()
+    lengths = np.r_[[len(x) for x in lists], np.where(times > 1, 2 * times, 0)].astype(np.int64)
+    single = np.r_[np.zeros(len(lists), bool), times == 1]
+    starts = pa.ListArray.from_arrays(pa.array(np.r_[0, np.cumsum(lengths)].astype(np.int32)), pa.array(np.concatenate([*lists, values]).astype(np.int32)), mask=pa.array(single))
     return pa.RecordBatch.from_arrays(
         [
             pa.array(np.r_[np.array(wins, np.int64), w[first].view(np.int64)]),
             pa.array(np.r_[np.array(docs, np.int64), d[first]]),
+            pa.array(np.r_[np.full(len(docs), -1), p[first]].astype(np.int32)),
             starts,
             pa.array(np.r_[np.ones(len(flags), bool), np.zeros(len(first), bool)]),
         ],
-        names=["win", "doc_id", "starts", "sure"],
+        names=["win", "doc_id", "pos", "starts", "sure"],
     )
 
 
 def _window_rows(seed: int, window: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in text_slices(batches):
             wins, docs, places = [], [], []
             alive = batch.column(2)
             for i, (doc, text) in enumerate(zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True)):
@@ -109,29 +114,25 @@ def _window_rows(seed: int, window: int):
 
 def _cut(window: int, names: list[str]):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            for at in range(0, batch.num_rows, 1024):
-                part = batch.slice(at, 1024)
-                totals, removed, kept = [], [], []
-                for text, starts in zip(part.column(1).to_pylist(), part.column(2), strict=True):
-                    words = text.split() if text else []
-                    gone = 0
-                    if starts.is_valid and words:
-                        runs = np.asarray(starts.values).reshape(-1, 2)
-                        edge = np.zeros(len(words) + 1, np.int64)
-                        np.add.at(edge, runs[:, 0], 1)
-                        np.add.at(edge, runs[:, 0] + runs[:, 1] - 1 + window, -1)
-                        stays = np.cumsum(edge[:-1]) == 0
-                        gone = len(words) - int(stays.sum())
-                        words_kept = [w for w, s in zip(words, stays.tolist(), strict=True) if s] if gone else words
-                    else:
-                        words_kept = words
-                    totals.append(len(words))
-                    removed.append(gone)
-                    kept.append(b" ".join(words_kept))
-                yield pa.RecordBatch.from_arrays(
-                    [part.column(0), pa.array(totals, pa.int64()), pa.array(removed, pa.int64()), pa.array(kept, pa.binary()), part.column(1), *part.columns[3:]], names=names
-                )
+        for part in text_slices(batches):
+            totals, removed, kept = [], [], []
+            for text, starts in zip(part.column(1).to_pylist(), part.column(2), strict=True):
+                words = text.split() if text else []
+                gone, last = 0, len(words) - window + 1
+                if starts.is_valid and last > 0:
+                    runs = np.asarray(starts.values).reshape(-1, 2)
+                    edge = np.zeros(len(words) + 1, np.int64)
+                    np.add.at(edge, runs[:, 0], 1)
+                    np.add.at(edge, np.minimum(runs[:, 0] + runs[:, 1], last) - 1 + window, -1)
+                    stays = np.cumsum(edge[:-1]) == 0
+                    gone = len(words) - int(stays.sum())
+                    words = [w for w, s in zip(words, stays.tolist(), strict=True) if s] if gone else words
+                totals.append(len(words) + gone)
+                removed.append(gone)
+                kept.append(b" ".join(words))
+            yield pa.RecordBatch.from_arrays(
+                [part.column(0), pa.array(totals, pa.int64()), pa.array(removed, pa.int64()), pa.array(kept, pa.binary()), part.column(1), *part.columns[3:]], names=names
+            )
 
     return run
 
@@ -141,16 +142,25 @@ def repeated_windows(docs: DataFrame, window: int = 13, key: str = "doc_id", tex
 
     ``starts`` are runs: first word, number of starts, and so on. Documents without any don't appear.
     """
-    seed = -(-window // 2)
+    seed = max(1, window // 2)
     whole = docs.select(F.col(key).cast("long").alias("doc_id"), F.col(text).cast("binary").alias("text"))
+    # equal texts: all windows of all but the first repeat, and only the first goes on
+    same = whole.filter("doc_id is not null").select("doc_id", F.md5("text").alias("same"))
+    first = same.groupBy("same").agg(F.min("doc_id").alias("first"), F.max("doc_id").alias("last")).filter("first < last").drop("last")
+    copies = stored(same.join(first, "same").filter("doc_id > first").select("doc_id").distinct())
+    whole = without_ids(whole, copies, "doc_id")
     anchors = shared_tokens(whole.mapInArrow(_seed_rows(seed, window), OWNED))
-    alive = anchors.groupBy(F.col("owner").alias("_doc")).agg(F.collect_list("token").alias("alive"))
+    alive = stored(anchors.groupBy("owner").agg(F.collect_list("token").alias("alive")).withColumnRenamed("owner", "_doc"))
+    if alive.count() <= 2_000_000:  # a short list keeps other texts out of the shuffle
+        whole = whole.join(F.broadcast(alive.select(F.col("_doc").alias("doc_id"))), "doc_id", "left_semi")
     near = whole.join(alive, whole["doc_id"] == alive["_doc"]).select("doc_id", "text", "alive")
-    # stored, as the comparison below reads it twice
     rows = stored(near.mapInArrow(_window_rows(seed, window), WINDOWS))
-    least = rows.filter("not sure").groupBy("win").agg(F.min("doc_id").alias("least"), F.max("doc_id").alias("most")).filter("least < most").drop("most")
-    open_rows = rows.filter("not sure").join(least, "win").filter("doc_id > least").select("doc_id", "starts")
-    return rows.filter("sure").select("doc_id", "starts").unionByName(open_rows).groupBy("doc_id").agg(F.flatten(F.collect_list("starts")).alias("starts"))
+    # a window stays if a smaller document has it; sure ones meet themselves. Both sides read one exchange.
+    smaller = F.col("a.sure") | (F.col("b.doc_id") < F.col("a.doc_id")) & ~F.col("b.sure") & ((F.col("b.pos") >= 0) | F.col("b.starts").isNotNull())
+    found = rows.alias("a").join(rows.alias("b").hint("merge"), (F.col("a.win") == F.col("b.win")) & smaller, "left_semi")
+    runs = F.coalesce("starts", F.array("pos", F.lit(1)))
+    starts = found.groupBy("doc_id").agg(F.flatten(F.collect_list(runs)).alias("starts"))
+    return starts.unionByName(copies.select("doc_id", F.array(F.lit(0), F.lit(1 << 30)).alias("starts")))
 
 
 def remove_repeats(docs: DataFrame, window: int = 13, key: str = "doc_id", text: str = "text", carry: list[str] | None = None) -> DataFrame:
@@ -221,7 +231,7 @@ def longest(docs: DataFrame, window: int = 13, key: str = "doc_id", text: str =
 
 
 def _everywhere(whole: DataFrame, window: int) -> DataFrame:
-    seed = -(-window // 2)
+    seed = max(1, window // 2)
     anchors = shared_tokens(whole.mapInArrow(_seed_rows(seed, window), OWNED)).groupBy(F.col("owner").alias("_doc")).agg(F.collect_list("token").alias("alive"))
     near = whole.join(anchors, F.col("doc_id") == F.col("_doc")).select("doc_id", "text", "alive")
 
