@@ -15,7 +15,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from factbench.llm.common import matrix, stored, valid_vector
-from factbench.llm.components import connected
+from factbench.llm.components import connected, spanning
 
 
 def unit(vectors: np.ndarray) -> np.ndarray:
@@ -102,21 +102,6 @@ def _visit_rows(grid):
 MET = "rep long, links long, other long"
 
 
-def _spanning(a: np.ndarray, b: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """For links a-b: each node with the least node it reaches through them."""
-    nodes, flat = np.unique(np.r_[a, b], return_inverse=True)
-    i, j = flat[: len(a)], flat[len(a) :]
-    label = np.arange(len(nodes))
-    while True:
-        new = label.copy()
-        np.minimum.at(new, i, label[j])
-        np.minimum.at(new, j, label[i])
-        new = new[new]
-        if (new == label).all():
-            return nodes, nodes[label]
-        label = new
-
-
 def _verified(threshold: float):
     def run(left: pa.Table, right: pa.Table) -> pa.Table:
         reps, links, others = [np.empty(0, np.int64)], [np.empty(0, np.int64)], [np.empty(0, np.int64)]
@@ -141,7 +126,7 @@ def _verified(threshold: float):
                 reps.append(p_ids[at + some])
                 links.append(mine[some])
                 others.append(p_ids[at + some])
-                nodes, least = _spanning(p_ids[i], ids[j])
+                nodes, least = spanning(p_ids[i], ids[j])
                 reps.append(nodes)
                 links.append(np.zeros(len(nodes), np.int64))
                 others.append(least)
