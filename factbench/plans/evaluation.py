@@ -142,9 +142,9 @@ def ensemble_spread_quantiles(spark, d):
 _VALUES = ", ".join(f"('{s}', {n}, {a}::DOUBLE, {b}::DOUBLE, {c}::DOUBLE, {e}::DOUBLE, TIMESTAMP '{t}')" for s, n, a, b, c, e, t in derived.SYSTEMS)
 PRED = f"""systems(system, number, before_, after_, searched, noise, cutoff) AS (VALUES {_VALUES}),
 pred0 AS (SELECT s.system, a.search, o_orderkey AS claim_id, o_orderdate AS claim_ts, CAST(date_trunc('quarter', o_orderdate) AS DATE) AS quarter, CASE WHEN (o_orderkey * 104729) % 2 = 0 THEN 1.0::DOUBLE ELSE -1.0::DOUBLE END AS truth, o_custkey % 5 < 2 AS english, s.cutoff,
-  CASE WHEN a.search THEN searched WHEN o_orderdate < cutoff THEN before_ ELSE after_ END AS fit, (((o_orderkey + number * 31 + CASE WHEN a.search THEN 17 ELSE 0 END) * 7919) % 2001 - 1000) / 1000.0::DOUBLE * noise AS dev
+  CASE WHEN a.search THEN searched WHEN o_orderdate < cutoff THEN before_ ELSE after_ END AS fit, (((o_orderkey + number * 31 + CASE WHEN a.search THEN 17 ELSE 0 END) * 7919) % 2001 - 1000) / 997.0::DOUBLE * noise AS dev
   FROM orders, systems s, (VALUES (false), (true)) a(search)),
-pred AS (SELECT system, search, claim_id, claim_ts, quarter, truth, english, cutoff, round(greatest(-1.0::DOUBLE, least(1.0::DOUBLE, truth * fit + dev - 0.05::DOUBLE)), 6) AS score FROM pred0)"""
+pred AS (SELECT system, search, claim_id, claim_ts, quarter, truth, english, cutoff, round(greatest(-1.0::DOUBLE, least(1.0::DOUBLE, truth * fit + dev - 0.05::DOUBLE)), 9) AS score FROM pred0)"""
 LATEST = f"{PRED}, late AS (SELECT * FROM pred WHERE quarter = (SELECT max(quarter) FROM pred)), board AS (SELECT system, search, {_m()} FROM late GROUP BY 1, 2)"
 
 

@@ -71,9 +71,9 @@ def predictions(spark: SparkSession, folder: str) -> DataFrame:
     arms = F.broadcast(systems(spark).withColumn("search", F.explode(F.array(F.lit(False), F.lit(True)))))
     fit = F.when(F.col("search"), F.col("searched")).when(F.col("claim_ts") < F.col("cutoff"), F.col("before")).otherwise(F.col("after"))
     turn = F.col("number") * 31 + F.when(F.col("search"), 17).otherwise(0)
-    noise = (((F.col("claim_id") + turn) * 7919) % 2001 - 1000) / 1000.0 * F.col("noise")
+    noise = (((F.col("claim_id") + turn) * 7919) % 2001 - 1000) / 997.0 * F.col("noise")
     # a score leans to the bad class, as most systems' scores do
-    score = F.round(clip(F.col("truth") * fit + noise - 0.05), 6)
+    score = F.round(clip(F.col("truth") * fit + noise - 0.05), 9)  # odd fractions: means have no rounding ties
     return base.crossJoin(arms).select("system", "search", "claim_id", "claim_ts", "quarter", "truth", "english", "cutoff", score.alias("score"))
 
 
