@@ -46,8 +46,8 @@ def clip(score: Column | str) -> Column:
 
 
 def flip_equivalent(mse: Column | str) -> Column:
-    """How many perfect ratings go with one full flip at this squared error."""
-    return FLIP / _c(mse)
+    """How many perfect ratings go with one full flip at this squared error; null for no error."""
+    return F.try_divide(F.lit(FLIP), _c(mse))
 
 
 def band(mse: Column | str) -> Column:

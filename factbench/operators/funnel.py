@@ -34,7 +34,7 @@ def union(parts: list[DataFrame]) -> DataFrame:
 def cumulative(kept: DataFrame) -> DataFrame:
     """End-to-end yield from (step, stage, entered, kept): the product of stage yields so far."""
     over = Window.orderBy("step").rowsBetween(Window.unboundedPreceding, 0)
-    return kept.withColumn("stage_yield", F.round(F.col("kept") / F.col("entered"), 6)).withColumn("total_yield", F.round(F.exp(F.sum(F.log(F.col("kept") / F.col("entered"))).over(over)), 6))
+    return kept.withColumn("stage_yield", F.round(F.try_divide("kept", "entered"), 6)).withColumn("total_yield", F.round(F.exp(F.sum(F.log(F.try_divide("kept", "entered"))).over(over)), 6))
 
 
 def calls(kept: DataFrame, per_record: dict[str, int]) -> DataFrame:
