@@ -65,6 +65,15 @@ class RoomTree:
         self.root = self._merge(low, high)
         return node[0]
 
+    def take_roomiest(self) -> tuple[int, int]:
+        """Remove and return the (room, bin) with the most room."""
+        node = self.root
+        while node[3]:
+            node = node[3]
+        key = node[0]
+        self.root = self._split(self.root, key)[0]
+        return key
+
 
 def best_fit(sizes: list[int], capacity: int, most: int | None = None) -> list[int] | None:
     """The bin of each item when items, largest first, enter the tightest bin; new bins open as needed.
@@ -84,8 +93,23 @@ def best_fit(sizes: list[int], capacity: int, most: int | None = None) -> list[i
     return out
 
 
+def spilled(sizes: list[int], capacity: int, bins: int) -> list[int]:
+    """Best fit into a fixed number of bins; an item that fits nowhere goes to the roomiest."""
+    tree, out = RoomTree(), [0] * len(sizes)
+    for b in range(bins):
+        tree.add(capacity, b)
+    for i in sorted(range(len(sizes)), key=lambda i: (-sizes[i], i)):
+        room, out[i] = tree.take(sizes[i]) or tree.take_roomiest()
+        tree.add(room - sizes[i], out[i])
+    return out
+
+
 def near_equal(sizes: list[int], shards: int) -> list[int]:
-    """Best fit at the least capacity that ``shards`` bins allow; items above an even share get bins of their own first."""
+    """Bins of nearly equal load: items above an even share get bins of their own, the others go by best fit.
+
+    Two packings are made, at the least capacity that the bins allow and at an even share with spilling; the
+    more even one is taken.
+    """
     order = sorted(range(len(sizes)), key=lambda i: (-sizes[i], i))
     out, alone, left = [0] * len(sizes), 0, sum(sizes)
     while alone < min(len(order), shards - 1) and sizes[order[alone]] * (shards - alone) > left:
@@ -97,11 +121,10 @@ def near_equal(sizes: list[int], shards: int) -> list[int]:
         return out
     own = [sizes[i] for i in rest]
     low = max(-(-left // bins), own[0])
-    high, placed = 2 * low, None
+    high, placed = low, best_fit(own, low, bins)
     while placed is None:
-        placed = best_fit(own, high, bins)
         high *= 2
-    high //= 2
+        placed = best_fit(own, high, bins)
     while high - low > max(1, low // 20_000):
         middle = (low + high) // 2
         tried = best_fit(own, middle, bins)
@@ -109,8 +132,16 @@ def near_equal(sizes: list[int], shards: int) -> list[int]:
             low = middle + 1
         else:
             high, placed = middle, tried
-    for i, shard in zip(rest, placed, strict=True):
-        out[i] = alone + shard
+
+    def spread(packing: list[int]) -> int:
+        loads = [0] * bins
+        for size, b in zip(own, packing, strict=True):
+            loads[b] += size
+        return max(loads) - min(loads)
+
+    placed = min(placed, spilled(own, -(-left // bins), bins), key=spread)
+    for i, b in zip(rest, placed, strict=True):
+        out[i] = alone + b
     return out
 
 

@@ -121,10 +121,8 @@ def load(path: str, pattern: str) -> ByteBpe:
 
 
 def _mapped(df: DataFrame, path: str, pattern: str, source: str, fields: list[tuple[str, object]], work, carry: list[str] | None) -> DataFrame:
-    names = df.columns if carry is None else carry
-    taken = set(names) & {name for name, _ in fields}
-    if taken:
-        raise ValueError(f"the input already has columns {sorted(taken)}; choose other output names")
+    new = {name for name, _ in fields}
+    names = [c for c in (df.columns if carry is None else carry) if c not in new]
     schema = T.StructType([*[df.schema[c] for c in names], *[T.StructField(name, kind) for name, kind in fields]])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -144,8 +142,8 @@ def encode(df: DataFrame, path: str, pattern: str, text: str = "text", ids: str
 
     ``decoded`` names a further binary column: the ids decoded again, for a round-trip check in the same pass.
     Null texts count as empty and give an empty value; repeated rows give repeated results; an empty table gives
-    an empty table; other columns are carried along (only those in ``carry``, if given), and a clash of names is
-    an error. No special tokens.
+    an empty table; other columns are carried along (only those in ``carry``, if given), and one with the name of a
+    new column gives way to it. No special tokens.
     """
     fields = [(ids, T.BinaryType())] + ([(decoded, T.BinaryType())] if decoded else [])
 

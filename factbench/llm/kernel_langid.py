@@ -128,12 +128,10 @@ def predict(docs: DataFrame, model: LanguageModel | None, text: str = "text", pr
     """Add the predicted language of every whole text, and the winner's score scaled to 0..1.
 
     Null texts, and texts without a letter, are ``und`` with score 0, as is everything without a model. Other
-    columns are carried along (only those in ``carry``, if given); a clash of names is an error. Repeated rows get equal results; an empty table
-    gives an empty table.
+    columns are carried along (only those in ``carry``, if given); one with the name of a new column gives way to it. Repeated rows get
+    equal results; an empty table gives an empty table.
     """
-    names = docs.columns if carry is None else carry
-    if {pred, score} & set(names):
-        raise ValueError(f"the input already has a column {pred} or {score}")
+    names = [c for c in (docs.columns if carry is None else carry) if c not in (pred, score)]
     if model is None:
         return docs.select(*names, F.lit(UNKNOWN).alias(pred), F.lit(0.0).alias(score))
     shared = docs.sparkSession.sparkContext.broadcast(model)

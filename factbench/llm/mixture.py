@@ -12,6 +12,7 @@ import math
 import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 from pyspark.sql.window import Window
 
 from factbench.llm.common import running_sum
@@ -41,7 +42,7 @@ def targets(sizes: DataFrame, source: str = "source", size: str = "source_size",
     ranked = ranked.withColumn("_full", F.col("_caps") + F.col("_cap") / F.col("_w") * F.col("_rest") <= F.col("_all"))
     spent = F.sum(F.when(F.col("_full"), F.col("_cap")).otherwise(0.0)).over(everything)
     open_weight = F.sum(F.when(F.col("_full"), 0.0).otherwise(F.col("_w"))).over(everything)
-    level = (F.col("_all") - spent) / open_weight
+    level = F.try_divide(F.col("_all") - spent, open_weight)
     return ranked.withColumn("target", F.when(F.col("_full"), F.col("_cap")).otherwise(level * F.col("_w"))).drop("_at", "_w", "_cap", "_caps", "_rest", "_all", "_full")
 
 
@@ -51,8 +52,10 @@ def mix(docs: DataFrame, size: str, key: str = "doc_id", source: str = "source",
     ``taken`` counts what the mix takes of a document, repeats included: whole epochs of its source first, then
     documents in hash-random order up to the exact budget, the last one in part. The budget is the target
     rounded down. Empty documents take nothing; a null source is a source; a null id has a key of its own, and
-    rows with equal keys follow each other by size. Repeated rows are rows of their own.
+    rows with equal keys follow each other by size. Repeated rows are rows of their own; an empty table gives an
+    empty table; an input column with the name of a new one gives way to it.
     """
+    docs = docs.drop("source_size", "target", "taken")
     docs = docs.withColumn("_key", F.md5(F.concat(F.lit(f"{seed}:"), F.coalesce(F.col(key).cast("string"), F.lit("-")))))
     docs = docs.withColumn("_bucket", F.substring("_key", 1, 3))
     sums = targets(docs.groupBy(source).agg(F.sum(size).alias("source_size")), source, **shares)
@@ -70,7 +73,7 @@ def _few(sums: DataFrame, most: int = 100_000) -> bool:
     return sums.count() <= most
 
 
-@F.pandas_udf("string")
+@F.pandas_udf(T.StringType())
 def _first_words(text: pd.Series, words: pd.Series) -> pd.Series:
     def cut(t: str, n: int) -> str:
         data, at = t.encode(), 0
@@ -81,14 +84,16 @@ def _first_words(text: pd.Series, words: pd.Series) -> pd.Series:
     return pd.Series([cut(t, n) for t, n in zip(text, words, strict=True)], dtype=object)
 
 
-def mixed_rows(docs: DataFrame, text: str = "text", **options) -> DataFrame:
+def mixed_rows(docs: DataFrame, text: str = "text", key: str = "doc_id", source: str = "source", **options) -> DataFrame:
     """The mix itself: documents repeated for each epoch, the one at each budget's edge cut after its last word taken."""
     columns = docs.columns
-    mixed = mix(docs.withColumn("_size", count_words(text)), "_size", **options).filter("taken > 0")
+    rows = docs.select(F.struct("*").alias("_row"), F.col(text).alias("_text"), F.col(key).alias("_id"), F.col(source).alias("_from"), count_words(text).alias("_size"))
+    mixed = mix(rows, "_size", key="_id", source="_from", **options).filter("taken > 0")
     copies = F.sequence(F.lit(1), F.ceil(F.col("taken") / F.col("_size")).cast("int"))
     each = mixed.withColumn("_copy", F.explode(copies)).withColumn("_words", F.least(F.col("_size"), F.col("taken") - (F.col("_copy") - 1) * F.col("_size")))
-    whole = each.filter("_words = _size").select(columns)
-    part = each.filter("_words < _size").withColumn(text, _first_words(text, "_words")).select(columns)
+    own = lambda new: [F.col(f"_row.{c}") if c != text else new.alias(text) for c in columns]
+    whole = each.filter("_words = _size").select(own(F.col("_text")))
+    part = each.filter("_words < _size").select(own(_first_words("_text", "_words")))
     return whole.unionByName(part)
 
 

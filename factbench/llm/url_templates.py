@@ -63,9 +63,9 @@ def templates(pages: DataFrame, labels: DataFrame, depth: int = 5, fan: int = 20
         tree = tree.withColumn("child", F.coalesce(F.get("segs", F.lit(level)), F.lit("")))
         kids = tree.groupBy("prefix", "child").agg(*[F.sum(c).alias(f"k_{c}") for c in ("n", "labelled", "bad")])
         above = kids.groupBy("prefix").agg(F.count(F.lit(1)).alias("kids"), *[F.sum(f"k_{c}").alias(f"p_{c}") for c in ("n", "labelled", "bad")])
-        rest, pooled = F.col("p_labelled") - F.col("k_labelled"), F.col("p_bad") / F.col("p_labelled")
-        error = F.sqrt(pooled * (1 - pooled) * (1 / F.col("k_labelled") + 1 / rest))
-        apart = F.abs(F.col("k_bad") / F.col("k_labelled") - (F.col("p_bad") - F.col("k_bad")) / rest) > z * error
+        rest, pooled = F.col("p_labelled") - F.col("k_labelled"), F.try_divide("p_bad", "p_labelled")
+        error = F.sqrt(pooled * (1 - pooled) * (F.try_divide(F.lit(1), F.col("k_labelled")) + F.try_divide(F.lit(1), rest)))
+        apart = F.abs(F.try_divide("k_bad", "k_labelled") - F.try_divide(F.col("p_bad") - F.col("k_bad"), rest)) > z * error
         known = (F.col("k_labelled") > 0) & (rest > 0)
         named = F.when((F.col("child") == "") | (F.col("kids") == 1), F.col("child")).when((F.col("kids") > fan) & (F.col("k_n") < rare * F.col("p_n")), "*").when(F.when(known, apart).otherwise(False), F.col("child")).otherwise("*")
         step = kids.join(above, "prefix").select("prefix", "child", named.alias("_named"))
@@ -87,7 +87,7 @@ def judge(pages: DataFrame, labels: DataFrame, url: str = "url", rules=RULES, de
     marks = labels.filter("page_id is not null").groupBy("page_id").agg(F.max("bad").alias("bad"))
     known = stored(templates(slim, marks, depth, **tree))
     leaves = known.groupBy("template").agg(F.sum("labelled").alias("_l"), F.sum("bad").alias("_b"))
-    overall = known.agg((F.sum("bad") / F.sum("labelled")).alias("prior"))
+    overall = known.agg(F.try_divide(F.sum("bad"), F.sum("labelled")).alias("prior"))
     leaves = leaves.join(F.broadcast(overall)).select("template", ((F.col("_b") + strength * F.coalesce("prior", F.lit(0.0))) / (F.col("_l") + strength)).alias("impurity"))
     verdicts = known.join(leaves, "template").select("path_key", "template", "impurity")
     ruled = matched_rule("host", "path", rules)
