@@ -37,11 +37,13 @@ def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFr
 
 def repeated_passages(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents without passages of 13 words or more that one with a smaller id has; those with nothing left go."""
-    cut = remove_repeats(docs, window=13, carry=[c for c in docs.columns if c not in ("doc_id", "text")])
+    others = [c for c in docs.columns if c not in ("doc_id", "text")]
+    cut = remove_repeats(docs.select("doc_id", "text", F.struct(*others).alias("_row")), window=13, carry=["_row"])
     changed = F.col("n_removed") > 0
     text = F.when(changed, F.col("kept")).otherwise(F.col("text"))
+    new = {"doc_id": F.col("doc_id"), "text": text, "n_chars": F.when(changed, F.length("kept").cast("long")).otherwise(F.col("_row.n_chars"))}
     rows = cut.filter(~changed | (F.col("n_removed") < F.col("n_words")))
-    return rows.withColumn("text", text).withColumn("n_chars", F.when(changed, F.length("text").cast("long")).otherwise(F.col("n_chars"))).select(docs.columns)
+    return rows.select([new[c].alias(c) if c in new else F.col(f"_row.{c}") for c in docs.columns])
 
 
 def mixture(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
