@@ -106,7 +106,7 @@ def _best(k: int):
                 edge = np.partition(near, max(0, len(ids) - k), axis=1)[:, max(0, len(ids) - k)]
                 slack = np.where(np.isfinite(edge), edge - 1e-9 * np.abs(edge) - 1e-300, -np.inf)  # ties survive rounding
                 i, j = np.nonzero((near >= slack[:, None]) & (near > -np.inf))
-                exact = (q_rows[part][i] * rows[j]).sum(axis=1)
+                exact = np.cumsum(q_rows[part][i] * rows[j], axis=1)[:, -1]  # one order of summation everywhere
                 order = np.lexsort((ids[j], -exact, i))
                 i, j, exact = i[order], j[order], exact[order]
                 first = np.r_[True, i[1:] != i[:-1]] if len(i) else np.empty(0, bool)

@@ -112,7 +112,45 @@ QUERIES: dict[str, Query] = {
     "pipeline": pipeline,
 }
 
+#: Least node that links (a, b), both ways round, reach; names: the nodes' table.
+_REACH = """reach(node, r) AS (SELECT {node}, {node} FROM {names} UNION SELECT reach.node, l.b FROM reach JOIN links l ON l.a = reach.r)"""
+
+_VALID = "SELECT vec_id, embedding::DOUBLE[] AS e FROM embeddings WHERE embedding IS NOT NULL AND len(list_filter(embedding, lambda x: x IS NULL OR NOT isfinite(x))) = 0 AND len(list_filter(embedding, lambda x: x <> 0)) > 0"
+
 ORACLES: dict[str, str] = {
+    "op1_curve_search": f"""
+WITH v AS ({_VALID}),
+s AS (SELECT q.vec_id AS query_id, v.vec_id, list_reduce(list_transform(list_zip(q.e, v.e), lambda p: p[1] * p[2]), lambda x, y: x + y) AS score FROM v q JOIN v ON q.vec_id % 20 = 0 AND q.vec_id <> v.vec_id)
+SELECT query_id, CAST(row_number() OVER (PARTITION BY query_id ORDER BY score DESC, vec_id) AS INTEGER) AS rank, vec_id, score FROM s QUALIFY rank <= 20
+""",
+    "op4_repeat_windows": r"""
+WITH d AS (SELECT doc_id, regexp_extract_all(coalesce(text, ''), '[^\x20\x09-\x0D]+') AS ws FROM documents),
+i AS (SELECT doc_id, ws, unnest(range(1, len(ws) - 11)) AS i FROM d),
+p AS (SELECT doc_id, i, array_to_string(ws[i:i + 12], ' ') AS win FROM i),
+m AS (SELECT win, min(doc_id) AS least FROM p GROUP BY win),
+f AS (SELECT doc_id, i FROM p JOIN m USING (win) WHERE doc_id > least),
+g AS (SELECT DISTINCT doc_id, i + k AS at_ FROM f, range(13) r(k)),
+w AS (SELECT doc_id, unnest(ws) AS word, generate_subscripts(ws, 1) AS at_ FROM d),
+k AS (SELECT w.doc_id, string_agg(word, ' ' ORDER BY at_) AS kept, count(*) AS n FROM w ANTI JOIN g ON w.doc_id = g.doc_id AND w.at_ = g.at_ GROUP BY 1)
+SELECT d.doc_id, CAST(len(ws) AS BIGINT) AS n_words, CAST(len(ws) - coalesce(n, 0) AS BIGINT) AS n_removed, sha256(coalesce(kept, '')) AS kept_sha256 FROM d LEFT JOIN k USING (doc_id)
+""",
+    "op7_token_groups": r"""
+WITH RECURSIVE d AS (SELECT doc_id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x20\x09-\x0D]+') AS ws FROM documents),
+i AS (SELECT doc_id, ws, unnest(range(1, greatest(len(ws) - 2, 2))) AS i FROM d WHERE len(ws) > 0),
+s AS (SELECT DISTINCT doc_id, array_to_string(ws[i:i + 3], ' ') AS shingle FROM i),
+n AS (SELECT doc_id, count(*) AS n FROM s GROUP BY 1),
+c AS (SELECT a.doc_id AS a, b.doc_id AS b, count(*) AS common FROM s a JOIN s b ON a.shingle = b.shingle AND a.doc_id <> b.doc_id GROUP BY 1, 2),
+links AS (SELECT a, b FROM c JOIN n x ON x.doc_id = a JOIN n y ON y.doc_id = b WHERE 100 * common >= 85 * (x.n + y.n - common)),
+""" + _REACH.format(node="doc_id", names="d") + """
+SELECT d.doc_id, coalesce(max(n.n), 0) AS n_shingles, min(r) AS component_id FROM d LEFT JOIN n ON n.doc_id = d.doc_id JOIN reach ON reach.node = d.doc_id GROUP BY d.doc_id
+""",
+    "op9_multi_index": f"""
+WITH RECURSIVE v AS ({_VALID}),
+links AS (SELECT a.vec_id AS a, b.vec_id AS b FROM v a JOIN v b ON a.vec_id <> b.vec_id AND list_cosine_similarity(a.e, b.e) >= 0.9),
+""" + _REACH.format(node="vec_id", names="embeddings") + """,
+n AS (SELECT a, count(*) AS n FROM links GROUP BY 1)
+SELECT vec_id, coalesce(max(n), 0) AS n_links, min(r) AS component_id, vec_id = min(r) AS kept FROM embeddings LEFT JOIN n ON a = vec_id JOIN reach ON node = vec_id GROUP BY vec_id
+""",
     "op2_mixture": r"""
 WITH d AS (
   SELECT doc_id, source, CAST(CASE WHEN text IS NULL THEN 0 ELSE len(regexp_extract_all(text, '[^\x20\x09-\x0D]+')) END AS BIGINT) AS size,
