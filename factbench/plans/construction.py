@@ -86,14 +86,13 @@ def review_dedup(spark, d):
     return discovery.dedup_reviews(docs, ["claim"], ["doc_id"])
 
 
-@query("SELECT doc_id, text AS claim, source AS publisher_name FROM documents WHERE doc_id % 7 <> 0")
+@query("SELECT CASE WHEN doc_id % 7 <> 0 THEN doc_id END AS doc_id, CASE WHEN doc_id % 7 <> 0 THEN text END AS claim, CASE WHEN doc_id % 7 <> 0 THEN source END AS publisher_name, doc_id % 7 = 0 AS malformed FROM documents")
 def review_parse(spark, d):
-    """The feed parser on documents written as review markup; every seventh record is malformed."""
+    """The feed parser on all documents written as review markup, every seventh record planted as malformed."""
     docs = load(spark, d, "documents", ["doc_id", "text", "source"])
     good = F.to_json(F.struct(F.col("text").alias("claimReviewed"), F.col("doc_id").cast("string").alias("url"), F.struct(F.col("source").alias("name")).alias("author")))
     raw = docs.select(F.when(F.col("doc_id") % 7 != 0, good).otherwise(F.lit("{broken")).alias("raw"))
-    out = discovery.parse_reviews(raw).filter("not malformed")
-    return out.select(F.col("url").cast("long").alias("doc_id"), "claim", "publisher_name")
+    return discovery.parse_reviews(raw).select(F.col("url").cast("long").alias("doc_id"), "claim", "publisher_name", "malformed")
 
 
 # stage 2
@@ -513,6 +512,20 @@ def rectify_shareable(spark, d):
     return load(spark, d, "documents", ["doc_id", "text"]).select("doc_id", rectify.shareable("text").alias("shareable"))
 
 
+@query(rf"""WITH l AS (SELECT doc_id, unnest(list_distinct(string_split(text, chr(10)))) AS line, string_split(text, chr(10)) AS ls FROM documents),
+k AS (SELECT doc_id, line, list_position(ls, line) AS at_ FROM l WHERE length(regexp_replace(line, '[\p{{L}}\p{{N}} \t\n\r]', '', 'g')) / greatest(1, length(line))::DOUBLE < 0.15::DOUBLE)
+SELECT d.doc_id, coalesce((SELECT string_agg(line, chr(10) ORDER BY at_) FROM k WHERE k.doc_id = d.doc_id), '') AS twin_text FROM documents d""")
+def rectify_text(spark, d):
+    """The local corrector of texts: repeated lines and lines of mostly symbols go."""
+    return rectify.generate_text(load(spark, d, "documents", ["doc_id", "text"])).select("doc_id", "twin_text")
+
+
+@query(rf"SELECT doc_id, NOT (regexp_matches(text, '{claims._any(claims.MEDIA_WORDS)}') AND doc_id % 2 = 0) AS consistent FROM documents")
+def rectify_consistent(spark, d):
+    docs = load(spark, d, "documents", ["doc_id", "text"]).withColumn("n_media", (F.col("doc_id") % 2).cast("int"))
+    return docs.select("doc_id", rectify.consistent(docs, "text", "n_media").alias("consistent"))
+
+
 RANKED = f"""{HALF}, ranked AS (SELECT *, row_number() OVER (PARTITION BY quarter, label ORDER BY md5('split-1:' || claim_id), claim_id) AS rank FROM final WHERE label IN ('intact', 'compromised'))"""
 
 

@@ -7,6 +7,9 @@ import uuid
 from pyspark.sql import SparkSession
 from pyspark.sql import functions as F
 
+from factbench.operators.verdict import label
+from factbench.plans.update import append_quarter
+from factbench.sources.derived import claims
 from factbench.streaming import streams
 
 QUERIES: dict = {}
@@ -33,6 +36,23 @@ def _folder(spark: SparkSession) -> str:
     return f"{named.rstrip('/')}/stream-{uuid.uuid4().hex}"
 
 
+@query("""WITH c AS (SELECT o_orderkey AS claim_id, CAST(date_trunc('quarter', o_orderdate) AS DATE) AS quarter, ((o_custkey * 7919) % 2001 - 1000) / 1000.0::DOUBLE AS v FROM orders)
+SELECT claim_id, quarter, CASE WHEN v > 1.0::DOUBLE/3 THEN 'intact' WHEN v < -1.0::DOUBLE/3 THEN 'compromised' ELSE 'uncertain' END AS label FROM c WHERE quarter IN (SELECT DISTINCT quarter FROM c ORDER BY quarter DESC LIMIT 2)""")
+def quarterly_append(spark, d):
+    """The two newest quarters replayed: one in two runs with a backlog between them, and one of them again."""
+    feed = claims(spark, d).select("claim_id", "quarter", "veracity")
+    two = [r[0] for r in feed.select("quarter").distinct().orderBy(F.desc("quarter")).limit(2).collect()]
+    state = _folder(spark)
+
+    def process(rows):
+        return rows.select("claim_id", "quarter", label("veracity").alias("label"))
+
+    append_quarter(state, feed, str(two[1]), process, limit=50)
+    for q in (two[1], two[0], two[0]):
+        append_quarter(state, feed, str(q), process)
+    return spark.read.parquet(f"{state}/claims").select("claim_id", F.col("quarter").cast("date").alias("quarter"), "label")
+
+
 def _events(spark, d):
     """The events table as a stream; a pattern, as the table may be one file, which a stream takes for a folder."""
     schema = spark.read.parquet(f"{d}/events.parquet").schema

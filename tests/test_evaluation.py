@@ -161,3 +161,23 @@ def test_late_rows_are_dropped_and_counted(spark, tmp_path):
     counted = streams.volume(streams.files(spark, folder, "id long, ts timestamp", 1), "ts", "1 day", "1 day")
     query = streams.run_once(counted, str(tmp_path / "out"), str(tmp_path / "c3"))
     assert streams.late_rows(query) == 1
+
+
+def test_sources_and_sinks_round_trip(spark, small, tmp_path):
+    from factbench.sources import io
+
+    df = load(spark, small, "nation")
+    io.write_json(df, str(tmp_path / "j"))
+    io.write_csv(df, str(tmp_path / "c"))
+    assert io.read_json(spark, str(tmp_path / "j"), df.schema).exceptAll(df).count() == 0
+    assert io.read_csv(spark, str(tmp_path / "c"), df.schema).exceptAll(df).count() == 0
+    assert io.read_lines(spark, str(tmp_path / "j")).columns == ["raw"]
+    with pytest.raises(ValueError, match="no table"):
+        load(spark, small, "nothing")
+
+
+def test_credible_stream(spark, tmp_path):
+    spark.createDataFrame([("x.org", 1), ("y.com", 2)], "publisher string, n int").write.parquet(str(tmp_path / "in"))
+    listed = spark.createDataFrame([("x.org",)], "publisher string")
+    streams.run_once(streams.credible(streams.files(spark, str(tmp_path / "in"), "publisher string, n int"), listed), str(tmp_path / "out"), str(tmp_path / "c4"))
+    assert [r["n"] for r in spark.read.parquet(str(tmp_path / "out")).collect()] == [1]
