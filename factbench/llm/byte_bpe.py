@@ -36,67 +36,119 @@ class ByteBpe(dict):
         self.ranks = {base64.b64decode(token): int(rank) for token, rank in pairs}
         self.tokens = dict(sorted((rank, token) for token, rank in self.ranks.items()))
         self.find = regex.compile(pattern).findall
-        self.packed = {rank: int(rank).to_bytes(4, "little") for rank in self.tokens}
         self.beside: dict[int, bool] = {}
-        reach = [(token, rank) for token, rank in self.ranks.items() if len(token) == 1 or self._merged(token) == [rank]]
+        #: The last two parts that make up each token that merges can reach; None for single bytes.
+        self.split: dict[int, tuple[int, int] | None] = {}
+        rising = True
+        for token, rank in self.ranks.items():
+            parts, steps = self._merged(token)
+            if parts == [rank]:
+                self.split[rank] = steps[-1][1:] if steps else None
+                rising &= all(x[0] <= y[0] for x, y in zip(steps, steps[1:], strict=False))
+        #: Whether the merges of every token never fall in rank, as those of trained vocabularies do.
+        self.rising = rising
+        self.ends: dict[int, list[tuple[bytes, float]]] = {}
+        self.starts: dict[int, list[tuple[bytes, float]]] = {}
         self.automaton = ahocorasick.Automaton()
-        for token, rank in reach:
-            self.automaton.add_word(token.decode("latin-1"), (rank, len(token)))
+        for rank in self.split:
+            self.automaton.add_word(self.tokens[rank].decode("latin-1"), (rank, len(self.tokens[rank])))
         self.automaton.make_automaton()
-        known = dict(reach)
+        known = {self.tokens[rank]: rank for rank in self.split}
+        self.size = {rank: len(token) for token, rank in known.items()}
         #: For each token the longest shorter token that begins it; None where there is none.
-        self.shorter = {rank: next((known[token[:n]] for n in range(len(token) - 1, 0, -1) if token[:n] in known), None) for token, rank in reach}
+        self.shorter = {rank: next((known[token[:n]] for n in range(len(token) - 1, 0, -1) if token[:n] in known), None) for token, rank in known.items()}
 
-    def _merged(self, piece: bytes) -> list[int]:
-        """The definition: merge the lowest-ranked neighbouring pair, leftmost first, until none is left. For short pieces."""
+    def _merged(self, piece: bytes) -> tuple[list[int], list[tuple[int, int, int]]]:
+        """The definition: merge the lowest-ranked neighbouring pair, leftmost first, until none is left. For short pieces.
+
+        Returns the ids, and each merge as its rank and the ids of its two parts.
+        """
         parts = [piece[i : i + 1] for i in range(len(piece))]
-        ranks = self.ranks
+        ranks, steps = self.ranks, []
         while len(parts) > 1:
             pairs = [ranks.get(a + b, 1 << 60) for a, b in zip(parts, parts[1:], strict=False)]
             low = min(pairs)
             if low == 1 << 60:
                 break
             at = pairs.index(low)
+            steps.append((low, ranks[parts[at]], ranks[parts[at + 1]]))
             parts[at : at + 2] = [parts[at] + parts[at + 1]]
-        return [ranks[p] for p in parts]
+        return [ranks[p] for p in parts], steps
+
+    def _edge(self, token: int, side: int) -> list[tuple[bytes, float]]:
+        """The parts at one end of a token as merges build it, smallest first, each with the rank of the merge that ends it."""
+        kept = self.ends if side else self.starts
+        found = kept.get(token)
+        if found is None:
+            chain = [token]
+            while (parts := self.split[chain[-1]]) is not None:
+                chain.append(parts[side])
+            chain.reverse()
+            found = kept[token] = [(self.tokens[t], r) for t, r in zip(chain, [*chain[1:], float("inf")], strict=True)]
+        return found
 
     def _compatible(self, left: int, right: int) -> bool:
+        """Whether the merges of both tokens' bytes together end with these two tokens."""
         key = left << 32 | right
         known = self.beside.get(key)
         if known is None:
             if len(self.beside) >= 500_000:
                 self.beside.clear()
-            known = self.beside[key] = self._merged(self.tokens[left] + self.tokens[right]) == [left, right]
+            known = self.beside[key] = self._apart(left, right) if self.rising else self._merged(self.tokens[left] + self.tokens[right])[0] == [left, right]
         return known
 
+    def _apart(self, left: int, right: int) -> bool:
+        """The same by walking both edges at the seam in the order of merges; for vocabularies whose merges rise in rank.
+
+        A merge across the seam comes first if its rank is below those that end the parts beside it; of equal
+        ranks the leftmost comes first.
+        """
+        ends, starts, ranks = self._edge(left, 1), self._edge(right, 0), self.ranks
+        i = j = 0
+        while True:
+            (a, ends_at), (b, starts_at) = ends[i], starts[j]
+            across = ranks.get(a + b)
+            if across is not None and across < ends_at and across <= starts_at:
+                return False
+            if i + 1 == len(ends) and j + 1 == len(starts):
+                return True
+            if ends_at <= starts_at:
+                i += 1
+            else:
+                j += 1
+
     def ids(self, piece: bytes) -> list[int]:
         """The ids of one piece, as the merges give them."""
         whole = self.ranks.get(piece)
         if whole is not None:
             return [whole]
         n = len(piece)
-        longest = [None] * n
+        longest: list[int | None] = [None] * n
         for end, (rank, length) in self.automaton.iter(piece.decode("latin-1")):
             longest[end + 1 - length] = rank  # ends rise, so the last is the longest
-        size = {}
+        size, shorter, compatible, beside = self.size, self.shorter, self._compatible, self.beside
         dead = bytearray(n + 1)
         out: list[int] = []
         at, token = 0, longest[0]
         while at < n:
             while token is not None:
-                length = size.get(token) or size.setdefault(token, len(self.tokens[token]))
-                if not dead[at + length] and (not out or self._compatible(out[-1], token)):
-                    break
-                token = self.shorter[token]
+                after = at + size[token]
+                if not dead[after]:
+                    if not out:
+                        break
+                    fits = beside.get(out[-1] << 32 | token)
+                    if fits or fits is None and compatible(out[-1], token):
+                        break
+                token = shorter[token]
             if token is not None:
                 out.append(token)
-                at += length
+                at = after
                 token = longest[at] if at < n else None
             else:
                 dead[at] = 1
                 token = out.pop()
                 at -= size[token]
-                token = self.shorter[token]
+                token = shorter[token]
         return out
 
     def __missing__(self, piece: str) -> bytes:
