@@ -2,11 +2,13 @@
 
 from __future__ import annotations
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from factbench.functions.vectors import cosine, dot, signature
+from factbench.functions.vectors import cosine, signature
 
 #: Origins in order of precedence. Fixed values.
 ORIGINS = ("original", "archived", "article")
@@ -102,12 +104,28 @@ def near_pairs(media: DataFrame, threshold: float, tables: int = 20, bits: int =
     return sim.filter(F.col("similarity") > threshold).select("a", "b", "similarity")
 
 
-def exact_pairs(media: DataFrame, threshold: float) -> DataFrame:
-    """The same by comparing all pairs, for small tables and recall measurements."""
-    a = media.select(F.col("media_id").alias("a"), F.col("embedding").alias("va"))
-    b = media.select(F.col("media_id").alias("b"), F.col("embedding").alias("vb"))
-    sim = F.round(dot("va", "vb") / F.sqrt(dot("va", "va") * dot("vb", "vb")), 6)
-    return a.join(F.broadcast(b), F.col("a") < F.col("b")).withColumn("similarity", sim).filter(F.col("similarity") > threshold).select("a", "b", "similarity")
+def exact_pairs(media: DataFrame, threshold: float, block: int = 1024) -> DataFrame:
+    """The same by comparing all vectors, for recall measurements: block against block as matrix products.
+
+    Only pairs above the threshold become rows. Time grows with the square of the table.
+    """
+    blocks = max(1, -(-media.count() // block))
+    own = media.select("media_id", F.transform("embedding", lambda x: x.cast("double")).alias("v"), F.pmod(F.xxhash64("media_id"), F.lit(blocks)).cast("int").alias("home"))
+    a = own.select(F.col("media_id").alias("a"), F.col("v").alias("va"), F.col("home").alias("i"), F.explode(F.sequence(F.col("home"), F.lit(blocks - 1))).alias("j"))
+    b = own.select(F.col("media_id").alias("b"), F.col("v").alias("vb"), F.explode(F.sequence(F.lit(0), F.col("home"))).alias("i"), F.col("home").alias("j"))
+
+    def compare(left: pa.Table, right: pa.Table) -> pa.Table:
+        out = {"a": np.empty(0, np.int64), "b": np.empty(0, np.int64), "similarity": np.empty(0)}
+        if left.num_rows and right.num_rows:
+            x, y = (np.asarray(t.combine_chunks().flatten()).reshape(len(t), -1) for t in (left["va"], right["vb"]))
+            sims = np.round((x @ y.T) / np.linalg.norm(x, axis=1)[:, None] / np.linalg.norm(y, axis=1)[None, :], 6)
+            i, j = np.nonzero(sims > threshold)
+            p, q = left["a"].to_numpy()[i], right["b"].to_numpy()[j]
+            keep = (p < q) if left["i"][0] == left["j"][0] else (p != q)
+            out = {"a": np.minimum(p, q)[keep], "b": np.maximum(p, q)[keep], "similarity": sims[i, j][keep]}
+        return pa.table(out)
+
+    return a.groupBy("i", "j").cogroup(b.groupBy("i", "j")).applyInArrow(compare, "a long, b long, similarity double")
 
 
 def cap(media: DataFrame, k: int = 4) -> DataFrame:

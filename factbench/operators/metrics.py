@@ -56,7 +56,10 @@ def align(pred: DataFrame, truth: DataFrame, by: list[str], missing: str = "excl
 
     ``covered`` tells them apart, for the coverage that goes with any error.
     """
-    asked = pred.select(*by).distinct().crossJoin(F.broadcast(truth)) if by else truth
+    asked = truth
+    if by:  # the systems, few as they are, come as one array; each claim is expanded in place
+        systems = pred.select(F.struct(*by).alias("s")).distinct().agg(F.collect_list("s").alias("_systems"))
+        asked = truth.crossJoin(F.broadcast(systems)).select(*truth.columns, F.inline("_systems"))
     out = asked.join(pred.withColumn("covered", F.lit(True)), [*by, "claim_id"], "left").withColumn("covered", F.coalesce("covered", F.lit(False)))
     return out.withColumn("score", F.coalesce("score", F.lit(0.0))) if missing == "zero" else out
 

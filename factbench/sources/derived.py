@@ -57,24 +57,33 @@ def media(spark: SparkSession, folder: str) -> DataFrame:
     return first.unionByName(copies)
 
 
-def systems(spark: SparkSession) -> DataFrame:
-    return spark.createDataFrame(SYSTEMS, "system string, number int, before double, after double, searched double, noise double, cutoff string").withColumn("cutoff", F.col("cutoff").cast("timestamp_ntz"))
-
-
 def predictions(spark: SparkSession, folder: str) -> DataFrame:
-    """(system, search, claim_id, claim_ts, quarter, truth, score): truth by parity, noise by integer hash, a planted cutoff."""
+    """(system, search, claim_id, claim_ts, quarter, truth, english, cutoff, score): a row per claim, system and arm.
+
+    Truth goes by parity, noise by integer hash, and fit drops at a planted cutoff. Each claim is expanded into the
+    few systems in place, without a join.
+    """
     o = load(spark, folder, "orders", ["o_orderkey", "o_custkey", "o_orderdate"])
+    arms = F.array(
+        *[
+            F.struct(
+                F.lit(name).alias("system"), F.lit(number).alias("number"), F.lit(before).alias("before"), F.lit(after).alias("after"), F.lit(searched).alias("searched"),
+                F.lit(noise).alias("noise"), F.lit(cutoff).cast("timestamp_ntz").alias("cutoff"), F.lit(search).alias("search"),
+            )
+            for name, number, before, after, searched, noise, cutoff in SYSTEMS
+            for search in (False, True)
+        ]
+    )
     base = o.select(
         F.col("o_orderkey").alias("claim_id"), F.col("o_orderdate").alias("claim_ts"), F.trunc("o_orderdate", "quarter").alias("quarter"),
-        F.when((F.col("o_orderkey") * 104729) % 2 == 0, 1.0).otherwise(-1.0).alias("truth"), (F.col("o_custkey") % 5 < 2).alias("english"),
+        F.when((F.col("o_orderkey") * 104729) % 2 == 0, 1.0).otherwise(-1.0).alias("truth"), (F.col("o_custkey") % 5 < 2).alias("english"), F.inline(arms),
     )
-    arms = F.broadcast(systems(spark).withColumn("search", F.explode(F.array(F.lit(False), F.lit(True)))))
     fit = F.when(F.col("search"), F.col("searched")).when(F.col("claim_ts") < F.col("cutoff"), F.col("before")).otherwise(F.col("after"))
     turn = F.col("number") * 31 + F.when(F.col("search"), 17).otherwise(0)
     noise = (((F.col("claim_id") + turn) * 7919) % 2001 - 1000) / 997.0 * F.col("noise")
-    # a score leans to the bad class, as most systems' scores do
-    score = F.round(clip(F.col("truth") * fit + noise - 0.05), 9)  # odd fractions: means have no rounding ties
-    return base.crossJoin(arms).select("system", "search", "claim_id", "claim_ts", "quarter", "truth", "english", "cutoff", score.alias("score"))
+    # a score leans to the bad class, as most systems' scores do; odd fractions, so that means have no rounding ties
+    score = F.round(clip(F.col("truth") * fit + noise - 0.05), 9)
+    return base.select("system", "search", "claim_id", "claim_ts", "quarter", "truth", "english", "cutoff", score.alias("score"))
 
 
 def memberships(spark: SparkSession, folder: str) -> DataFrame:

@@ -19,10 +19,10 @@ def test_limits_reach_below_the_shuffle(spark, small, name):
     assert "WindowGroupLimit" in plan(spark, small, name)
 
 
-@pytest.mark.parametrize("name", ["verdict_integrity", "evidence_admissible", "media_dedup", "leaderboard_rank", "cutoff_curve"])
+@pytest.mark.parametrize("name", ["verdict_integrity", "evidence_admissible", "media_dedup", "cutoff_curve", "cutoff_inflation"])
 def test_no_pairs_of_everything(spark, small, name):
     p = plan(spark, small, name)
-    assert "CartesianProduct" not in p and ("BroadcastNestedLoopJoin" not in p or name in ("leaderboard_rank", "cutoff_curve"))
+    assert "CartesianProduct" not in p and "BroadcastNestedLoopJoin" not in p
 
 
 @pytest.mark.parametrize("name", ["article_clean", "claim_validate", "language_identify_accuracy", "verdict_integrity", "ensemble_mean"])
