@@ -20,6 +20,8 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
+from factbench.llm.common import tidy
+
 
 class ByteBpe(dict):
     """Maps a piece of text to its ids, packed as little-endian unsigned 32-bit integers.
@@ -27,7 +29,7 @@ class ByteBpe(dict):
     It is itself the bounded memo of short pieces: looking up a missing piece encodes it.
     """
 
-    most, longest_kept = 300_000, 64
+    most, longest_kept = 150_000, 64
 
     def __init__(self, path: str, pattern: str):
         super().__init__()
@@ -92,7 +94,7 @@ class ByteBpe(dict):
         key = left << 32 | right
         known = self.beside.get(key)
         if known is None:
-            if len(self.beside) >= 500_000:
+            if len(self.beside) >= 200_000:
                 self.beside.clear()
             known = self.beside[key] = self._apart(left, right) if self.rising else self._merged(self.tokens[left] + self.tokens[right])[0] == [left, right]
         return known
@@ -159,6 +161,12 @@ class ByteBpe(dict):
             self[piece] = packed
         return packed
 
+    def forget(self) -> None:
+        """Drop all memos."""
+        for memo in (self, self.beside, self.ends, self.starts):
+            memo.clear()
+        tidy()
+
     def encode(self, text: str) -> bytes:
         return b"".join(map(self.__getitem__, self.find(text)))
 
@@ -185,6 +193,8 @@ def _mapped(df: DataFrame, path: str, pattern: str, source: str, fields: list[tu
                 part = batch.slice(start, 512)
                 added = work(codec, part.column("_in").to_pylist())
                 yield pa.RecordBatch.from_arrays([*[part.column(names.index(c)) for c in names], *[pa.array(a, pa.binary()) for a in added]], names=[f.name for f in schema.fields])
+            tidy()
+        codec.forget()  # the worker may go on to other work
 
     return df.select(*names, F.col(source).alias("_in")).mapInArrow(run, schema)
 

@@ -3,6 +3,8 @@
 from __future__ import annotations
 
 import atexit
+import ctypes
+import functools
 import tempfile
 import uuid
 
@@ -41,13 +43,30 @@ def stored(df: DataFrame) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
+def _delete(spark: SparkSession, path: str) -> None:
+    hadoop = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+    hadoop.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(hadoop, True)
+
+
+def settles(f):
+    """Store the table that ``f`` returns, and delete all that ``f`` stored on the way to it."""
+
+    @functools.wraps(f)
+    def run(*args, **kwargs) -> DataFrame:
+        before = len(_stored)
+        out = stored(f(*args, **kwargs))
+        while len(_stored) > before + 1:
+            _delete(*_stored.pop(before))
+        return out
+
+    return run
+
+
 def release() -> None:
     """Delete all that ``stored`` wrote; call it once the results made from it have been written."""
     while _stored:
-        spark, path = _stored.pop()
         try:
-            hadoop = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
-            hadoop.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(hadoop, True)
+            _delete(*_stored.pop())
         except Exception:  # the session has ended; the folder's owner cleans up
             return
 
@@ -128,6 +147,16 @@ def run_hashes(hashes: np.ndarray, length: int) -> np.ndarray:
     return out
 
 
+_trim = getattr(ctypes.CDLL(None), "malloc_trim", None)
+
+
+def tidy() -> None:
+    """Give memory that batches have freed back to the system, as workers share their host with others."""
+    pa.default_memory_pool().release_unused()
+    if _trim:
+        _trim(0)
+
+
 def text_slices(batches, place: int = 1, most: int = 8 << 20):
     """Batches cut so that the texts in column ``place`` of each part add up to about ``most`` bytes."""
     for batch in batches:
@@ -138,6 +167,8 @@ def text_slices(batches, place: int = 1, most: int = 8 << 20):
             stop = max(start + 1, int(np.searchsorted(ends, done + most, "right")))
             yield batch.slice(start, stop - start)
             start = stop
+        del batch
+        tidy()
 
 
 OWNED = "token long, owner long, owners array<long>"

@@ -15,7 +15,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from factbench.llm.common import matrix, stored, valid_vector
+from factbench.llm.common import matrix, settles, stored, valid_vector
 
 
 def hilbert_keys(cells: np.ndarray, bits: int) -> np.ndarray:
@@ -65,8 +65,7 @@ def _on_curves(curves: int, dims: int, bits: int):
                 continue
             for curve in range(curves):
                 yield pa.RecordBatch.from_arrays(
-                    [pa.array(np.full(len(vectors), curve, np.int32)), pa.array(curve_keys(vectors, curve, dims, bits)), batch.column(0), batch.column(1)],
-                    names=["curve", "key", "vec_id", "vec"],
+                    [pa.array(np.full(len(vectors), curve, np.int32)), pa.array(curve_keys(vectors, curve, dims, bits)), *batch.columns], names=["curve", "key", "vec_id", "vec", "asks"]
                 )
 
     return run
@@ -85,9 +84,7 @@ def _numbered(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             start = next_of.get(int(c), 0)
             seq[own] = start + np.arange(len(own))
             next_of[int(c)] = start + len(own)
-        yield pa.RecordBatch.from_arrays(
-            [batch.column(0), batch.column(1), batch.column(2), pa.array(np.full(len(curve), part, np.int32)), pa.array(seq)], names=["curve", "vec_id", "vec", "part", "seq"]
-        )
+        yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(np.full(len(curve), part, np.int32)), pa.array(seq)], names=["curve", "vec_id", "vec", "asks", "part", "seq"])
 
 
 FOUND = "query_id long, vec_id long, score double"
@@ -120,6 +117,7 @@ def _best(k: int):
     return run
 
 
+@settles
 def search(vectors: DataFrame, queries: DataFrame, k: int = 20, key: str = "vec_id", column: str = "embedding", curves: int = 16, dims: int = 6, bits: int = 8, share: float = 0.05, least: int = 1024, block: int = 4096) -> DataFrame:
     """(query_id, rank, vec_id, score): the ``k`` rows of largest inner product that each query finds, its own id left out.
 
@@ -130,17 +128,19 @@ def search(vectors: DataFrame, queries: DataFrame, k: int = 20, key: str = "vec_
     columns are left out. All valid vectors must have one length.
     """
     valid = vectors.filter(valid_vector(column) & F.col(key).isNotNull()).select(F.col(key).cast("long").alias("vec_id"), F.col(column).alias("vec")).dropDuplicates(["vec_id"])
+    asking = queries.select(F.col(key).cast("long").alias("_query"), F.lit(True).alias("asks")).distinct()
+    valid = valid.join(asking, F.col("vec_id") == F.col("_query"), "left").select("vec_id", "vec", F.coalesce("asks", F.lit(False)).alias("asks"))
     kind = valid.schema["vec"].dataType.simpleString()
-    laid = valid.mapInArrow(_on_curves(curves, dims, bits), f"curve int, key long, vec_id long, vec {kind}")
+    laid = valid.mapInArrow(_on_curves(curves, dims, bits), f"curve int, key long, vec_id long, vec {kind}, asks boolean")
     order = ["curve", "key", "vec_id"]
-    sorted_rows = laid.repartitionByRange(*order).sortWithinPartitions(*order).select("curve", "vec_id", "vec")
-    placed = stored(sorted_rows.mapInArrow(_numbered, f"curve int, vec_id long, vec {kind}, part int, seq long"))
+    sorted_rows = laid.repartitionByRange(*order).sortWithinPartitions(*order).select("curve", "vec_id", "vec", "asks")
+    placed = stored(sorted_rows.mapInArrow(_numbered, f"curve int, vec_id long, vec {kind}, asks boolean, part int, seq long"))
     counts = placed.groupBy("curve", "part").agg(F.count(F.lit(1)).alias("n"))
     before = Window.partitionBy("curve").orderBy("part").rowsBetween(Window.unboundedPreceding, -1)
     offsets = counts.select("curve", "part", F.coalesce(F.sum("n").over(before), F.lit(0)).alias("offset"), F.sum("n").over(Window.partitionBy("curve")).alias("n"))
     ranked = placed.join(offsets, ["curve", "part"]).withColumn("rank", F.col("offset") + F.col("seq"))
     rows = ranked.select(*[F.col(c).alias(c) for c in ("curve", "vec_id", "rank", "vec")], F.floor(F.col("rank") / block).alias("block"))
-    asked = ranked.join(queries.select(F.col(key).cast("long").alias("vec_id")).distinct(), "vec_id", "left_semi")
+    asked = ranked.filter("asks")
     reach = F.greatest(F.lit(least), F.ceil(F.col("n") * share)).cast("long")
     asked = asked.withColumn("reach", reach)
     first, last = F.floor(F.greatest(F.lit(0), F.col("rank") - F.col("reach")) / block), F.floor(F.least(F.col("n") - 1, F.col("rank") + F.col("reach")) / block)

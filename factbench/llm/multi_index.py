@@ -14,7 +14,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from factbench.llm.common import matrix, stored, valid_vector
+from factbench.llm.common import matrix, settles, stored, valid_vector
 from factbench.llm.components import connected, spanning
 
 
@@ -139,6 +139,7 @@ def _verified(threshold: float):
     return run
 
 
+@settles
 def near_groups(vectors: DataFrame, threshold: float = 0.9, key: str = "vec_id", column: str = "embedding", target: float = 0.97, cell_rows: int = 256, sample: int = 16384, block: int = 4096) -> DataFrame:
     """(vec_id, n_links, component_id, kept): links of cosine >= ``threshold`` found, and the smallest id they reach.
 

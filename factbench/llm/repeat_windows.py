@@ -16,7 +16,7 @@ from numpy.lib.stride_tricks import sliding_window_view
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from factbench.llm.common import OWNED, owned_batch, run_hashes, shared_tokens, stored, text_slices, without_ids, word_hashes
+from factbench.llm.common import OWNED, owned_batch, run_hashes, settles, shared_tokens, stored, text_slices, without_ids, word_hashes
 
 
 def _anchored(hashes: np.ndarray, seed: int, window: int) -> tuple[np.ndarray, np.ndarray]:
@@ -92,7 +92,7 @@ def _window_batch(win: np.ndarray, doc: np.ndarray, pos: np.ndarray) -> pa.Recor
 
 def _window_rows(seed: int, window: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in text_slices(batches):
+        for batch in text_slices(batches, most=4 << 20):
             wins, docs, places = [], [], []
             alive = batch.column(2)
             for i, (doc, text) in enumerate(zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True)):
@@ -137,6 +137,7 @@ def _cut(window: int, names: list[str]):
     return run
 
 
+@settles
 def repeated_windows(docs: DataFrame, window: int = 13, key: str = "doc_id", text: str = "text") -> DataFrame:
     """(doc_id, starts): where a document's windows start that also start in a document with a smaller id.
 

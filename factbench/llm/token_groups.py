@@ -22,7 +22,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from factbench.llm.common import OWNED, keep_ids, owned_batch, run_hashes, shared_tokens, stored, text_slices, word_hashes
+from factbench.llm.common import keep_ids, OWNED, owned_batch, run_hashes, settles, shared_tokens, stored, text_slices, word_hashes
 from factbench.llm.components import connected, spanning
 
 KEYS, PER_KEY = 6, 3
@@ -102,34 +102,50 @@ def _open_rows(threshold: int):
     return run
 
 
-def _opened(threshold: int, at_once: int = 128):
-    """Members of a cell against the documents that open it: links between different components, as spanning rows."""
+def _chunks(sizes: np.ndarray, cells: int) -> Iterator[slice]:
+    """Runs of rows whose number times their sum of sizes is at most ``cells``, one row at least."""
+    start = 0
+    while start < len(sizes):
+        sums = np.cumsum(sizes[start:]) * np.arange(1, len(sizes) - start + 1)
+        stop = start + max(1, int(np.searchsorted(sums, cells, "right")))
+        yield slice(start, stop)
+        start = stop
+
+
+def _opened(threshold: int, cells: int = 6_000_000):
+    """Members of a cell against the documents that open it: links between different components, as spanning rows.
+
+    Both sides go in chunks, so that no matrix of tokens has much more than ``cells`` entries.
+    """
 
     def run(members: pa.Table, askers: pa.Table) -> pa.Table:
         found_a, found_b = [], []
         if members.num_rows and askers.num_rows:
-            ids, of, sets = members["rep"].to_numpy(), members["own"].to_numpy(), [np.asarray(x.values) for x in members["tokens"]]
+            all_ids, all_of, all_sets = members["rep"].to_numpy(), members["own"].to_numpy(), [np.asarray(x.values) for x in members["tokens"]]
             q_ids, q_of = askers["q_rep"].to_numpy(), askers["q_own"].to_numpy()
-            sizes = np.array([len(t) for t in sets])
-            known, place = np.unique(np.concatenate(sets), return_inverse=True)
-            matrix = np.zeros((len(sets), len(known)), np.float32)
-            matrix[np.repeat(np.arange(len(sets)), sizes), place] = 1
-            for start in range(0, askers.num_rows, at_once):
-                some = [np.asarray(x.values) for x in askers["q_tokens"].slice(start, at_once)]
-                q_sizes = np.array([len(t) for t in some])
-                flat = np.concatenate(some)
-                at = np.minimum(np.searchsorted(known, flat), len(known) - 1)
-                hit = known[at] == flat
-                asked = np.zeros((len(some), len(known)), np.float32)
-                asked[np.repeat(np.arange(len(some)), q_sizes)[hit], at[hit]] = 1
-                common = np.rint(asked @ matrix.T).astype(np.int64)
-                linked = 100 * common >= threshold * (q_sizes[:, None] + sizes[None, :] - common)
-                linked &= q_of[start : start + at_once, None] != of[None, :]
-                i, j = np.nonzero(linked)
-                if len(i):
-                    nodes, least = spanning(q_ids[start + i], ids[j])
-                    found_a.append(nodes[nodes != least])
-                    found_b.append(least[nodes != least])
+            for chunk in _chunks(np.array([len(t) for t in all_sets]), cells):
+                ids, of, sets = all_ids[chunk], all_of[chunk], all_sets[chunk]
+                sizes = np.array([len(t) for t in sets])
+                known, place = np.unique(np.concatenate(sets), return_inverse=True)
+                matrix = np.zeros((len(sets), len(known)), np.float32)
+                matrix[np.repeat(np.arange(len(sets)), sizes), place] = 1
+                at_once = max(1, cells // len(known))
+                for start in range(0, askers.num_rows, at_once):
+                    some = [np.asarray(x.values) for x in askers["q_tokens"].slice(start, at_once)]
+                    q_sizes = np.array([len(t) for t in some])
+                    flat = np.concatenate(some)
+                    at = np.minimum(np.searchsorted(known, flat), len(known) - 1)
+                    hit = known[at] == flat
+                    asked = np.zeros((len(some), len(known)), np.float32)
+                    asked[np.repeat(np.arange(len(some)), q_sizes)[hit], at[hit]] = 1
+                    common = np.rint(asked @ matrix.T).astype(np.int64)
+                    linked = 100 * common >= threshold * (q_sizes[:, None] + sizes[None, :] - common)
+                    linked &= q_of[start : start + at_once, None] != of[None, :]
+                    i, j = np.nonzero(linked)
+                    if len(i):
+                        nodes, least = spanning(q_ids[start + i], ids[j])
+                        found_a.append(nodes[nodes != least])
+                        found_b.append(least[nodes != least])
         empty = np.empty(0, np.int64)
         return pa.table({"a": np.concatenate([empty, *found_a]), "b": np.concatenate([empty, *found_b])})
 
@@ -153,7 +169,7 @@ def _pair_rows(threshold: int):
 
 def _feature_rows(words: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in text_slices(batches, most=16 << 20):
+        for batch in text_slices(batches):
             rows, sets, seen = [], [], set()
             for doc, text in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
                 tokens = shingle_set(text, words)
@@ -181,7 +197,7 @@ def _feature_rows(words: int):
 def _prefix_rows(words: int, threshold: int, frequent):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         late = frequent.value
-        for batch in text_slices(batches, most=16 << 20):
+        for batch in text_slices(batches):
             tokens, owners = [], []
             for doc, text in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
                 own = shingle_set(text, words)
@@ -240,6 +256,7 @@ def _frequent(counts: DataFrame, most: int = 1_000_000) -> np.ndarray:
     return np.sort(rows["token"].to_numpy(np.int64).view(np.uint64))
 
 
+@settles
 def link_groups(docs: DataFrame, words: int = 4, threshold: int = 85, key: str = "doc_id", text: str = "text", group_rows: int = 256) -> DataFrame:
     """(doc_id, n_shingles, component_id) for every document.
 
