@@ -30,7 +30,7 @@ def language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """One document of each group of near duplicates, the one with the smallest id; five-word shingles, similarity of 0.8 or more."""
-    groups = stored(link_groups(docs, words=5, threshold=80))
+    groups = link_groups(docs, words=5, threshold=80)
     gone = groups.filter("doc_id > component_id").select(F.col("doc_id").alias("_gone")).distinct()
     return docs.join(gone, docs["doc_id"] == gone["_gone"], "left_anti")
 
