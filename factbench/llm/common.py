@@ -110,7 +110,7 @@ def running_sum(df: DataFrame, keys: list[str], bucket: str, order: list[Column]
 class _WordHashes(dict):
     """64-bit hashes of words; forgets all when full, so that memory stays bounded."""
 
-    most = 150_000
+    most = 100_000
 
     def __missing__(self, word: bytes) -> int:
         if len(self) >= self.most:

@@ -19,6 +19,8 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
+from factbench.llm.common import tidy
+
 ORDERS, BITS = 4, 18
 _SPREAD = np.array([2654435761, 2246822519, 3266489917, 668265263], np.uint32)
 _LETTERS = bytes(c if chr(c).isalpha() or c > 127 else 32 for c in range(256))
@@ -152,5 +154,7 @@ def predict(docs: DataFrame, model: LanguageModel | None, text: str = "text", pr
                 yield pa.RecordBatch.from_arrays(
                     [*part.columns[: len(names)], pa.array([known.languages[i] if i >= 0 else UNKNOWN for i in best.tolist()]), pa.array(most)], names=[*names, pred, score]
                 )
+            del batch
+            tidy()
 
     return docs.select(*names, F.when(has_letter(text), F.col(text)).alias("_letters")).mapInArrow(run, f"{fields}, {pred} string, {score} double")
