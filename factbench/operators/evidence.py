@@ -41,25 +41,24 @@ def newest(claims: DataFrame, evidence: DataFrame, key: str) -> DataFrame:
 
 
 def tokens(df: DataFrame, key: str, col: str = "text") -> DataFrame:
-    """(key, token, tf): lower-case runs of letters and digits."""
-    ts = F.filter(F.split(F.lower(F.col(col)), r"[^\p{L}\p{N}]+"), lambda t: t != "")
-    return df.select(F.col(key), F.explode(ts).alias("token")).groupBy(key, "token").agg(F.count(F.lit(1)).alias("tf"))
+    """(key, tokens): lower-case runs of letters and digits."""
+    return df.select(F.col(key), F.filter(F.split(F.lower(F.col(col)), r"[^\p{L}\p{N}]+"), lambda t: t != "").alias("tokens"))
 
 
 def search(claims: DataFrame, docs: DataFrame, k: int = 3, k1: float = 1.2, b: float = 0.75, before: bool = False) -> DataFrame:
     """(claim_id, doc_id, score, rank): the ``k`` documents of largest BM25 score for each claim.
 
-    An inverted-index join: distinct claim tokens meet postings first; sums per (claim, document) combine before
-    the shuffle. With ``before`` the time cut comes before ranking, as later documents would leak through ranks.
+    An inverted-index join: only tokens that some claim has leave the scan of the documents; lengths come from the
+    token arrays, not from postings; sums per (claim, document) combine before the shuffle. With ``before`` the time cut comes before ranking, as later documents would leak through ranks.
     """
-    asked = tokens(claims, "claim_id").select("claim_id", "token")
+    asked = tokens(claims, "claim_id").select("claim_id", F.explode("tokens").alias("token")).distinct()
     if before:
         asked = asked.join(claims.select("claim_id", "claim_ts"), "claim_id")
-    posts = tokens(docs, "doc_id")
-    lengths = posts.groupBy("doc_id").agg(F.sum("tf").alias("len"))
+    cut = tokens(docs, "doc_id")
+    lengths = cut.select("doc_id", F.size("tokens").alias("len")).filter("len > 0").groupBy("doc_id").agg(F.sum("len").alias("len"))
     corpus = lengths.agg(F.count(F.lit(1)).alias("n"), F.avg("len").alias("mean"))
     wanted = asked.select("token").distinct()
-    near = posts.join(wanted, "token", "left_semi")
+    near = cut.select("doc_id", F.explode("tokens").alias("token")).join(wanted, "token", "left_semi").groupBy("doc_id", "token").agg(F.count(F.lit(1)).alias("tf"))
     df = near.groupBy("token").agg(F.count(F.lit(1)).alias("df"))
     weighted = near.join(df, "token").join(lengths, "doc_id").crossJoin(F.broadcast(corpus))
     idf = F.log(1 + (F.col("n") - F.col("df") + 0.5) / (F.col("df") + 0.5))
