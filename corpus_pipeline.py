@@ -17,15 +17,12 @@ from factbench.llm.mixture import mixed_rows
 from factbench.llm.repeat_windows import remove_repeats
 from factbench.llm.token_groups import link_groups
 
-#: Below this score no language is supported; short clean texts score above 0.35.
-LEAST_SCORE = 0.2
-
 
 def language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents in a known language: those without text or letters, or that no language supports, go."""
-    model = train(docs, F.lit(True))
-    told = predict(docs, model, pred="_lang_pred", score="_lang_score")
-    return told.filter((F.col("_lang_pred") != UNKNOWN) & (F.col("_lang_score") >= LEAST_SCORE)).select(docs.columns)
+    """Documents in a known language: those without text or letters, or with fewer known byte runs than held-out texts tell, go."""
+    model = train(docs, F.lit(True), support=True)
+    told = predict(docs, model, pred="_lang_pred", score="_lang_score", support="_lang_support")
+    return told.filter((F.col("_lang_pred") != UNKNOWN) & (F.col("_lang_support") >= (model.least_support if model else 0.0))).select(docs.columns)
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

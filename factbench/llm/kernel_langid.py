@@ -6,6 +6,9 @@ ridge regression. As the scores are linear in a text's presence vector, the land
 into one matrix of a row per hashed run and a column per language; a batch of whole texts is then scored by one
 sparse matrix product. Its entries are rounded to a grid on which double sums are exact, so scores don't depend
 on how texts are batched.
+
+The scores only say which of the learned languages is nearest. Whether a text is in any of them is told by its
+support: the share of its runs that training texts have, with a bound set on texts held out of the training.
 """
 
 from __future__ import annotations
@@ -54,6 +57,12 @@ class LanguageModel:
     languages: list[str]
     weights: np.ndarray  # (1 << BITS) x languages
     bias: np.ndarray
+    known: np.ndarray | None = None  # a flag per hashed run that training texts have
+    least_support: float = 0.0
+
+    def support(self, sets: list[np.ndarray]) -> np.ndarray:
+        """The share of each text's runs that training texts have; 1 for all where none were recorded."""
+        return np.array([1.0 if self.known is None else self.known[s].mean() for s in sets])
 
     def scores(self, sets: list[np.ndarray]) -> np.ndarray:
         """A row per text, a column per language: the sparse presence matrix times the weights, normalised."""
@@ -98,14 +107,49 @@ def fit(sets: list[np.ndarray], labels: list[str], landmarks: int = 128, ridge:
     return LanguageModel(languages, (np.round(weights * grid) / grid).astype(np.float32), solved[-1])
 
 
-def _presence_rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    presence = Presence()
-    for batch in batches:
-        yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([presence(t).tobytes() for t in batch.column(1).to_pylist()], pa.binary())], names=["lang", "found"])
+def known_runs(sets: list[np.ndarray], labels: list[str]) -> dict[str, np.ndarray]:
+    """Flags of the runs of each language: those in two of its texts, or in one where it has fewer than eight."""
+    counts = {c: np.zeros(1 << BITS, np.int32) for c in set(labels)}
+    for own, c in zip(sets, labels, strict=True):
+        counts[c][own] += 1
+    return {c: n >= (2 if labels.count(c) >= 8 else 1) for c, n in counts.items()}
+
+
+def least_support(sets: list[np.ndarray], labels: list[str], shuffled: list[np.ndarray], lost: float = 0.005, way: float = 0.4, fewest: int = 8) -> float:
+    """A bound that lies ``way`` from the median of shuffled texts to what all but ``lost`` of the whole texts reach.
+
+    Every fourth text of a language is held out and measured whole and with shuffled characters. The bound errs to
+    the side of keeping, as short texts with an address or a token have less support; a language whose runs the
+    learned ones share is above it. Fewer than ``fewest`` held-out texts set no bound (0).
+    """
+    turns: dict[str, int] = {}
+    held = []
+    for c in labels:
+        turns[c] = turns.get(c, -1) + 1
+        held.append(turns[c] % 4 == 3)
+    if sum(held) < fewest:
+        return 0.0
+    kept = [i for i, h in enumerate(held) if not h]
+    tested = [i for i, h in enumerate(held) if h]
+    known = np.any(list(known_runs([sets[i] for i in kept], [labels[i] for i in kept]).values()), axis=0)
+    high = np.quantile([known[sets[i]].mean() for i in tested], lost)
+    low = np.median([known[shuffled[i]].mean() for i in tested])
+    return float(min(high, low + way * (high - low)))
+
+
+def _presence_rows(shuffled: bool):
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        presence = Presence()
+        for batch in batches:
+            texts = batch.column(1).to_pylist()
+            mixed = [presence("".join(np.random.default_rng(len(t)).permutation(list(t)))).tobytes() if shuffled else None for t in texts]
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([presence(t).tobytes() for t in texts], pa.binary()), pa.array(mixed, pa.binary())], names=["lang", "found", "shuffled"])
+
+    return run
 
 
-def train(docs: DataFrame, learn: Column, key: str = "doc_id", text: str = "text", lang: str = "lang", sample_rows: int = 2048, **options) -> LanguageModel | None:
-    """Fit on at most ``sample_rows`` whole texts with a letter among the rows where ``learn`` holds.
+def train(docs: DataFrame, learn: Column, key: str = "doc_id", text: str = "text", lang: str = "lang", sample_rows: int = 2048, support: bool = False, **options) -> LanguageModel | None:
+    """Fit on at most ``sample_rows`` whole texts with a letter among the rows where ``learn`` holds; with ``support``, learn its bound too.
 
     Every language gets the same share of the bound (eight rows at least), filled in the order of a hash of the
     id. None if there is nothing to learn from.
@@ -119,23 +163,28 @@ def train(docs: DataFrame, learn: Column, key: str = "doc_id", text: str = "text
     chosen = [r[0] for r in ids.select(key).collect()]  # no more than the bound
     wanted = docs.sparkSession.createDataFrame([(i,) for i in chosen], f"{key} {docs.schema[key].dataType.simpleString()}")
     rows = labelled.join(F.broadcast(wanted), key, "left_semi").filter(has_letter(text))
-    found = rows.select(lang, text).mapInArrow(_presence_rows, "lang string, found binary").toArrow()
-    pairs = sorted(zip(found["lang"].to_pylist(), found["found"].to_pylist(), strict=True))
+    found = rows.select(lang, text).mapInArrow(_presence_rows(support), "lang string, found binary, shuffled binary").toArrow()
+    pairs = sorted(zip(*[found[c].to_pylist() for c in ("lang", "found", "shuffled")], strict=True))
     if not pairs:
         return None
-    return fit([np.frombuffer(b, np.int32) for _, b in pairs], [c for c, _ in pairs], **options)
+    sets, labels = [np.frombuffer(b, np.int32) for _, b, _ in pairs], [c for c, *_ in pairs]
+    model = fit(sets, labels, **options)
+    if support:
+        model.known = np.any(list(known_runs(sets, labels).values()), axis=0)
+        model.least_support = least_support(sets, labels, [np.frombuffer(b, np.int32) for *_, b in pairs])
+    return model
 
 
-def predict(docs: DataFrame, model: LanguageModel | None, text: str = "text", pred: str = "lang_pred", score: str = "score", carry: list[str] | None = None) -> DataFrame:
-    """Add the predicted language of every whole text, and the winner's score scaled to 0..1.
+def predict(docs: DataFrame, model: LanguageModel | None, text: str = "text", pred: str = "lang_pred", score: str = "score", carry: list[str] | None = None, support: str | None = None) -> DataFrame:
+    """Add the predicted language of every whole text, and the winner's score scaled to 0..1; its support, if a column is named.
 
     Null texts, and texts without a letter, are ``und`` with score 0, as is everything without a model. Other
     columns are carried along (only those in ``carry``, if given); one with the name of a new column gives way to it. Repeated rows get
     equal results; an empty table gives an empty table.
     """
-    names = [c for c in (docs.columns if carry is None else carry) if c not in (pred, score)]
+    names = [c for c in (docs.columns if carry is None else carry) if c not in (pred, score, support)]
     if model is None:
-        return docs.select(*names, F.lit(UNKNOWN).alias(pred), F.lit(0.0).alias(score))
+        return docs.select(*names, F.lit(UNKNOWN).alias(pred), F.lit(0.0).alias(score), *([F.lit(0.0).alias(support)] if support else []))
     shared = docs.sparkSession.sparkContext.broadcast(model)
     fields = ", ".join(f"`{c}` {docs.schema[c].dataType.simpleString()}" for c in names)
 
@@ -145,16 +194,20 @@ def predict(docs: DataFrame, model: LanguageModel | None, text: str = "text", pr
             for at in range(0, batch.num_rows, 256):
                 part = batch.slice(at, 256)
                 texts = part.column(part.num_columns - 1).to_pylist()
-                best, most = np.full(len(texts), -1), np.zeros(len(texts))
+                best, most, backed = np.full(len(texts), -1), np.zeros(len(texts)), np.zeros(len(texts))
                 some = [i for i, t in enumerate(texts) if t is not None]
                 if some:
-                    scores = known.scores([presence(texts[i]) for i in some])
+                    sets = [presence(texts[i]) for i in some]
+                    scores = known.scores(sets)
                     best[some] = scores.argmax(axis=1)
                     most[some] = np.clip((1 + scores.max(axis=1)) / 2, 0, 1)
+                    if support:
+                        backed[some] = known.support(sets)
                 yield pa.RecordBatch.from_arrays(
-                    [*part.columns[: len(names)], pa.array([known.languages[i] if i >= 0 else UNKNOWN for i in best.tolist()]), pa.array(most)], names=[*names, pred, score]
+                    [*part.columns[: len(names)], pa.array([known.languages[i] if i >= 0 else UNKNOWN for i in best.tolist()]), pa.array(most), *([pa.array(backed)] if support else [])],
+                    names=[*names, pred, score, *([support] if support else [])],
                 )
             del batch
             tidy()
 
-    return docs.select(*names, F.when(has_letter(text), F.col(text)).alias("_letters")).mapInArrow(run, f"{fields}, {pred} string, {score} double")
+    return docs.select(*names, F.when(has_letter(text), F.col(text)).alias("_letters")).mapInArrow(run, f"{fields}, {pred} string, {score} double" + (f", {support} double" if support else ""))

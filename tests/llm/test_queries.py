@@ -51,3 +51,16 @@ def test_pipeline_of_odd_documents(spark, small):
     assert corpus_pipeline.STAGES[-1][1](spark, docs, small).count() == docs.count()
     for _, stage in corpus_pipeline.STAGES[:-1]:
         assert stage(spark, docs.limit(0), small).count() == 0
+
+
+def test_pipeline_drops_unlearned_languages_and_gibberish(spark, small):
+    docs = spark.read.parquet(f"{small}/documents.parquet")
+    odd = [
+        (-1, "zxqv wkjh qqpz vbnm xkcd jjqw zzxy kqvw", "en", "x", 39),
+        (-2, "hyvää huomenta kaikille ystäville tänään on kaunis päivä ja aurinko paistaa", None, "x", 75),
+        (-3, "Съешь же ещё этих мягких французских булок", None, "x", 42),
+    ]
+    told = corpus_pipeline.language(spark, docs.union(spark.createDataFrame(odd, docs.schema)), small)
+    ids = {r["doc_id"] for r in told.select("doc_id").collect()}
+    assert not ids & {-1, -2, -3}
+    assert ids == {r["doc_id"] for r in docs.filter(F.col("text").rlike(r"\p{L}")).select("doc_id").collect()}
