@@ -3,6 +3,7 @@
 Vectors are projected to a few random directions, several times over; each projection is shifted and laid along
 a Hilbert curve. Spark range-partitions and sorts every curve. A query meets the rows whose place on a curve is
 within a window of its own; the best of all curves merge and are ranked by exact scores on the original vectors.
+Equal vectors are one row on the curves, and become their smallest ids again once ranked.
 """
 
 from __future__ import annotations
@@ -99,7 +100,7 @@ def _best(k: int):
             for at in range(0, len(q_ids), 256):
                 part = slice(at, at + 256)
                 near = q_rows[part] @ rows.T
-                near[(np.abs(ranks[None, :] - q_ranks[part, None]) > reach[part, None]) | (ids[None, :] == q_ids[part, None])] = -np.inf
+                near[np.abs(ranks[None, :] - q_ranks[part, None]) > reach[part, None]] = -np.inf
                 edge = np.partition(near, max(0, len(ids) - k), axis=1)[:, max(0, len(ids) - k)]
                 slack = np.where(np.isfinite(edge), edge - 1e-9 * np.abs(edge) - 1e-300, -np.inf)  # ties survive rounding
                 i, j = np.nonzero((near >= slack[:, None]) & (near > -np.inf))
@@ -121,15 +122,22 @@ def _best(k: int):
 def search(vectors: DataFrame, queries: DataFrame, k: int = 20, key: str = "vec_id", column: str = "embedding", curves: int = 16, dims: int = 6, bits: int = 8, share: float = 0.05, least: int = 1024, block: int = 4096) -> DataFrame:
     """(query_id, rank, vec_id, score): the ``k`` rows of largest inner product that each query finds, its own id left out.
 
-    ``queries`` has ids of ``vectors`` in ``key``. A query meets, on each of ``curves`` curves, the rows within
-    ``share`` of all rows (at least ``least`` rows) before and after its own place; scores are doubles on the
+    ``queries`` has ids of ``vectors`` in ``key``. A query meets, on each of ``curves`` curves, the distinct
+    vectors within ``share`` of all (at least ``least``) before and after its own place; scores are doubles on the
     original vectors, ties go to the smaller id. Vectors that are null, zero or hold null or non-finite components,
     and rows with a null id, take no part. Repeated rows count once; an empty table gives an empty table; further
     columns are left out. All valid vectors must have one length.
     """
     valid = vectors.filter(valid_vector(column) & F.col(key).isNotNull()).select(F.col(key).cast("long").alias("vec_id"), F.col(column).alias("vec")).dropDuplicates(["vec_id"])
-    asking = queries.select(F.col(key).cast("long").alias("_query"), F.lit(True).alias("asks")).distinct()
-    valid = valid.join(asking, F.col("vec_id") == F.col("_query"), "left").select("vec_id", "vec", F.coalesce("asks", F.lit(False)).alias("asks"))
+    valid = stored(valid)
+    first_ids = Window.partitionBy("vec").orderBy("vec_id")
+    few = valid.withColumn("_n", F.row_number().over(first_ids)).filter(F.col("_n") <= k + 1)  # one may be the query itself
+    folded = stored(few.groupBy("vec").agg(F.min("vec_id").alias("vec_id"), F.array_sort(F.collect_list("vec_id")).alias("ids")))
+    asking = queries.select(F.col(key).cast("long").alias("vec_id")).distinct()
+    asking = valid.join(asking, "vec_id", "left_semi").select(F.col("vec_id").alias("query_id"), F.col("vec").alias("_vec"))
+    asking = stored(asking.join(folded, F.col("_vec") == F.col("vec")).select("query_id", F.col("vec_id").alias("_rep")))
+    asked_reps = asking.select("_rep", F.lit(True).alias("asks")).distinct()
+    valid = folded.join(asked_reps, F.col("vec_id") == F.col("_rep"), "left").select("vec_id", "vec", F.coalesce("asks", F.lit(False)).alias("asks"))
     kind = valid.schema["vec"].dataType.simpleString()
     laid = valid.mapInArrow(_on_curves(curves, dims, bits), f"curve int, key long, vec_id long, vec {kind}, asks boolean")
     order = ["curve", "key", "vec_id"]
@@ -145,7 +153,13 @@ def search(vectors: DataFrame, queries: DataFrame, k: int = 20, key: str = "vec_
     asked = asked.withColumn("reach", reach)
     first, last = F.floor(F.greatest(F.lit(0), F.col("rank") - F.col("reach")) / block), F.floor(F.least(F.col("n") - 1, F.col("rank") + F.col("reach")) / block)
     asked = asked.select("curve", F.explode(F.sequence(first, last)).alias("block"), "vec_id", "rank", "reach", "vec")
-    found = rows.groupBy("curve", "block").cogroup(asked.groupBy("curve", "block")).applyInArrow(_best(k), FOUND)
+    found = rows.groupBy("curve", "block").cogroup(asked.groupBy("curve", "block")).applyInArrow(_best(k + 1), FOUND)
     best = found.groupBy("query_id", "vec_id").agg(F.max("score").alias("score"))
     by_query = Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id")
-    return best.withColumn("rank", F.row_number().over(by_query)).filter(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
+    best = best.withColumn("_n", F.row_number().over(by_query)).filter(F.col("_n") <= k + 1)
+    ids = folded.select(F.col("vec_id").alias("_of"), "ids")
+    spread = best.join(ids, F.col("vec_id") == F.col("_of")).select("query_id", "score", F.explode("ids").alias("vec_id"))
+    spread = spread.withColumn("_n", F.row_number().over(by_query)).filter(F.col("_n") <= k + 1)
+    lists = spread.groupBy("query_id").agg(F.array_sort(F.collect_list(F.struct("_n", "vec_id", "score"))).alias("_list")).withColumnRenamed("query_id", "_found")
+    told = asking.join(lists, F.col("_rep") == F.col("_found")).select("query_id", F.posexplode(F.slice(F.filter("_list", lambda x: x["vec_id"] != F.col("query_id")), 1, k)).alias("_at", "_x"))
+    return told.select("query_id", (F.col("_at") + 1).alias("rank"), F.col("_x.vec_id").alias("vec_id"), F.col("_x.score").alias("score"))

@@ -338,6 +338,18 @@ def test_search_of_few_and_none(spark):
     assert [r["vec_id"] for r in curve_search.search(ties, ties.filter("vec_id = 3"), k=2).orderBy("rank").collect()] == [1, 7]
 
 
+def test_search_in_more_copies_than_a_window(spark):
+    rng = np.random.default_rng(9)
+    x = rng.standard_normal((300, 16))
+    x[100:] = x[100]  # 200 copies, windows of 20
+    df = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)], "vec_id long, embedding array<double>")
+    out = curve_search.search(df, df.filter("vec_id in (105, 200, 299)"), least=20, share=0.01, block=16)
+    found: dict = {}
+    for r in out.orderBy("query_id", "rank").collect():
+        found.setdefault(r["query_id"], []).append(r["vec_id"])
+    assert found == {q: [i for i in range(100, 300) if i != q][:20] for q in (105, 200, 299)}
+
+
 def test_hilbert_keys_step_by_one():
     side = np.stack(np.meshgrid(*[np.arange(8)] * 3), -1).reshape(-1, 3)
     keys = curve_search.hilbert_keys(side, 3)
