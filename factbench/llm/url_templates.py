@@ -47,11 +47,11 @@ def segments(path: str, depth: int) -> Column:
     return F.when(F.size(out) > depth, F.concat(F.slice(out, 1, depth), F.array(F.lit("**")))).otherwise(out)
 
 
-def templates(pages: DataFrame, labels: DataFrame, depth: int = 5, fan: int = 20, rare: float = 0.05, z: float = 1.96) -> DataFrame:
+def templates(pages: DataFrame, labels: DataFrame, depth: int = 5, fan: int = 20, rare: float = 0.05, z: float = 1.96, few: int = 5) -> DataFrame:
     """(path_key, template, n, labelled, bad): the template of every distinct generalised path.
 
     ``pages`` has page_id, path_key, host and segs; ``labels`` has page_id and bad (0 or 1). Among more than
-    ``fan`` children, those with under ``rare`` of their parent's pages become ``*``; so do those whose bad share
+    ``fan`` children, those with under ``rare`` of their parent's pages and under ``few`` labels become ``*``; so do those whose bad share
     is within ``z`` standard errors of their siblings', or that have no labels to tell them apart.
     """
     # a page's label comes in by key; hosts of any size are combined before the shuffle
@@ -67,7 +67,7 @@ def templates(pages: DataFrame, labels: DataFrame, depth: int = 5, fan: int = 20
         error = F.sqrt(pooled * (1 - pooled) * (F.try_divide(F.lit(1), F.col("k_labelled")) + F.try_divide(F.lit(1), rest)))
         apart = F.abs(F.try_divide("k_bad", "k_labelled") - F.try_divide(F.col("p_bad") - F.col("k_bad"), rest)) > z * error
         known = (F.col("k_labelled") > 0) & (rest > 0)
-        named = F.when((F.col("child") == "") | (F.col("kids") == 1), F.col("child")).when((F.col("kids") > fan) & (F.col("k_n") < rare * F.col("p_n")), "*").when(F.when(known, apart).otherwise(False), F.col("child")).otherwise("*")
+        named = F.when((F.col("child") == "") | (F.col("kids") == 1), F.col("child")).when((F.col("kids") > fan) & (F.col("k_n") < rare * F.col("p_n")) & (F.col("k_labelled") < few), "*").when(F.when(known, apart).otherwise(False), F.col("child")).otherwise("*")
         step = kids.join(above, "prefix").select("prefix", "child", named.alias("_named"))
         tree = tree.join(step, ["prefix", "child"]).withColumn("prefix", F.when(F.col("_named") == "", F.col("prefix")).otherwise(F.concat_ws("/", "prefix", "_named"))).drop("_named", "child")
         tree = stored(tree)  # each level reads the one before twice

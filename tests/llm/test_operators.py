@@ -453,6 +453,12 @@ def test_many_children_become_a_wildcard(spark):
     assert {x["template"] for x in r.values() if x["path"].startswith("/p/")} <= {"h.io/p/*", "h.io/*/*"}
 
 
+def test_a_bad_section_among_many_is_kept_apart(spark):
+    urls = [f"https://h.io/s{chr(97 + i % 30 // 6)}{chr(97 + i % 6)}/p" for i in range(600)]
+    r = judged(spark, urls, [(i, int(i % 30 == 7)) for i in range(600)])
+    assert {i for i in r if r[i]["verdict"] == "block"} == {i for i in range(600) if i % 30 == 7}
+
+
 def test_urls_of_an_empty_table(spark):
     pages = spark.createDataFrame([], "page_id long, url string")
     assert url_templates.judge(pages, spark.createDataFrame([], "page_id long, bad int")).count() == 0
