@@ -23,13 +23,17 @@ _stored: list[tuple[SparkSession, str]] = []
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder named in spark.checkpoint.dir; one of our own only where that is unset (tests, local runs)."""
+    """The folder named in spark.checkpoint.dir, else the checkpoint folder set on the context, else one in the warehouse.
+
+    All executors see the warehouse; a temporary folder of one machine is taken in local mode alone.
+    """
     named = spark.conf.get("spark.checkpoint.dir", None)
     if named:
         return named.rstrip("/")
     current = spark.sparkContext._jsc.sc().getCheckpointDir()
     if current.isEmpty():
-        spark.sparkContext.setCheckpointDir(tempfile.mkdtemp(prefix="factbench-"))
+        local = spark.sparkContext.master.startswith("local")
+        spark.sparkContext.setCheckpointDir(tempfile.mkdtemp(prefix="factbench-") if local else f"{spark.conf.get('spark.sql.warehouse.dir').rstrip('/')}/_factbench")
         current = spark.sparkContext._jsc.sc().getCheckpointDir()
     return current.get().rstrip("/")
 
@@ -74,12 +78,6 @@ def release() -> None:
 atexit.register(release)
 
 
-def without_ids(df: DataFrame, ids: DataFrame, key: str, most: int = 2_000_000) -> DataFrame:
-    """Rows of ``df`` whose ``key`` isn't in the stored one-column table ``ids``; as ``keep_ids``."""
-    small = ids.count() <= most
-    return df.join(F.broadcast(ids) if small else ids, key, "left_anti")
-
-
 def keep_ids(df: DataFrame, ids: DataFrame, key: str, most: int = 2_000_000) -> DataFrame:
     """Rows of ``df`` whose ``key`` is in the stored one-column table ``ids``: broadcast up to ``most`` ids, a shuffle beyond."""
     small = ids.count() <= most
@@ -131,14 +129,14 @@ def word_hashes(text: bytes) -> np.ndarray:
 _STEP = np.uint64(0x9E3779B97F4A7C15)
 
 
-def run_hashes(hashes: np.ndarray, length: int) -> np.ndarray:
-    """A 64-bit hash of each run of ``length`` consecutive words."""
+def run_hashes(hashes: np.ndarray, length: int, step: np.uint64 = _STEP) -> np.ndarray:
+    """A 64-bit hash of each run of ``length`` consecutive words; other odd ``step``s give independent ones."""
     n = len(hashes) - length + 1
     if n <= 0:
         return np.empty(0, np.uint64)
     out = np.zeros(n, np.uint64)
     for j in range(length):
-        out = out * _STEP + hashes[j : j + n]
+        out = out * step + hashes[j : j + n]
     out ^= out >> np.uint64(32)
     out *= np.uint64(0xD6E8FEB86659FD93)
     out ^= out >> np.uint64(32)

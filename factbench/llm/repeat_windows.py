@@ -16,7 +16,7 @@ from numpy.lib.stride_tricks import sliding_window_view
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from factbench.llm.common import OWNED, owned_batch, run_hashes, settles, shared_tokens, stored, text_slices, without_ids, word_hashes
+from factbench.llm.common import OWNED, owned_batch, run_hashes, settles, shared_tokens, stored, text_slices, word_hashes
 
 
 def _anchored(hashes: np.ndarray, seed: int, window: int) -> tuple[np.ndarray, np.ndarray]:
@@ -45,7 +45,8 @@ def _seed_rows(seed: int, window: int):
     return run
 
 
-WINDOWS = "win long, doc_id long, pos int, starts array<int>, sure boolean"
+#: ``twin`` tells the different texts of one id apart (0 for an id with one text); ``more`` are further bits of the window's hash.
+WINDOWS = "win long, more int, doc_id long, twin long, pos int, starts array<int>, sure boolean"
 
 
 def _pairs(starts: np.ndarray) -> np.ndarray:
@@ -54,23 +55,23 @@ def _pairs(starts: np.ndarray) -> np.ndarray:
     return np.stack([starts[first], np.diff(np.r_[first, len(starts)])], axis=1).ravel()
 
 
-def _window_batch(win: np.ndarray, doc: np.ndarray, pos: np.ndarray) -> pa.RecordBatch:
+def _window_batch(win: np.ndarray, more: np.ndarray, doc: np.ndarray, twin: np.ndarray, pos: np.ndarray) -> pa.RecordBatch:
     """Windows of a batch: those that a smaller document of the batch has are sure; the others are up for comparison."""
-    order = np.lexsort((pos, doc, win))
-    win, doc, pos = win[order], doc[order], pos[order]
-    fresh = np.r_[True, win[1:] != win[:-1]]
+    order = np.lexsort((pos, twin, doc, more, win))
+    win, more, doc, twin, pos = win[order], more[order], doc[order], twin[order], pos[order]
+    fresh = np.r_[True, (win[1:] != win[:-1]) | (more[1:] != more[:-1])]
     least = doc[np.flatnonzero(fresh)][np.cumsum(fresh) - 1]
     sure = doc > least
-    lists, wins, docs, flags = [], [], [], []
-    again = np.lexsort((pos[sure], doc[sure]))
-    d, p = doc[sure][again], pos[sure][again]
-    for part in np.split(np.arange(len(d)), np.flatnonzero(np.diff(d)) + 1) if len(d) else []:
+    lists, wins, docs, twins = [], [], [], []
+    again = np.lexsort((pos[sure], twin[sure], doc[sure]))
+    d, t, p = doc[sure][again], twin[sure][again], pos[sure][again]
+    for part in np.split(np.arange(len(d)), np.flatnonzero((np.diff(d) != 0) | (np.diff(t) != 0)) + 1) if len(d) else []:
         lists.append(_pairs(p[part]))
         docs.append(d[part[0]])
+        twins.append(t[part[0]])
         wins.append(hash((int(d[part[0]]), 0x5EED)) & 0x7FFFFFFFFFFFFFFF)  # deals these rows out evenly
-        flags.append(True)
-    w, d, p = win[~sure], doc[~sure], pos[~sure]
-    first = np.flatnonzero(np.r_[True, w[1:] != w[:-1]]) if len(w) else np.empty(0, np.int64)
+    w, m, d, t, p = win[~sure], more[~sure], doc[~sure], twin[~sure], pos[~sure]
+    first = np.flatnonzero(np.r_[True, (w[1:] != w[:-1]) | (m[1:] != m[:-1]) | (t[1:] != t[:-1])]) if len(w) else np.empty(0, np.int64)
     # most windows start once in their document: those need no list
     times = np.diff(np.r_[first, len(w)])
     many = np.repeat(times > 1, times)
@@ -81,20 +82,22 @@ def _window_batch(win: np.ndarray, doc: np.ndarray, pos: np.ndarray) -> pa.Recor
     return pa.RecordBatch.from_arrays(
         [
             pa.array(np.r_[np.array(wins, np.int64), w[first].view(np.int64)]),
+            pa.array(np.r_[np.zeros(len(wins), np.int32), m[first]]),
             pa.array(np.r_[np.array(docs, np.int64), d[first]]),
+            pa.array(np.r_[np.array(twins, np.int64), t[first]]),
             pa.array(np.r_[np.full(len(docs), -1), p[first]].astype(np.int32)),
             starts,
-            pa.array(np.r_[np.ones(len(flags), bool), np.zeros(len(first), bool)]),
+            pa.array(np.r_[np.ones(len(docs), bool), np.zeros(len(first), bool)]),
         ],
-        names=["win", "doc_id", "pos", "starts", "sure"],
+        names=["win", "more", "doc_id", "twin", "pos", "starts", "sure"],
     )
 
 
 def _window_rows(seed: int, window: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in text_slices(batches, most=4 << 20):
-            wins, docs, places = [], [], []
-            alive = batch.column(2)
+            found: list[list[np.ndarray]] = []
+            alive, twins = batch.column(2), batch.column(3).to_pylist()
             for i, (doc, text) in enumerate(zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True)):
                 if not alive[i].is_valid or not text:
                     continue
@@ -103,15 +106,18 @@ def _window_rows(seed: int, window: int):
                 kept = np.asarray(alive[i].values).view(np.uint64)
                 pos = np.flatnonzero(np.isin(seeds[at], kept))
                 if len(pos):
-                    wins.append(run_hashes(hashes, window)[pos])
-                    places.append(pos)
-                    docs.append(np.full(len(pos), doc, np.int64))
-            if wins:
-                yield _window_batch(np.concatenate(wins), np.concatenate(docs), np.concatenate(places))
+                    # 96 bits: two windows of 64 equal bits are common among very many
+                    further = (run_hashes(hashes, window, _OTHER)[pos] >> np.uint64(32)).astype(np.uint32).view(np.int32)
+                    found.append([run_hashes(hashes, window)[pos], further, np.full(len(pos), doc, np.int64), np.full(len(pos), twins[i], np.int64), pos])
+            if found:
+                yield _window_batch(*(np.concatenate(column) for column in zip(*found, strict=True)))
 
     return run
 
 
+_OTHER = np.uint64(0xC2B2AE3D27D4EB4F)
+
+
 def _cut(window: int, names: list[str]):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for part in text_slices(batches):
@@ -137,31 +143,50 @@ def _cut(window: int, names: list[str]):
     return run
 
 
+def _twin(doc: str, text: str, several: DataFrame, docs: DataFrame) -> DataFrame:
+    """``docs`` with ``twin``: 0, or a hash of the text for ids that have several texts."""
+    small = several.count() <= 2_000_000
+    marked = docs.join(F.broadcast(several) if small else several, F.col(doc) == F.col("_several"), "left")
+    return marked.withColumn("twin", F.when(F.col("_several").isNull(), F.lit(0).cast("long")).otherwise(F.xxhash64(text))).drop("_several")
+
+
 @settles
-def repeated_windows(docs: DataFrame, window: int = 13, key: str = "doc_id", text: str = "text") -> DataFrame:
-    """(doc_id, starts): where a document's windows start that also start in a document with a smaller id.
+def _ids_of_several_texts(docs: DataFrame, key: str, text: str) -> DataFrame:
+    kinds = docs.filter(F.col(key).isNotNull()).select(F.col(key).cast("long").alias("_several"), F.xxhash64(F.col(text).cast("binary")).alias("_t"))
+    return kinds.groupBy("_several").agg(F.min("_t").alias("a"), F.max("_t").alias("b")).filter("a < b").select("_several")
 
-    ``starts`` are runs: first word, number of starts, and so on. Documents without any don't appear.
+
+@settles
+def repeated_windows(docs: DataFrame, window: int = 13, key: str = "doc_id", text: str = "text", several: DataFrame | None = None) -> DataFrame:
+    """(doc_id, twin, starts): where a document's windows start that also start in a document with a smaller id.
+
+    ``starts`` are runs: first word, number of starts, and so on. Documents without any don't appear. Rows with one
+    id and different texts are told apart by ``twin``, and don't count as repeats of each other. ``several`` has
+    the ids with different texts in ``_several``, if they are known.
     """
     seed = max(1, window // 2)
-    whole = docs.select(F.col(key).cast("long").alias("doc_id"), F.col(text).cast("binary").alias("text"))
+    several = _ids_of_several_texts(docs, key, text) if several is None else several
+    whole = _twin("doc_id", "text", several, docs.select(F.col(key).cast("long").alias("doc_id"), F.col(text).cast("binary").alias("text"))).filter("doc_id is not null")
     # equal texts: all windows of all but the first repeat, and only the first goes on
-    same = whole.filter("doc_id is not null").select("doc_id", F.md5("text").alias("same"))
+    same = whole.select("doc_id", "twin", F.md5("text").alias("same"))
     first = same.groupBy("same").agg(F.min("doc_id").alias("first"), F.max("doc_id").alias("last")).filter("first < last").drop("last")
-    copies = stored(same.join(first, "same").filter("doc_id > first").select("doc_id").distinct())
-    whole = without_ids(whole, copies, "doc_id")
-    anchors = shared_tokens(whole.mapInArrow(_seed_rows(seed, window), OWNED))
+    copies = stored(same.join(first, "same").filter("doc_id > first").select("doc_id", "twin").distinct())
+    few = copies.count() <= 2_000_000
+    whole = whole.join(F.broadcast(copies) if few else copies, ["doc_id", "twin"], "left_anti")
+    # one number stands for (id, twin) up to the comparison
+    whole = whole.withColumn("owner", F.when(F.col("twin") == 0, F.col("doc_id")).otherwise(F.xxhash64("doc_id", "twin")))
+    anchors = shared_tokens(whole.select("owner", "text").mapInArrow(_seed_rows(seed, window), OWNED))
     alive = stored(anchors.groupBy("owner").agg(F.collect_list("token").alias("alive")).withColumnRenamed("owner", "_doc"))
     if alive.count() <= 2_000_000:  # a short list keeps other texts out of the shuffle
-        whole = whole.join(F.broadcast(alive.select(F.col("_doc").alias("doc_id"))), "doc_id", "left_semi")
-    near = whole.join(alive, whole["doc_id"] == alive["_doc"]).select("doc_id", "text", "alive")
+        whole = whole.join(F.broadcast(alive.select(F.col("_doc").alias("owner"))), "owner", "left_semi")
+    near = whole.join(alive, whole["owner"] == alive["_doc"]).select("doc_id", "text", "alive", "twin")
     rows = stored(near.mapInArrow(_window_rows(seed, window), WINDOWS))
     # a window stays if a smaller document has it; sure ones meet themselves. Both sides read one exchange.
-    smaller = F.col("a.sure") | (F.col("b.doc_id") < F.col("a.doc_id")) & ~F.col("b.sure") & ((F.col("b.pos") >= 0) | F.col("b.starts").isNotNull())
+    smaller = F.col("a.sure") | (F.col("b.doc_id") < F.col("a.doc_id")) & (F.col("b.more") == F.col("a.more")) & ~F.col("b.sure") & ((F.col("b.pos") >= 0) | F.col("b.starts").isNotNull() | F.col("b.twin").isNull())
     found = rows.alias("a").join(rows.alias("b").hint("merge"), (F.col("a.win") == F.col("b.win")) & smaller, "left_semi")
     runs = F.coalesce("starts", F.array("pos", F.lit(1)))
-    starts = found.groupBy("doc_id").agg(F.flatten(F.collect_list(runs)).alias("starts"))
-    return starts.unionByName(copies.select("doc_id", F.array(F.lit(0), F.lit(1 << 30)).alias("starts")))
+    starts = found.groupBy("doc_id", "twin").agg(F.flatten(F.collect_list(runs)).alias("starts"))
+    return starts.unionByName(copies.select("doc_id", "twin", F.array(F.lit(0), F.lit(1 << 30)).alias("starts")))
 
 
 def remove_repeats(docs: DataFrame, window: int = 13, key: str = "doc_id", text: str = "text", carry: list[str] | None = None) -> DataFrame:
@@ -170,13 +195,16 @@ def remove_repeats(docs: DataFrame, window: int = 13, key: str = "doc_id", text:
     A window is ``window`` consecutive words of one document; it counts as repeated if its words also start in a
     document with a smaller id, judged on the input. ``kept`` has the other words, joined by one space, and
     ``text`` the input. Null and empty texts have no words. Rows with a null id keep all words and take no part.
-    Repeated rows (same id, same text) are one document and each lose the same words; an empty table gives an
-    empty table; further columns are left out but for those in ``carry``, whose names may not clash with these.
+    Repeated rows (same id, same text) are one document and each lose the same words; rows with one id and different
+    texts each lose only their own, and are no repeats of each other. An empty table gives an empty table; further
+    columns are left out but for those in ``carry``, whose names may not clash with these.
     """
-    found = repeated_windows(docs, window, key, text).withColumnRenamed("doc_id", "_doc")
+    several = _ids_of_several_texts(docs, key, text)
+    found = repeated_windows(docs, window, key, text, several).withColumnsRenamed({"doc_id": "_doc", "twin": "_twin"})
     more = carry or []
-    whole = docs.select(F.col(key).cast("long").alias("doc_id"), F.col(text).cast("binary").alias("text"), *more)
-    joined = whole.join(found, whole["doc_id"] == found["_doc"], "left").select("doc_id", "text", "starts", *more)
+    whole = docs.select(F.col(key).cast("long").alias("doc_id"), F.col(text).cast("binary").alias("text"), *[F.col(c).alias(f"_carry{n}") for n, c in enumerate(more)])
+    whole = _twin("doc_id", "text", several, whole)
+    joined = whole.join(found, (whole["doc_id"] == found["_doc"]) & (whole["twin"] == found["_twin"]), "left").select("doc_id", "text", "starts", *[F.col(f"_carry{n}").alias(c) for n, c in enumerate(more)])
     names = ["doc_id", "n_words", "n_removed", "kept", "text", *more]
     kinds = ", ".join(f"`{c}` {docs.schema[c].dataType.simpleString()}" for c in more)
     out = joined.mapInArrow(_cut(window, names), "doc_id long, n_words long, n_removed long, kept binary, text binary" + (f", {kinds}" if more else ""))
