@@ -102,6 +102,20 @@ def _visit_rows(grid):
 MET = "rep long, links long, other long"
 
 
+def _near(a: np.ndarray, b: np.ndarray, threshold: float) -> tuple[np.ndarray, np.ndarray]:
+    """Pairs of unit rows with cosine >= threshold; close calls are summed again in the order of components."""
+    product = a @ b.T
+    i, j = np.nonzero(product >= threshold - 1e-9)
+    close = np.flatnonzero(product[i, j] < threshold + 1e-9)
+    if len(close):
+        x, y = a[i[close]], b[j[close]]
+        dot, norms = np.cumsum(x * y, axis=1)[:, -1], np.cumsum(x * x, axis=1)[:, -1] * np.cumsum(y * y, axis=1)[:, -1]
+        kept = np.ones(len(i), bool)
+        kept[close] = dot / np.sqrt(norms) >= threshold
+        i, j = i[kept], j[kept]
+    return i, j
+
+
 def _verified(threshold: float):
     def run(left: pa.Table, right: pa.Table) -> pa.Table:
         reps, links, others = [np.empty(0, np.int64)], [np.empty(0, np.int64)], [np.empty(0, np.int64)]
@@ -110,7 +124,7 @@ def _verified(threshold: float):
             p_ids, p_copies, p_rows, p_home = right["p_rep"].to_numpy(), right["p_copies"].to_numpy(), unit(matrix(right["p_vec"])), right["p_home"].to_numpy()
             total = np.zeros(len(ids), np.int64)
             for at in range(0, len(p_ids), 512):
-                i, j = np.nonzero(p_rows[at : at + 512] @ rows.T >= threshold)
+                i, j = _near(p_rows[at : at + 512], rows, threshold)
                 i += at
                 once = p_ids[i] < ids[j]
                 back = np.flatnonzero(p_ids[i] > ids[j])  # the other way round it is found too, if the member visits the visitor's home
@@ -146,16 +160,29 @@ def near_groups(vectors: DataFrame, threshold: float = 0.9, key: str = "vec_id",
     Codebooks are fitted on the ``sample`` rows of least hash; every row is indexed. Equal vectors count once and
     link with all their copies. Vectors that are null, zero or hold null or non-finite components link with
     nothing: n_links 0, their own component, kept. Rows with a null id keep it, link with nothing and are kept.
-    Repeated rows (same id) count once as a partner and each give a row. An empty table gives an empty table;
-    further columns are left out. All valid vectors must have one length.
+    Repeated rows (same id) count once as a partner and each give a row. Vectors of different lengths don't link.
+    An empty table gives an empty table; further columns are left out.
     """
-    spark = vectors.sparkSession
     every = vectors.select(F.col(key).cast("long").alias("vec_id"), F.when(valid_vector(column), F.col(column)).alias("vec"))
     valid = every.filter("vec is not null and vec_id is not null")
     alike = stored(valid.groupBy("vec").agg(F.min("vec_id").alias("rep"), F.count_distinct("vec_id").alias("copies")).select("rep", "vec", "copies"))
-    n = alike.count()
-    if n == 0:
+    lengths = sorted(r[0] for r in alike.select(F.size("vec")).distinct().collect())  # one in all but broken tables
+    parts = [_linked(alike.filter(F.size("vec") == n), threshold, target, cell_rows, sample, block) for n in lengths]
+    if not parts:
         return every.select("vec_id", F.lit(0).cast("long").alias("n_links"), F.col("vec_id").alias("component_id"), F.lit(True).alias("kept"))
+    links, groups = parts[0]
+    for more_links, more_groups in parts[1:]:
+        links, groups = links.unionByName(more_links), groups.unionByName(more_groups)
+    told = alike.join(links, "rep", "left").join(groups, F.col("rep") == F.col("node"), "left").select("vec", F.coalesce("links", F.lit(0)).alias("_links"), "copies", F.coalesce("component", "rep").alias("_component"))
+    out = every.join(told, (every["vec"] == told["vec"]) & every["vec_id"].isNotNull(), "left")
+    component = F.coalesce("_component", "vec_id")
+    return out.select("vec_id", F.coalesce(F.col("_links") + F.col("copies") - 1, F.lit(0)).alias("n_links"), component.alias("component_id"), F.coalesce(component == F.col("vec_id"), F.lit(True)).alias("kept"))
+
+
+def _linked(alike: DataFrame, threshold: float, target: float, cell_rows: int, sample: int, block: int) -> tuple[DataFrame, DataFrame]:
+    """(rep, links) and (node, component) of distinct vectors of one length."""
+    spark = alike.sparkSession
+    n = alike.count()
     taken = alike.orderBy(F.xxhash64("rep"), "rep").limit(sample).select("vec").toArrow()
     size = int(np.clip(round((n / cell_rows) ** 0.5), 2, 1024))
     grid = spark.sparkContext.broadcast(fit(matrix(taken["vec"]), size, threshold, target))
@@ -169,7 +196,4 @@ def near_groups(vectors: DataFrame, threshold: float = 0.9, key: str = "vec_id",
     met = stored(members.groupBy("cell", "chunk").cogroup(visitors.groupBy("cell", "chunk")).applyInArrow(_verified(threshold), MET))
     links = met.groupBy("rep").agg(F.sum("links").alias("links"))
     groups = connected(met.filter("rep != other").select("rep", "other"), "rep", "other")
-    told = alike.join(links, "rep", "left").join(groups, F.col("rep") == F.col("node"), "left").select("vec", F.coalesce("links", F.lit(0)).alias("_links"), "copies", F.coalesce("component", "rep").alias("_component"))
-    out = every.join(told, (every["vec"] == told["vec"]) & every["vec_id"].isNotNull(), "left")
-    component = F.coalesce("_component", "vec_id")
-    return out.select("vec_id", F.coalesce(F.col("_links") + F.col("copies") - 1, F.lit(0)).alias("n_links"), component.alias("component_id"), F.coalesce(component == F.col("vec_id"), F.lit(True)).alias("kept"))
+    return links, groups
