@@ -75,6 +75,26 @@ def test_repeats_keep_all_rows(odd, empty):
     assert repeat_windows.remove_repeats(empty).count() == 0
 
 
+def test_repeats_of_one_id_with_several_texts(spark):
+    """Rows with one id lose only windows of their own text that a smaller id has, not each other's."""
+    own, other, shared = (" ".join(f"{c}{i}" for i in range(30)) for c in "abc")
+    rows = [(1, shared), (2, own), (2, f"{other} {shared}"), (2, f"{own} z"), (3, f"{own} y"), (2, None), (2, f"{other} {shared}")]
+    got = repeat_windows.remove_repeats(spark.createDataFrame(rows, "doc_id long, text string")).collect()
+    assert sorted((r["doc_id"], r["text"] or "", r["kept"], r["n_removed"]) for r in got) == sorted(
+        [(1, shared, shared, 0), (2, own, own, 0), *[(2, f"{other} {shared}", other, 30)] * 2, (2, f"{own} z", f"{own} z", 0), (3, f"{own} y", "y", 30), (2, "", "", 0)]
+    )
+
+
+def test_further_bits_are_independent():
+    from factbench.llm.common import run_hashes
+
+    a, b = np.array([1, 2**63], np.uint64), np.array([1 + 2**63, 0], np.uint64)  # equal sums in steps that agree in their last bit, whatever the step
+    c = np.array([5, 7], np.uint64)
+    d = np.array([6, (7 - 0x9E3779B97F4A7C15) % 2**64], np.uint64)
+    assert run_hashes(c, 2) == run_hashes(d, 2) and run_hashes(c, 2, repeat_windows._OTHER) != run_hashes(d, 2, repeat_windows._OTHER)
+    assert run_hashes(a, 2) == run_hashes(b, 2)
+
+
 def test_longest_doubles(spark):
     body = " ".join(f"q{i}" for i in range(60))
     df = spark.createDataFrame([(1, body), (2, "start " + body), (3, " ".join(body.split()[:20])), (4, "nothing shared here")], "doc_id long, text string")
@@ -314,7 +334,7 @@ def vectors(spark, n=900, dims=16):
 
 def test_search_recall_and_order(spark):
     df, x = vectors(spark)
-    out = curve_search.search(df, df.filter("vec_id % 20 = 0"), least=150, share=0.05, block=64)
+    out = curve_search.search(df, df.filter("vec_id % 20 = 0"), curves=24, reach=60, block=64)
     found: dict = {}
     for r in out.orderBy("query_id", "rank").collect():
         found.setdefault(r["query_id"], []).append((r["rank"], r["vec_id"], r["score"]))
@@ -343,13 +363,51 @@ def test_search_in_more_copies_than_a_window(spark):
     x = rng.standard_normal((300, 16))
     x[100:] = x[100]  # 200 copies, windows of 20
     df = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)], "vec_id long, embedding array<double>")
-    out = curve_search.search(df, df.filter("vec_id in (105, 200, 299)"), least=20, share=0.01, block=16)
+    out = curve_search.search(df, df.filter("vec_id in (105, 200, 299)"), reach=20, block=16)
     found: dict = {}
     for r in out.orderBy("query_id", "rank").collect():
         found.setdefault(r["query_id"], []).append(r["vec_id"])
     assert found == {q: [i for i in range(100, 300) if i != q][:20] for q in (105, 200, 299)}
 
 
+def test_search_meets_less_than_half_of_the_rows(spark):
+    """Groups of near vectors: most neighbours are found though the windows of a query cover a small part of the table."""
+    rng = np.random.default_rng(10)
+    x = np.repeat(rng.standard_normal((150, 16)), 30, axis=0) + 0.25 * rng.standard_normal((4500, 16))
+    curves, reach, asked = 20, 40, range(0, 4500, 90)
+    met = np.zeros((len(asked), len(x)), bool)
+    for curve in range(curves):
+        place = np.argsort(np.lexsort((np.arange(len(x)), curve_search.curve_keys(x, curve, 10, 6))))
+        met |= np.abs(place[None, :] - place[list(asked)][:, None]) <= reach
+    assert met.mean() < 0.3
+    df = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)], "vec_id long, embedding array<double>")
+    found: dict = {}
+    for r in curve_search.search(df, df.filter("vec_id % 90 = 0"), curves=curves, reach=reach, block=512).collect():
+        found.setdefault(r["query_id"], set()).add(r["vec_id"])
+    hits = 0
+    for q, own in zip(asked, met, strict=True):
+        s = x @ x[q]
+        s[q] = -np.inf
+        assert found[q] == set(np.lexsort((np.arange(len(x)), np.where(own, -s, np.inf)))[:20].tolist())  # the bounds lose nothing that the windows meet
+        hits += len(found[q] & set(np.argsort(-s)[:20].tolist()))
+    assert hits / (20 * len(asked)) > 0.9
+
+
+def test_bytes_bound_scores():
+    rng = np.random.default_rng(11)
+    x, q = rng.standard_normal((500, 24)) * rng.uniform(0.01, 50, (500, 1)), rng.standard_normal(24)
+    codes, scale = curve_search.coded(x)
+    assert (np.abs((codes @ q) * scale - x @ q) <= scale * 0.5 * np.abs(q).sum() + 1e-9).all()
+
+
+def test_vectors_of_different_lengths_dont_meet(spark):
+    rows = [(1, [1.0, 0.0]), (2, [1.0, 0.1]), (3, [1.0, 0.0, 0.0]), (4, [0.9, 0.0, 0.1]), (5, [1.0]), (6, [])]
+    df = spark.createDataFrame(rows, "vec_id long, embedding array<double>")
+    assert {(r["query_id"], r["vec_id"]) for r in curve_search.search(df, df).collect()} == {(1, 2), (2, 1), (3, 4), (4, 3)}
+    got = {r["vec_id"]: (r["n_links"], r["component_id"]) for r in multi_index.near_groups(df).collect()}
+    assert got == {1: (1, 1), 2: (1, 1), 3: (1, 3), 4: (1, 3), 5: (0, 5), 6: (0, 6)}
+
+
 def test_hilbert_keys_step_by_one():
     side = np.stack(np.meshgrid(*[np.arange(8)] * 3), -1).reshape(-1, 3)
     keys = curve_search.hilbert_keys(side, 3)
@@ -373,6 +431,31 @@ def test_near_groups_recall(spark):
     assert multi_index.near_groups(df.limit(0)).count() == 0
 
 
+def test_near_groups_where_most_cells_are_skipped(spark):
+    """Thousands of vectors with planted neighbours of cosine 0.90 to 0.95: few cells are visited, most links found."""
+    rng = np.random.default_rng(12)
+    x = multi_index.unit(rng.standard_normal((6000, 32)))
+    noise = rng.standard_normal((600, 32))
+    noise -= (noise * x[:600]).sum(1, keepdims=True) * x[:600]
+    cosine = rng.uniform(0.9001, 0.95, (600, 1))
+    x = np.r_[x, cosine * x[:600] + np.sqrt(1 - cosine**2) * multi_index.unit(noise)]
+    links = x @ x.T >= 0.9
+    np.fill_diagonal(links, False)
+    grid = multi_index.fit(x[:4096], round((6600 / 16) ** 0.5), 0.9, 0.97)
+    assert grid.visits < 0.3 * len(grid.first) * len(grid.second)
+    df = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)], "vec_id long, embedding array<double>")
+    got = {r["vec_id"]: r["n_links"] for r in multi_index.near_groups(df, cell_rows=16, sample=4096).collect()}
+    assert all(got[i] <= n for i, n in enumerate(links.sum(1))) and sum(got.values()) >= 0.9 * links.sum() >= 1000
+
+
+def test_links_at_the_threshold_are_summed_in_order():
+    a = multi_index.unit(np.array([[1.0, 0.0, 0.0], [3.0, 4.0, 0.0]]))
+    b = multi_index.unit(np.array([[0.9, np.sqrt(1 - 0.81), 0.0], [0.6, 0.8, 0.0], [0.9 - 1e-7, np.sqrt(1 - (0.9 - 1e-7) ** 2), 0.0]]))
+    i, j = multi_index._near(a, b, 0.9)
+    want = {(p, q) for p in range(2) for q in range(3) if sum(u * v for u, v in zip(a[p], b[q], strict=True)) / math.sqrt(sum(u * u for u in a[p]) * sum(v * v for v in b[q])) >= 0.9}
+    assert set(zip(i.tolist(), j.tolist(), strict=True)) == want and (0, 2) not in want
+
+
 def test_traversal_visits_the_nearest_cells():
     rng = np.random.default_rng(1)
     grid = multi_index.Grid(rng.standard_normal((7, 4)), rng.standard_normal((9, 4)))
