@@ -22,7 +22,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from factbench.llm.common import tidy
+from factbench.llm.common import settles, tidy
 
 ORDERS, BITS = 4, 18
 _SPREAD = np.array([2654435761, 2246822519, 3266489917, 668265263], np.uint32)
@@ -74,30 +74,23 @@ class LanguageModel:
 def _kernel(a: list[np.ndarray], b: list[np.ndarray]) -> np.ndarray:
     out = np.empty((len(a), len(b)))
     flags = np.zeros(1 << BITS, bool)
-    for j, other in enumerate(b):
-        flags[other] = True
-        out[:, j] = [flags[s].sum() / np.sqrt(len(s) * len(other)) for s in a]
-        flags[other] = False
+    for i, own in enumerate(a):
+        flags[own] = True
+        out[i] = [flags[s].sum() / np.sqrt(len(s) * len(own)) for s in b]
+        flags[own] = False
     return out
 
 
-def fit(sets: list[np.ndarray], labels: list[str], landmarks: int = 128, ridge: float = 1e-3) -> LanguageModel:
-    """Kernel ridge regression on Nyström features; landmarks are taken from all languages in turn."""
+def fit(marks: list[np.ndarray], k_nm: np.ndarray, labels: list[str], ridge: float = 1e-3) -> LanguageModel:
+    """Kernel ridge regression on Nyström features: ``marks`` are the landmarks' sets, ``k_nm`` the kernel of every labelled text with each."""
     languages = sorted(set(labels))
-    turns = {c: 0 for c in languages}
-    places = []
-    for i, c in enumerate(labels):
-        places.append((turns[c], c, i))
-        turns[c] += 1
-    chosen = [i for *_, i in sorted(places)[:landmarks]]
-    marks = [sets[i] for i in chosen]
-    k_mm, k_nm = _kernel(marks, marks), _kernel(sets, marks)
+    k_mm = _kernel(marks, marks)
     values, basis = np.linalg.eigh((k_mm + k_mm.T) / 2)
     good = values > 1e-8 * values[-1]
     root = basis[:, good] / np.sqrt(values[good])
-    features = np.c_[k_nm @ root, np.ones(len(sets))]
+    features = np.c_[k_nm @ root, np.ones(len(labels))]
     targets = np.where(np.array(labels)[:, None] == np.array(languages)[None, :], 1.0, -1.0)
-    penalty = ridge * len(sets) * np.diag(np.r_[np.ones(int(good.sum())), 1e-6])
+    penalty = ridge * len(labels) * np.diag(np.r_[np.ones(int(good.sum())), 1e-6])
     solved = np.linalg.solve(features.T @ features + penalty, features.T @ targets)
     per_mark = root @ solved[:-1]
     weights = np.zeros((1 << BITS, len(languages)))
@@ -107,74 +100,133 @@ def fit(sets: list[np.ndarray], labels: list[str], landmarks: int = 128, ridge:
     return LanguageModel(languages, (np.round(weights * grid) / grid).astype(np.float32), solved[-1])
 
 
-def known_runs(sets: list[np.ndarray], labels: list[str]) -> dict[str, np.ndarray]:
-    """Flags of the runs of each language: those in two of its texts, or in one where it has fewer than eight."""
-    counts = {c: np.zeros(1 << BITS, np.int32) for c in set(labels)}
-    for own, c in zip(sets, labels, strict=True):
-        counts[c][own] += 1
-    return {c: n >= (2 if labels.count(c) >= 8 else 1) for c, n in counts.items()}
+HELD = 4  # every fourth text of a language is held out of the runs that set the bound
 
 
-def least_support(sets: list[np.ndarray], labels: list[str], shuffled: list[np.ndarray], lost: float = 0.005, way: float = 0.4, fewest: int = 8) -> float:
+def _kernel_rows(marks):
+    """(lang, turn, kernel): a text's kernel with every landmark."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        presence = Presence()
+        for batch in batches:
+            for at in range(0, batch.num_rows, 64):
+                part = batch.slice(at, 64)
+                rows = _kernel([presence(t) for t in part.column(2).to_pylist()], marks.value)
+                yield pa.RecordBatch.from_arrays([part.column(0), part.column(1), pa.array([r.tobytes() for r in rows], pa.binary())], names=["lang", "turn", "kernel"])
+
+    return run
+
+
+def _run_counts(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """(lang, held, counts): of a partition's texts, how many have each run, up to two; held-out texts apart."""
+    presence, counts = Presence(), {}
+    for batch in batches:
+        for lang, turn, text in zip(*[c.to_pylist() for c in batch.columns], strict=True):
+            own = counts.setdefault((lang, turn % HELD == HELD - 1), np.zeros(1 << BITS, np.uint8))
+            found = presence(text)
+            own[found] = np.minimum(own[found] + 1, 2)
+    if counts:
+        yield pa.RecordBatch.from_arrays([pa.array([k[0] for k in counts]), pa.array([k[1] for k in counts]), pa.array([c.tobytes() for c in counts.values()], pa.binary())], names=["lang", "held", "counts"])
+
+
+def _support_rows(known):
+    """(whole, shuffled): the known share of a held-out text's runs, and of those of its characters in random order."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        presence, flags = Presence(), known.value
+        for batch in batches:
+            texts = batch.column(2).to_pylist()
+            mixed = ["".join(np.random.default_rng(len(t)).permutation(list(t))) for t in texts]
+            yield pa.RecordBatch.from_arrays([pa.array([float(flags[presence(t)].mean()) for t in those], pa.float64()) for those in (texts, mixed)], names=["whole", "shuffled"])
+
+    return run
+
+
+def known_runs(tables: list[tuple[str, bool, np.ndarray]], sizes: dict[str, int], held: bool) -> np.ndarray:
+    """Flags of the runs that two texts of one language have, or one text where a language has fewer than eight; with or without the ``held`` ones."""
+    out = np.zeros(1 << BITS, bool)
+    for lang in sizes:
+        own = np.zeros(1 << BITS, np.int32)
+        for c, h, counts in tables:
+            if c == lang and (held or not h):
+                own += counts
+        out |= own >= (2 if sizes[lang] >= 8 else 1)
+    return out
+
+
+def support_bound(whole: np.ndarray, shuffled: np.ndarray, lost: float = 0.005, way: float = 0.4, fewest: int = 8) -> float:
     """A bound that lies ``way`` from the median of shuffled texts to what all but ``lost`` of the whole texts reach.
 
-    Every fourth text of a language is held out and measured whole and with shuffled characters. The bound errs to
-    the side of keeping, as short texts with an address or a token have less support; a language whose runs the
-    learned ones share is above it. Fewer than ``fewest`` held-out texts set no bound (0).
+    It errs to the side of keeping, as short texts with an address or a token have less support; a language whose
+    runs the learned ones share is above it. Fewer than ``fewest`` held-out texts set no bound (0).
     """
-    turns: dict[str, int] = {}
-    held = []
-    for c in labels:
-        turns[c] = turns.get(c, -1) + 1
-        held.append(turns[c] % 4 == 3)
-    if sum(held) < fewest:
+    if len(whole) < fewest:
         return 0.0
-    kept = [i for i, h in enumerate(held) if not h]
-    tested = [i for i, h in enumerate(held) if h]
-    known = np.any(list(known_runs([sets[i] for i in kept], [labels[i] for i in kept]).values()), axis=0)
-    high = np.quantile([known[sets[i]].mean() for i in tested], lost)
-    low = np.median([known[shuffled[i]].mean() for i in tested])
+    high, low = np.quantile(whole, lost), np.median(shuffled)
     return float(min(high, low + way * (high - low)))
 
 
-def _presence_rows(shuffled: bool):
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        presence = Presence()
-        for batch in batches:
-            texts = batch.column(1).to_pylist()
-            mixed = [presence("".join(np.random.default_rng(len(t)).permutation(list(t)))).tobytes() if shuffled else None for t in texts]
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([presence(t).tobytes() for t in texts], pa.binary()), pa.array(mixed, pa.binary())], names=["lang", "found", "shuffled"])
+def sampled(labelled: DataFrame, key: str, text: str, lang: str, sample_rows: int) -> DataFrame:
+    """(lang, turn, text): for each language its share of ``sample_rows``, those of least hash of the id; ``turn`` numbers them.
 
-    return run
+    Only rows whose hash is below a bound for about four times that many are ranked, so no task sees more than a
+    small multiple of the sample whatever the table's size.
+    """
+    counts = labelled.groupBy(F.col(lang).alias("_lang")).agg(F.count(F.lit(1)).alias("_n"))
+    share = F.greatest(F.lit(1), F.floor(F.lit(sample_rows) / F.count(F.lit(1)).over(Window.partitionBy()))).cast("int")
+    # hashes spread evenly over 64 bits; four times the share and 64 rows fall short of the share once in very many runs
+    bound = F.least(F.lit(1.0), (4 * F.col("_share") + 64) / F.col("_n")) * F.lit(2.0**64) - F.lit(2.0**63)
+    bounds = counts.withColumn("_share", share).select("_lang", "_share", bound.alias("_bound"))
+    draw = F.xxhash64(key)
+    near = labelled.join(F.broadcast(bounds), F.col(lang) == F.col("_lang")).filter(draw.cast("double") <= F.col("_bound"))
+    order = Window.partitionBy("_lang").orderBy("_draw", "_id", "_text")
+    ranked = near.select("_lang", "_share", draw.alias("_draw"), F.col(key).alias("_id"), F.col(text).alias("_text")).withColumn("turn", F.row_number().over(order) - 1)
+    return ranked.filter(F.col("turn") < F.col("_share")).select(F.col("_lang").alias("lang"), "turn", F.col("_text").alias("text"))
+
+
+@settles
+def _sample_table(labelled: DataFrame, key: str, text: str, lang: str, sample_rows: int) -> DataFrame:
+    return sampled(labelled, key, text, lang, sample_rows)
 
 
-def train(docs: DataFrame, learn: Column, key: str = "doc_id", text: str = "text", lang: str = "lang", sample_rows: int = 2048, support: bool = False, **options) -> LanguageModel | None:
+def train(docs: DataFrame, learn: Column, key: str = "doc_id", text: str = "text", lang: str = "lang", sample_rows: int = 2048, support: bool = False, landmarks: int = 128, ridge: float = 1e-3) -> LanguageModel | None:
     """Fit on at most ``sample_rows`` whole texts with a letter among the rows where ``learn`` holds; with ``support``, learn its bound too.
 
-    Every language gets the same share of the bound (eight rows at least), filled in the order of a hash of the
-    id. None if there is nothing to learn from.
+    Every language gets the same share of the bound (one row at least), filled in the order of a hash of the id;
+    landmarks are taken from all languages in turn. The driver holds the landmarks' run sets and the kernel
+    matrix alone; texts and all other sets stay in the tasks. Null keys, labels and texts, and texts without a letter, are
+    left out. None if there is nothing to learn from.
     """
-    labelled = docs.filter(learn & F.col(lang).isNotNull() & F.col(key).isNotNull())
-    kinds = labelled.select(lang).distinct().count()
-    if not kinds:
+    labelled = docs.filter(learn & F.col(lang).isNotNull() & F.col(key).isNotNull()).filter(has_letter(text))
+    sample = _sample_table(labelled, key, text, lang, sample_rows)
+    context = docs.sparkSession.sparkContext
+    chosen = sample.orderBy("turn", "lang").limit(landmarks)
+    found = chosen.mapInArrow(_presence_rows, "lang string, turn int, found binary").toArrow()
+    order = sorted(range(found.num_rows), key=lambda i: (found["turn"][i].as_py(), found["lang"][i].as_py()))
+    marks = [np.frombuffer(found["found"][i].as_py(), np.int32) for i in order]
+    if not marks:
         return None
-    order = Window.partitionBy(lang).orderBy(F.xxhash64(key), key)
-    ids = labelled.select(key, lang).withColumn("_n", F.row_number().over(order)).filter(F.col("_n") <= max(8, sample_rows // kinds))
-    chosen = [r[0] for r in ids.select(key).collect()]  # no more than the bound
-    wanted = docs.sparkSession.createDataFrame([(i,) for i in chosen], f"{key} {docs.schema[key].dataType.simpleString()}")
-    rows = labelled.join(F.broadcast(wanted), key, "left_semi").filter(has_letter(text))
-    found = rows.select(lang, text).mapInArrow(_presence_rows(support), "lang string, found binary, shuffled binary").toArrow()
-    pairs = sorted(zip(*[found[c].to_pylist() for c in ("lang", "found", "shuffled")], strict=True))
-    if not pairs:
-        return None
-    sets, labels = [np.frombuffer(b, np.int32) for _, b, _ in pairs], [c for c, *_ in pairs]
-    model = fit(sets, labels, **options)
+    shared = context.broadcast(marks)
+    rows = sample.mapInArrow(_kernel_rows(shared), "lang string, turn int, kernel binary").toArrow()
+    pairs = sorted(zip(*[rows[c].to_pylist() for c in ("lang", "turn", "kernel")], strict=True))
+    labels = [c for c, *_ in pairs]
+    model = fit(marks, np.stack([np.frombuffer(k) for *_, k in pairs]), labels, ridge)
     if support:
-        model.known = np.any(list(known_runs(sets, labels).values()), axis=0)
-        model.least_support = least_support(sets, labels, [np.frombuffer(b, np.int32) for *_, b in pairs])
+        sizes = {c: labels.count(c) for c in model.languages}
+        told = sample.coalesce(8).mapInArrow(_run_counts, "lang string, held boolean, counts binary").toArrow()
+        tables = [(c, h, np.frombuffer(b, np.uint8)) for c, h, b in zip(*[told[c].to_pylist() for c in ("lang", "held", "counts")], strict=True)]
+        kept = context.broadcast(known_runs(tables, {c: n - n // HELD for c, n in sizes.items()}, held=False))
+        tested = sample.filter(F.col("turn") % HELD == HELD - 1).mapInArrow(_support_rows(kept), "whole double, shuffled double").toArrow()
+        model.known, model.least_support = known_runs(tables, sizes, held=True), support_bound(*(tested[c].to_numpy() for c in ("whole", "shuffled")))
     return model
 
 
+def _presence_rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    presence = Presence()
+    for batch in batches:
+        yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array([presence(t).tobytes() for t in batch.column(2).to_pylist()], pa.binary())], names=["lang", "turn", "found"])
+
+
 def predict(docs: DataFrame, model: LanguageModel | None, text: str = "text", pred: str = "lang_pred", score: str = "score", carry: list[str] | None = None, support: str | None = None) -> DataFrame:
     """Add the predicted language of every whole text, and the winner's score scaled to 0..1; its support, if a column is named.
 
