@@ -1,6 +1,7 @@
 """Plain versions of the operators, for comparison on small tables."""
 
 import hashlib
+import math
 import re
 from collections import defaultdict
 
@@ -61,3 +62,58 @@ def jaccard_groups(docs, k=4, threshold=85):
     links = [(a, b) for (a, b), c in common.items() if 100 * c >= threshold * (len(sets[a]) + len(sets[b]) - c)]
     of = components(list(sets), links)
     return {d: (len(s), of[d]) for d, s in sets.items()}
+
+
+def url_verdicts(pages, labels, depth=8, fan=20, rare=0.05, z=1.96, few=5, support=30, close=0.1, strength=10.0, reject=0.5):
+    """{page_id: (template, impurity, bad)} by a plain recursion over (page_id, host, path) pages and a dict of labels; rules aside."""
+
+    def shape(s):
+        return re.sub(r"(?<!\{)[0-9]+", "{num}", re.sub(r"^(?=.*[0-9])[0-9A-Fa-f-]{8,}", "{hex}", s))
+
+    def mean(rows):
+        known = [labels[p] for p, _ in rows if p in labels]
+        return len(known), sum(known)
+
+    def smooth(rows, toward):
+        n, bad = mean(rows)
+        return (bad + strength * toward) / (n + strength), n + strength
+
+    def walk(rows, level, template, share, backing):
+        """``rows`` are (page_id, segments) of one template so far."""
+        kids = defaultdict(list)
+        for p, segs in rows:
+            kids[segs[level] if len(segs) > level else ""].append((p, segs))
+        n, bad = mean(rows)
+        merged = defaultdict(list)
+        for child, own in kids.items():
+            k, k_bad = mean(own)
+            named = child
+            if child and len(kids) > 1:
+                apart = False
+                if k and n > k:
+                    off = abs(k_bad / k - (bad - k_bad) / (n - k))
+                    error = math.sqrt(bad / n * (1 - bad / n) * (1 / k + 1 / (n - k)))
+                    apart = off > z * error or k >= support and off > close
+                if len(kids) > fan and len(own) < rare * len(rows) and k < few or not apart:
+                    named = "*"
+            merged[named] += own
+        for named, own in merged.items():
+            new, back = smooth(own, share)
+            if back == backing:
+                new = share
+            if named == "":
+                least = new - z * math.sqrt(new * (1 - new) / back)
+                for p, _ in own:
+                    out[p] = (template, new, new > reject or least > prior)
+            else:
+                walk(own, level + 1, f"{template}/{named}", new, back)
+
+    out, hosts = {}, defaultdict(list)
+    for p, host, path in pages:
+        segs = [shape(s) for s in path.split("/") if s]
+        hosts[host].append((p, segs if len(segs) <= depth else [*segs[: depth - 1], "/".join(segs[depth - 1 :])]))
+    n, bad = mean([row for rows in hosts.values() for row in rows])
+    prior = bad / n if n else 0.0
+    for host, rows in hosts.items():
+        walk(rows, 0, host, *smooth(rows, prior))
+    return out

@@ -542,6 +542,37 @@ def test_a_bad_section_among_many_is_kept_apart(spark):
     assert {i for i in r if r[i]["verdict"] == "block"} == {i for i in range(600) if i % 30 == 7}
 
 
+def site(seed, n=3000):
+    """Pages of a few hosts whose sections have planted shares of bad pages, and labels of some of them."""
+    rng = random.Random(seed)
+    share = {f"sec{c}": rng.choice([0.02, 0.05, 0.3, 0.9]) for c in "abcdefghijklmnopqrstuvwxyz"}
+    urls, labels = [], []
+    for i in range(n):
+        host, section = rng.choice(["big.io", "big.io", "big.io", "b.io", "c.io"]), rng.choice(list(share))
+        deep = "/".join(rng.choice(["x", "y"]) for _ in range(rng.choice([0, 1, 2, 12])))
+        urls.append(f"https://{host}/{section}/{rng.choice(['', str(i), 'deadbeef01', 'about'])}/{deep}")
+        if rng.random() < 0.4:
+            labels.append((i, int(rng.random() < share[section])))
+    return urls, labels
+
+
+@pytest.mark.parametrize("seed", [1, 2])
+def test_verdicts_are_those_of_a_plain_tree(spark, seed):
+    urls, labels = site(seed)
+    got = judged(spark, urls, labels)
+    want = brute.url_verdicts([(i, got[i]["host"], got[i]["path"]) for i in got], dict(labels))
+    assert {i: (r["template"], round(r["impurity"], 9), r["verdict"] == "block") for i, r in got.items()} == {i: (t, round(x, 9), b) for i, (t, x, b) in want.items()}
+    assert 0.1 < sum(b for *_, b in want.values()) / len(want) < 0.9 and max(t.count("/") for t, *_ in want.values()) >= 4
+
+
+def test_url_query_is_a_plain_tree(spark, medium):
+    rows = {r["page_id"]: r for r in queries.op5_url_templates(spark, medium).collect()}
+    labels = {r["doc_id"]: max(1 - r["quality"], r["toxic"]) for r in spark.read.parquet(f"{medium}/labels.parquet").collect()}
+    want = brute.url_verdicts([(i, r["host"], r["path"]) for i, r in rows.items()], labels)
+    assert {i: (r["template"], round(r["impurity"], 9)) for i, r in rows.items()} == {i: (t, round(x, 9)) for i, (t, x, _) in want.items()}
+    assert all((r["verdict"] == "block") == want[i][2] for i, r in rows.items() if r["rule"] is None)
+
+
 def test_urls_of_an_empty_table(spark):
     pages = spark.createDataFrame([], "page_id long, url string")
     assert url_templates.judge(pages, spark.createDataFrame([], "page_id long, bad int")).count() == 0
