@@ -170,13 +170,16 @@ SELECT doc_id, size, source_size, target, CAST(epochs * size + greatest(0, least
 """,
     "op8_perspectives": r"""
 WITH r AS (SELECT conv_id, turn, coalesce(role, 'unknown') AS who, coalesce(text, '') AS txt FROM conversations),
-s AS (SELECT *, row_number() OVER (PARTITION BY conv_id ORDER BY turn NULLS FIRST, who, txt) - 1 AS seq FROM r),
-c AS (SELECT DISTINCT conv_id, who AS perspective FROM r),
-b AS (SELECT s.*, c.perspective, CAST(seq // 64 AS INTEGER) AS part, CASE WHEN who = perspective THEN '<|assistant|>' || chr(10) ELSE '<|user name=' || who || '|>' || chr(10) END AS head
+s AS (SELECT *, coalesce(sum(length(txt) + 16) OVER (PARTITION BY conv_id ORDER BY turn NULLS FIRST, who, txt ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS seq FROM r),
+c AS (SELECT DISTINCT conv_id, who AS perspective FROM r WHERE who <> 'system'),
+e AS (SELECT s.*, c.perspective, CAST(seq // 1048576 AS INTEGER) AS part, replace(txt, '<|', '<||') AS body,
+      CASE WHEN who = perspective THEN '<|assistant|>' || chr(10) WHEN who = 'system' THEN '<|system|>' || chr(10)
+      ELSE '<|user name=' || replace(replace(replace(replace(replace(replace(who, '%', '%25'), '<', '%3C'), '|', '%7C'), '>', '%3E'), chr(10), '%0A'), chr(13), '%0D') || '|>' || chr(10) END AS head
       FROM s JOIN c ON s.conv_id IS NOT DISTINCT FROM c.conv_id),
-o AS (SELECT *, length(head) + length(txt) + 8 AS n, CAST(coalesce(sum(length(head) + length(txt) + 8) OVER (PARTITION BY conv_id, perspective, part ORDER BY seq ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS BIGINT) AS at_ FROM b)
+b AS (SELECT *, length(head) + length(body) + 8 AS n FROM e),
+o AS (SELECT *, CAST(coalesce(sum(n) OVER (PARTITION BY conv_id, perspective, part ORDER BY seq ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS BIGINT) AS at_ FROM b)
 SELECT conv_id, perspective, part, CAST(count(*) AS INTEGER) AS n_turns, CAST(sum(CASE WHEN who = perspective THEN 1 ELSE 0 END) AS INTEGER) AS n_own,
-       string_agg(head || txt || '<|end|>' || chr(10), '' ORDER BY seq) AS rendered,
+       string_agg(head || body || '<|end|>' || chr(10), '' ORDER BY seq) AS rendered,
        coalesce(string_agg(CASE WHEN who = perspective THEN CAST(at_ + length(head) AS VARCHAR) || '-' || CAST(at_ + n - 1 AS VARCHAR) END, ',' ORDER BY seq), '') AS masks
 FROM o GROUP BY conv_id, perspective, part
 """,
