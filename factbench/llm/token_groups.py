@@ -97,7 +97,7 @@ def _open_rows(threshold: int):
         for batch in batches:
             n, own, union = (batch.column(i).to_pylist() for i in (3, 4, 5))
             ok = [100 * (k - missing(a, b)) >= threshold * k for k, a, b in zip(n, own, union, strict=True)]
-            yield pa.RecordBatch.from_arrays([c.filter(pa.array(ok)) for c in batch.columns[:3]], names=["rep", "grp", "part"])
+            yield pa.RecordBatch.from_arrays([c.filter(pa.array(ok)) for c in batch.columns[:4]], names=["rep", "grp", "part", "n"])
 
     return run
 
@@ -257,14 +257,17 @@ def _frequent(counts: DataFrame, most: int = 1_000_000) -> np.ndarray:
 
 
 @settles
-def link_groups(docs: DataFrame, words: int = 4, threshold: int = 85, key: str = "doc_id", text: str = "text", group_rows: int = 256) -> DataFrame:
+def link_groups(docs: DataFrame, words: int = 4, threshold: int = 85, key: str = "doc_id", text: str = "text", group_rows: int = 256, group_tokens: int = 1_000_000) -> DataFrame:
     """(doc_id, n_shingles, component_id) for every document.
 
     Two documents link when 100 * intersection >= ``threshold`` * union of their sets of distinct ``words``-word
     shingles (A-Z lower-cased, words cut at ASCII white space; fewer words form one shingle). ``component_id`` is
     the smallest id that links reach, the document's own without links. Null and empty texts have no shingles and
     link with nothing. A null id is kept with component null and links with nothing. Repeated rows each give a row;
-    an empty table gives an empty table; further columns are left out.
+    rows with one id and different texts are compared by the texts, and one id stands for all of them in links;
+    an empty table gives an empty table; further columns are left out. A cell has about ``group_rows`` documents of
+    about ``group_tokens`` shingles together; a longer document is a cell of its own. Shingles are compared by 64-bit
+    hashes: two of n in a pair of documents fall together with a chance of n * n / 2 ** 64.
     """
     spark = docs.sparkSession
     whole = docs.select(F.col(key).cast("long").alias("doc_id"), F.col(text).cast("binary").alias("text"))
@@ -285,8 +288,12 @@ def link_groups(docs: DataFrame, words: int = 4, threshold: int = 85, key: str =
     near = tries.groupBy("a").agg(F.min("b").alias("_pivot"))
     members = alike.select("rep", "n_shingles").join(first, F.col("rep") == F.col("node"), "left").join(near, F.col("rep") == F.col("a"), "left")
     members = stored(members.select("rep", "n_shingles", F.coalesce("component", "rep").alias("own"), F.coalesce("_pivot", "rep").alias("grp")))
-    parts = members.groupBy("grp").agg(F.ceil(F.count(F.lit(1)) / group_rows).alias("parts"))
-    members = stored(members.join(parts, "grp").withColumn("part", F.pmod(F.xxhash64("rep"), F.col("parts")).cast("int")).drop("parts"))
+    # only groups of more than one cell are in this list, so it is short, and no hot group is shuffled for it
+    size = F.ceil(F.greatest(F.count(F.lit(1)) / group_rows, F.sum("n_shingles") / group_tokens))
+    parts = stored(members.groupBy("grp").agg(size.alias("parts")).filter("parts > 1").withColumnRenamed("grp", "_grp"))
+    few = parts.count() <= 2_000_000
+    members = members.join(F.broadcast(parts) if few else parts, F.col("grp") == F.col("_grp"), "left").drop("_grp")
+    members = stored(members.withColumn("part", F.pmod(F.xxhash64("rep"), F.coalesce("parts", F.lit(1))).cast("int")).drop("parts"))
 
     # the matrix of prefix tokens and cells
     shared = shared_tokens(whole.mapInArrow(_prefix_rows(words, threshold, late), OWNED))
@@ -304,8 +311,10 @@ def link_groups(docs: DataFrame, words: int = 4, threshold: int = 85, key: str =
     inside = members.join(asked.select("grp", "part").distinct(), ["grp", "part"]).join(alike.select("rep", "bits"), "rep")
     unions = inside.select("grp", "part", "bits").groupBy("grp", "part").applyInArrow(_union_bits, "grp long, part int, union binary")
     facing = asked.join(alike.select("rep", "n_shingles", "bits"), "rep").join(unions, ["grp", "part"]).select("rep", "grp", "part", "n_shingles", "bits", "union")
-    passing = stored(facing.mapInArrow(_open_rows(threshold), "rep long, grp long, part int"))
-    turns = passing.groupBy("grp", "part").agg(F.ceil(F.count(F.lit(1)) / (4 * group_rows)).cast("int").alias("turns"))
+    passing = stored(facing.mapInArrow(_open_rows(threshold), "rep long, grp long, part int, n long"))
+    size = F.ceil(F.greatest(F.count(F.lit(1)) / (4 * group_rows), F.sum("n") / (4 * group_tokens))).cast("int")
+    turns = passing.groupBy("grp", "part").agg(size.alias("turns"))
+    passing = passing.drop("n")
     opened = members.join(turns, ["grp", "part"])
     ids = stored(passing.select(F.col("rep").alias("doc_id")).union(opened.select("rep")).distinct())
     sets = stored(keep_ids(whole, ids, "doc_id").mapInArrow(_set_rows(words), "doc_id long, tokens array<long>"))
