@@ -2,7 +2,11 @@
 
 Groups of equal texts above a fixed share of a shard are items of their own: there can only be so many. All
 smaller groups fall, by the hash of their text, into a fixed number of pools, each an item too. So the packing
-sees a bounded number of items whatever the input, and a group always stays whole.
+sees a bounded number of items whatever the input, and a group always stays whole. Packing pools instead of the small
+groups in them costs at most the room that a pool leaves: under one part in ``finest`` of a shard.
+
+Either the number of shards is given, and they are filled near equally, or a capacity, and they are the fewest that
+best fit decreasing opens.
 """
 
 from __future__ import annotations
@@ -145,12 +149,15 @@ def near_equal(sizes: list[int], shards: int) -> list[int]:
     return out
 
 
-def shard(docs: DataFrame, shards: int = 24, key: str = "doc_id", text: str = "text", overhead: int = 8, pools: int = 6144, finest: int = 128) -> DataFrame:
+def shard(docs: DataFrame, shards: int | None = 24, key: str = "doc_id", text: str = "text", overhead: int = 8, finest: int = 128, capacity: int | None = None, most_items: int = 1_000_000) -> DataFrame:
     """(key, size, text_crc32, shard, slot): every document in a shard of nearly equal bytes, equal texts together.
 
     Size is the text's UTF-8 bytes plus ``overhead``. Null texts form one group (checksum null). Slots number a
     shard's rows from 0 without gaps, by hash bucket of the id. A group larger than an even share has a shard
-    to itself, and the others share the rest evenly. An empty table gives an empty table; repeated rows each get a slot.
+    to itself, and the others share the rest evenly. With a ``capacity`` in bytes, ``shards`` is not used: as few
+    shards are opened as best fit decreasing needs, none above the capacity but one of a single larger group. An
+    empty table gives an empty table; repeated rows each get a slot. A capacity so small that more than ``most_items``
+    items would have to be packed raises an error.
     """
     spark = docs.sparkSession
     slim = stored(
@@ -161,13 +168,18 @@ def shard(docs: DataFrame, shards: int = 24, key: str = "doc_id", text: str = "t
             F.coalesce(F.md5(F.col(text).cast("binary")), F.lit("null")).alias("_group"),
         )
     )
-    slim = slim.withColumn("_pool", F.pmod(F.xxhash64("_group"), F.lit(pools)).cast("int"))
     total = slim.agg(F.sum("size")).first()[0] or 0
-    large = slim.groupBy("_group").agg(F.sum("size").alias("_bytes")).filter(F.col("_bytes") * (shards * finest) > total)
-    large = stored(large)  # fewer than shards * finest rows, as their bytes add up to no more than all
+    of = shards if capacity is None else max(1, -(-total // capacity))
+    pools = 2 * finest * of
+    if pools + of * finest > most_items:
+        raise ValueError(f"{of} shards are more than one packing can fill: raise the capacity or most_items")
+    slim = slim.withColumn("_pool", F.pmod(F.xxhash64("_group"), F.lit(pools)).cast("int"))
+    large = slim.groupBy("_group").agg(F.sum("size").alias("_bytes")).filter(F.col("_bytes") * (of * finest) > total)
+    large = stored(large)  # fewer than of * finest rows, as their bytes add up to no more than all
     pooled = slim.join(F.broadcast(large.select("_group")), "_group", "left_anti").groupBy("_pool").agg(F.sum("size").alias("_bytes"))
     items = [(g, None, b) for g, b in sorted(map(tuple, large.collect()))] + [(None, p, b) for p, b in sorted(map(tuple, pooled.collect()))]
-    placed = near_equal([b for *_, b in items], shards)
+    sizes = [b for *_, b in items]
+    placed = near_equal(sizes, shards) if capacity is None else best_fit(sizes, capacity)
     of_group = spark.createDataFrame([(g, s) for (g, _, _), s in zip(items, placed, strict=True) if g is not None], "_group string, _of_group int")
     of_pool = spark.createDataFrame([(p, s) for (g, p, _), s in zip(items, placed, strict=True) if g is None], "_pool int, _of_pool int")
     rows = slim.join(F.broadcast(of_group), "_group", "left").join(F.broadcast(of_pool), "_pool", "left")
