@@ -20,7 +20,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from factbench.llm.common import tidy
+from factbench.llm.common import text_slices, tidy
 
 
 class ByteBpe(dict):
@@ -187,13 +187,10 @@ def _mapped(df: DataFrame, path: str, pattern: str, source: str, fields: list[tu
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         codec = load(path, pattern)
-        for batch in batches:
-            # a slice at a time, so that results of very long texts don't pile up
-            for start in range(0, batch.num_rows, 512):
-                part = batch.slice(start, 512)
-                added = work(codec, part.column("_in").to_pylist())
-                yield pa.RecordBatch.from_arrays([*[part.column(names.index(c)) for c in names], *[pa.array(a, pa.binary()) for a in added]], names=[f.name for f in schema.fields])
-            tidy()
+        # a slice at a time, so that results of very long texts don't pile up
+        for part in text_slices(batches, place=len(names), most=2 << 20):
+            added = work(codec, part.column(len(names)).to_pylist())
+            yield pa.RecordBatch.from_arrays([*part.columns[: len(names)], *[pa.array(a, pa.binary()) for a in added]], names=[f.name for f in schema.fields])
         codec.forget()  # the worker may go on to other work
 
     return df.select(*names, F.col(source).alias("_in")).mapInArrow(run, schema)
