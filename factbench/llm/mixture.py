@@ -15,7 +15,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 from pyspark.sql.window import Window
 
-from factbench.llm.common import running_sum
+from factbench.llm.common import stored
 
 SPACE = r"[\x20\x09-\x0D]+"
 
@@ -46,31 +46,43 @@ def targets(sizes: DataFrame, source: str = "source", size: str = "source_size",
     return ranked.withColumn("target", F.when(F.col("_full"), F.col("_cap")).otherwise(level * F.col("_w"))).drop("_at", "_w", "_cap", "_caps", "_rest", "_all", "_full")
 
 
-def mix(docs: DataFrame, size: str, key: str = "doc_id", source: str = "source", seed: str = "mix-1", **shares) -> DataFrame:
-    """Add ``source_size``, ``target`` and ``taken`` to documents that have a ``size`` column.
+def mix(docs: DataFrame, size: str | Column, key: str = "doc_id", source: str = "source", seed: str = "mix-1", out: str = "size", most_broadcast: int = 2_000_000, **shares) -> DataFrame:
+    """Add ``out`` (the ``size``), ``source_size``, ``target`` and ``taken`` to documents.
 
     ``taken`` counts what the mix takes of a document, repeats included: whole epochs of its source first, then
     documents in hash-random order up to the exact budget, the last one in part. The budget is the target
     rounded down. Empty documents take nothing; a null source is a source; a null id has a key of its own, and
     rows with equal keys follow each other by size. Repeated rows are rows of their own; an empty table gives an
     empty table; an input column with the name of a new one gives way to it.
-    """
-    docs = docs.drop("source_size", "target", "taken")
-    docs = docs.withColumn("_key", F.md5(F.concat(F.lit(f"{seed}:"), F.coalesce(F.col(key).cast("string"), F.lit("-")))))
-    docs = docs.withColumn("_bucket", F.substring("_key", 1, 3))
-    sums = targets(docs.groupBy(source).agg(F.sum(size).alias("source_size")), source, **shares)
-    sums = sums.withColumnRenamed(source, "_source")
-    rows = running_sum(docs, [source], "_bucket", [F.col("_key"), F.col(size)], size, "_before")
-    rows = rows.join(F.broadcast(sums) if _few(sums) else sums, rows[source].eqNullSafe(sums["_source"]))
-    budget = F.floor("target")
-    epochs = F.when(F.col("source_size") > 0, F.floor(budget / F.col("source_size"))).otherwise(0)
-    rest = budget - epochs * F.col("source_size") - F.col("_before")
-    taken = epochs * F.col(size) + F.greatest(F.lit(0), F.least(F.col(size), rest))
-    return rows.withColumn("taken", taken.cast("long")).drop("_key", "_bucket", "_before", "_source")
-
 
-def _few(sums: DataFrame, most: int = 100_000) -> bool:
-    return sums.count() <= most
+    Sums are taken by source and hash bucket. A bucket that the budget takes whole or not at all needs no order, and
+    its rows stay where they are; only the bucket at the edge of each source is shuffled and sorted.
+    """
+    size = F.col(size) if isinstance(size, str) else size
+    key_of = F.md5(F.concat(F.lit(f"{seed}:"), F.coalesce(F.col(key).cast("string"), F.lit("-"))))
+    kept = docs.drop("source_size", "target", "taken")
+    bucket_of = F.substring(key_of, 1, 3)
+    sized = kept.select(F.col(source).alias("_s"), bucket_of.alias("_b"), size.cast("long").alias("_size"))
+    buckets = stored(sized.groupBy("_s", "_b").agg(F.sum("_size").alias("_sum")))  # at most 4096 rows a source
+    sums = targets(buckets.groupBy("_s").agg(F.sum("_sum").alias("source_size")), "_s", **shares).withColumnRenamed("_s", "_from")
+    before = Window.partitionBy("_s").orderBy("_b").rowsBetween(Window.unboundedPreceding, -1)
+    plan = buckets.withColumn("_offset", F.coalesce(F.sum("_sum").over(before), F.lit(0))).join(sums, F.col("_s").eqNullSafe(F.col("_from")))
+    epochs = F.when(F.col("source_size") > 0, F.floor(F.floor("target") / F.col("source_size"))).otherwise(0)
+    plan = plan.withColumn("_epochs", epochs).withColumn("_rest", F.floor("target") - F.col("_epochs") * F.col("source_size") - F.col("_offset"))
+    fields = F.struct("source_size", "target", "_epochs", "_rest", ((F.col("_rest") > 0) & (F.col("_rest") < F.col("_sum"))).alias("edge"))
+    plan = stored(plan.select(F.col("_s").alias("_mix_source"), F.col("_b").alias("_mix_bucket"), fields.alias("_mix")))
+    few = plan.count() <= most_broadcast
+    marked = kept.join(F.broadcast(plan) if few else plan, F.col(source).eqNullSafe(F.col("_mix_source")) & (bucket_of == F.col("_mix_bucket")))
+
+    whole = marked.filter(~F.col("_mix.edge")).withColumn(out, size.cast("long"))
+    whole = whole.withColumn("taken", F.col("_mix._epochs") * F.col(out) + F.when(F.col("_mix._rest") > 0, F.col(out)).otherwise(0))
+    within = Window.partitionBy("_mix_source", "_mix_bucket").orderBy(key_of, out).rowsBetween(Window.unboundedPreceding, -1)
+    part = marked.filter("_mix.edge").withColumn(out, size.cast("long"))
+    part = part.withColumn("_mix_left", F.col("_mix._rest") - F.coalesce(F.sum(out).over(within), F.lit(0)))
+    part = part.withColumn("taken", F.col("_mix._epochs") * F.col(out) + F.greatest(F.lit(0), F.least(F.col(out), F.col("_mix_left")))).drop("_mix_left")
+    both = whole.unionByName(part)
+    both = both.withColumns({"source_size": F.col("_mix.source_size"), "target": F.col("_mix.target"), "taken": F.col("taken").cast("long")})
+    return both.drop("_mix", "_mix_source", "_mix_bucket")
 
 
 @F.pandas_udf(T.StringType())
@@ -87,8 +99,8 @@ def _first_words(text: pd.Series, words: pd.Series) -> pd.Series:
 def mixed_rows(docs: DataFrame, text: str = "text", key: str = "doc_id", source: str = "source", **options) -> DataFrame:
     """The mix itself: documents repeated for each epoch, the one at each budget's edge cut after its last word taken."""
     columns = docs.columns
-    rows = docs.select(F.struct("*").alias("_row"), F.col(text).alias("_text"), F.col(key).alias("_id"), F.col(source).alias("_from"), count_words(text).alias("_size"))
-    mixed = mix(rows, "_size", key="_id", source="_from", **options).filter("taken > 0")
+    rows = docs.select(F.struct("*").alias("_row"), F.col(text).alias("_text"), F.col(key).alias("_id"), F.col(source).alias("_of"))
+    mixed = mix(rows, count_words("_text"), key="_id", source="_of", out="_size", **options).filter("taken > 0")
     copies = F.sequence(F.lit(1), F.ceil(F.col("taken") / F.col("_size")).cast("int"))
     each = mixed.withColumn("_copy", F.explode(copies)).withColumn("_words", F.least(F.col("_size"), F.col("taken") - (F.col("_copy") - 1) * F.col("_size")))
     own = lambda new: [F.col(f"_row.{c}") if c != text else new.alias(text) for c in columns]
