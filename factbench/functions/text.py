@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import Column
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from factbench.functions.scores import clip
@@ -22,8 +22,7 @@ def _c(c: Column | str) -> Column:
 
 def words(text: Column | str) -> Column:
     """Words of a text cut at white space; an empty array for null or blank texts."""
-    c = F.regexp_replace(_c(text), r"^[ \t\n\r]+|[ \t\n\r]+$", "")
-    return F.when(F.coalesce(c, F.lit("")) == "", F.expr("cast(array() as array<string>)")).otherwise(F.split(c, r"[ \t\n\r]+"))
+    return F.coalesce(F.filter(F.split(_c(text), r"[ \t\n\r]+"), lambda w: w != ""), F.expr("cast(array() as array<string>)"))
 
 
 def n_words(text: Column | str) -> Column:
@@ -56,31 +55,43 @@ def language(text: Column | str) -> Column:
 
 def symbol_share(text: Column | str) -> Column:
     c = _c(text)
-    return F.length(F.regexp_replace(c, r"[\p{L}\p{N} \t\n\r]", "")) / F.greatest(F.lit(1), F.length(c))
+    return F.length(F.regexp_replace(c, r"[\p{L}\p{N} \t\n\r]+", "")) / F.greatest(F.lit(1), F.length(c))
 
 
 def distinct_share(items: Column) -> Column:
     return F.size(F.array_distinct(items)) / F.greatest(F.lit(1), F.size(items))
 
 
-def scorers(text: Column | str) -> dict[str, Column]:
-    """Four deterministic stand-ins for hosted models, each in [-1, 1], rounded at the source."""
-    ws, ls = words(text), lines(text)
-    raw = {
-        "J1": 2 * distinct_share(ls) - 1,
-        "J2": 1 - 30 * F.abs(symbol_share(text) - 0.02),
-        "J3": (F.size(ws) - 50) / 100,
-        "J4": 2 * distinct_share(ws) - 1,
+def parts(text: Column | str) -> dict[str, Column]:
+    """What the scorers look at, each computed once."""
+    return {"_words": words(text), "_lines": lines(text), "_symbols": symbol_share(text)}
+
+
+def raw_scorers() -> dict[str, Column]:
+    """Four deterministic stand-ins for hosted models over ``parts``, before clipping."""
+    return {
+        "J1": 2 * distinct_share(F.col("_lines")) - 1,
+        "J2": 1 - 30 * F.abs(F.col("_symbols") - 0.02),
+        "J3": (F.size("_words") - 50) / 100,
+        "J4": 2 * distinct_share(F.col("_words")) - 1,
     }
-    return {name: F.round(clip(c), 6) for name, c in raw.items()}
 
 
-def second_scorers(text: Column | str) -> dict[str, Column]:
-    """Another family of scorers, for comparing regenerated pipelines."""
-    ws = words(text)
-    mean = F.length(F.regexp_replace(_c(text), r"\s", "")) / F.greatest(F.lit(1), F.size(ws))
-    base = scorers(text)
-    return base | {"J4": F.round(clip(1 - F.abs(mean - 5.0) / 4), 6)}
+def second_raw_scorers() -> dict[str, Column]:
+    """Another family of scorers, for comparing regenerated pipelines: the mean length of words in place of J4."""
+    mean = F.aggregate("_words", F.lit(0), lambda n, w: n + F.length(w)) / F.greatest(F.lit(1), F.size("_words"))
+    return raw_scorers() | {"J4": 1 - F.abs(mean - 5.0) / 4}
+
+
+def with_scores(df: DataFrame, text: str = "text", family=raw_scorers) -> DataFrame:
+    """Add a column per scorer, in [-1, 1], rounded at the source.
+
+    Each text is split and scanned once: parts, raw scores and clipped scores are projections of their own, which
+    the optimizer doesn't merge as they are used several times.
+    """
+    raw = family()
+    out = df.withColumns(parts(text)).withColumns(raw).drop(*parts(text))
+    return out.withColumns({name: F.round(clip(F.col(name)), 6) for name in raw})
 
 
 def jaccard(a: Column, b: Column) -> Column:

@@ -38,7 +38,7 @@ def plane(table: int, bit: int, dims: int) -> list[float]:
 
 
 def signature(vector: Column | str, table: int, bits: int, dims: int) -> Column:
-    """``bits`` signs of the vector against random planes, as one integer."""
+    """``bits`` signs of a vector of ``dims`` components against random planes, as one integer: for a few bits, without Python."""
     out = F.lit(0)
     for bit in range(bits):
         weights = F.array(*[F.lit(w) for w in plane(table, bit, dims)])

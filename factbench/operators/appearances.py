@@ -22,12 +22,13 @@ def lacking(reviews: DataFrame, col: str = "appearances") -> DataFrame:
 def extract(pages: DataFrame, html_col: str = "html", url_col: str = "url") -> DataFrame:
     """(page_id, place, url): links of pages without any given appearance, absolute and canonical, each once.
 
-    Relative links take the page's scheme and host. Archived originals are unwrapped.
+    Relative links take the page's scheme and host. Archived originals are unwrapped. Links that are equal in
+    canonical form are one, at the place of the first.
     """
     root = F.regexp_extract(url_col, r"^([a-zA-Z]+://[^/?#]+)", 1)
-    found = pages.select("page_id", root.alias("root"), F.posexplode(F.array_distinct(F.concat(html.hrefs(html_col), html.bare_urls(html_col)))).alias("place", "href"))
-    full = F.when(F.col("href").rlike("^[a-zA-Z]+://"), F.col("href")).otherwise(F.concat("root", F.when(F.col("href").startswith("/"), F.col("href")).otherwise(F.concat(F.lit("/"), "href"))))
-    return found.select("page_id", "place", canonical(unwrap_archive(full)).alias("url"))
+    found = pages.select("page_id", root.alias("root"), F.array_distinct(F.concat(html.hrefs(html_col), html.bare_urls(html_col))).alias("hrefs"))
+    full = lambda h: F.when(h.rlike("^[a-zA-Z]+://"), h).otherwise(F.concat(F.col("root"), F.when(h.startswith("/"), h).otherwise(F.concat(F.lit("/"), h))))
+    return found.select("page_id", F.posexplode(F.array_distinct(F.transform("hrefs", lambda h: canonical(unwrap_archive(full(h)))))).alias("place", "url"))
 
 
 def choose(candidates: DataFrame, fetched: DataFrame) -> DataFrame:
@@ -49,6 +50,11 @@ def cap(df: DataFrame, by: str, order: list[str], k: int = 2) -> DataFrame:
     return df.withColumn("rank", F.row_number().over(first)).filter(F.col("rank") <= k)
 
 
+def retrieved(candidates: DataFrame, fetched: DataFrame, by: str = "claim_id", k: int = 2) -> DataFrame:
+    """The first ``k`` appearances of each review that could be fetched, the archived copy standing in for a lost original."""
+    return cap(choose(candidates, fetched), by, ["place"], k)
+
+
 def require(reviews: DataFrame, appearances: DataFrame, key: str) -> DataFrame:
     return reviews.join(appearances.select(key).distinct(), key, "left_semi")
 

@@ -34,12 +34,30 @@ def rewritten(raw: Column | str) -> Column:
     return first_sentence(F.regexp_replace(c, LEAD_IN, ""))
 
 
-def reformulate(df: DataFrame, raw: str = "text", kinds: str | None = None, rewriter=None) -> DataFrame:
+def in_context(raw: Column, article: Column, appearance: Column, claimant: Column, date: Column) -> Column:
+    """The local rewriter with context: who said it and when, before the claim; the article's first sentence stands in for a claim that has no text.
+
+    Parts that are null leave nothing behind. ``appearance`` tells the place, as a short text.
+    """
+    said = rewritten(F.when(F.coalesce(F.trim(raw), F.lit("")) == "", article).otherwise(raw))
+    where = F.concat(F.lit("on "), appearance)
+    when = F.concat(F.lit("in "), F.date_format(date, "yyyy-MM"))
+    lead = F.array_join(F.array_compact(F.array(claimant, where, when)), " ")
+    return F.when(lead == "", said).otherwise(F.concat(lead, F.lit(": "), said))
+
+
+def reformulate(df: DataFrame, raw: str = "text", kinds: str | None = None, rewriter=None, context: tuple[str, str, str, str] | None = None, video_rewriter=None) -> DataFrame:
     """Add ``claim``: concise and self-contained, naming the media in ``kinds`` (an array such as [video, image]).
 
-    ``rewriter`` is a column binding that may replace the local rules.
+    ``rewriter`` is a column binding that may replace the local rules; claims with a video go to ``video_rewriter``
+    if there is one. With ``context``, the names of the columns of the article, the appearance, the claimant and the
+    date, a rewriter gets these after the raw text.
     """
-    claim = (rewriter or rewritten)(F.col(raw))
+    given = [F.col(raw), *[F.col(c) for c in context or ()]]
+    first = rewriter or (in_context if context else rewritten)
+    claim = first(*given)
+    if kinds and video_rewriter:
+        claim = F.when(F.array_contains(kinds, "video"), video_rewriter(*given)).otherwise(claim)
     if kinds:
         claim = F.when(F.size(kinds) > 0, F.concat(claim, F.lit(" ["), F.array_join(kinds, ", "), F.lit("]"))).otherwise(claim)
     return df.withColumn("claim", claim)
@@ -60,9 +78,10 @@ def too_long(c: Column | str, most: int = 70) -> Column:
 
 
 def reasons(c: str, n_media: str) -> Column:
-    """Reasons against a claim, several if they apply."""
+    """Reasons against a claim, several if they apply; a null or blank claim has one of its own."""
+    blank = F.coalesce(F.trim(c), F.lit("")) == ""
     return F.array_compact(
-        F.array(F.when(exposes_verdict(c), "verdict exposed"), F.when(lacks_media(c, n_media), "media missing"), F.when(too_long(c), "too long"))
+        F.array(F.when(blank, "empty"), F.when(exposes_verdict(c), "verdict exposed"), F.when(lacks_media(c, n_media), "media missing"), F.when(too_long(c), "too long"))
     )
 
 

@@ -19,6 +19,15 @@ def combine(votes: DataFrame, by: list[str], members: int = 4) -> DataFrame:
     )
 
 
+def combine_wide(wide: DataFrame, members: list[str]) -> DataFrame:
+    """The same from a row per claim with a column per member: in place, no shuffle. Null votes count as not given."""
+    votes = F.array_compact(F.array(*members))
+    told = wide.withColumn("_votes", votes)
+    total = F.aggregate("_votes", F.lit(0.0), lambda s, x: s + x)
+    out = told.withColumns({"mean": F.round(F.try_divide(total, F.size("_votes")), 9), "low": F.array_min("_votes"), "high": F.array_max("_votes"), "n_votes": F.size("_votes").cast("long")})
+    return out.drop("_votes").withColumn("spread", F.round(F.col("high") - F.col("low"), 6)).withColumn("complete", F.col("n_votes") >= len(members))
+
+
 def filter_agreement(df: DataFrame, max_spread: float = 1.0) -> DataFrame:
     """Rows whose members differ by no more than ``max_spread``; a spread of exactly that stays."""
     return df.filter(F.col("spread") <= max_spread)
@@ -42,6 +51,29 @@ def justify(votes: DataFrame, by: list[str]) -> DataFrame:
     )
 
 
+def justify_properties(votes: DataFrame, summarizer=None) -> DataFrame:
+    """(claim_id, one justification per property) from (claim_id, member, property, score, justification) votes.
+
+    ``summarizer`` is a column binding of an array of the members' texts and one of their scores, both in the order of
+    members; the local one takes the text of the member nearest to the mean, the earliest of several.
+    """
+    given = votes.filter("score is not null").groupBy("claim_id", "property").agg(F.array_sort(F.collect_list(F.struct("member", "score", "justification"))).alias("_v"), F.avg("score").alias("_mean"))
+    if summarizer is None:
+        near = F.array_min(F.transform("_v", lambda v: F.struct(F.round(F.abs(v["score"] - F.col("_mean")), 6).alias("far"), v["member"].alias("member"), v["justification"].alias("text"))))
+        text = near["text"]
+    else:
+        text = summarizer(F.transform("_v", lambda v: v["justification"]), F.transform("_v", lambda v: v["score"]))
+    one = given.select("claim_id", "property", text.alias("_text"))
+    return one.groupBy("claim_id").agg(*[F.max(F.when(F.col("property") == p, F.col("_text"))).alias(f"{p}_justification") for p in verdict.ORDER])
+
+
+def justify_integrity(verdicts: DataFrame, justifications: DataFrame) -> DataFrame:
+    """Verdicts with the justification of each property and, as that of the integrity, the compromising property's."""
+    told = verdicts.join(justifications, "claim_id", "left")
+    chosen = F.coalesce(*[F.when(F.col("compromising") == p, F.col(f"{p}_justification")) for p in verdict.ORDER])
+    return told.withColumn("justification", chosen)
+
+
 def integrity_votes(votes: DataFrame, order: str = "mean_then_min", gate: str = "ensemble") -> DataFrame:
     """Integrity of claims from wide votes (claim_id, member, contextualization, veracity, coverage).
 

@@ -6,6 +6,8 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
+from factbench.sources.io import small
+
 
 def admissible(claims: DataFrame, evidence: DataFrame, key: str, lag_days: int = 0, strict: bool = False) -> DataFrame:
     """Claims with the evidence of their key published no later than the claim (``lag_days`` earlier, if given).
@@ -45,30 +47,80 @@ def tokens(df: DataFrame, key: str, col: str = "text") -> DataFrame:
     return df.select(F.col(key), F.filter(F.split(F.lower(F.col(col)), r"[^\p{L}\p{N}]+"), lambda t: t != "").alias("tokens"))
 
 
-def search(claims: DataFrame, docs: DataFrame, k: int = 3, k1: float = 1.2, b: float = 0.75, before: bool = False) -> DataFrame:
-    """(claim_id, doc_id, score, rank): the ``k`` documents of largest BM25 score for each claim.
+def _counted(df: DataFrame, key: str, more: list[str]) -> DataFrame:
+    """(key, more, len, token, tf): one exchange deals texts by key, and all that follows by key needs no other."""
+    dealt = df.select(key, "text", *more).repartition(key)
+    cut = tokens(dealt, key).select(key, "tokens") if not more else dealt.select(key, *more, F.filter(F.split(F.lower(F.col("text")), r"[^\p{L}\p{N}]+"), lambda t: t != "").alias("tokens"))
+    each = cut.select(key, *more, F.size("tokens").alias("len"), F.explode("tokens").alias("token"))
+    return each.groupBy(key, *more, "len", "token").agg(F.count(F.lit(1)).alias("tf"))
+
+
+def postings(docs: DataFrame, wanted: DataFrame | None = None, k1: float = 1.2, b: float = 0.75, more: tuple[str, ...] = ()) -> DataFrame:
+    """(doc_id, more, token, part): what each token adds to a document's BM25 score; only for ``wanted`` tokens, if given.
 
-    An inverted-index join: only tokens that some claim has leave the scan of the documents; lengths come from the
-    token arrays, not from postings; sums per (claim, document) combine before the shuffle. With ``before`` the time cut comes before ranking, as later documents would leak through ranks.
+    Lengths and document counts are of all documents with a token; rows of one document stay in one partition.
     """
-    asked = tokens(claims, "claim_id").select("claim_id", F.explode("tokens").alias("token")).distinct()
-    if before:
-        asked = asked.join(claims.select("claim_id", "claim_ts"), "claim_id")
-    cut = tokens(docs, "doc_id")
-    lengths = cut.select("doc_id", F.size("tokens").alias("len")).filter("len > 0").groupBy("doc_id").agg(F.sum("len").alias("len"))
+    counted = _counted(docs, "doc_id", list(more))
+    lengths = tokens(docs, "doc_id").select(F.size("tokens").alias("len")).filter("len > 0")
     corpus = lengths.agg(F.count(F.lit(1)).alias("n"), F.avg("len").alias("mean"))
-    wanted = asked.select("token").distinct()
-    near = cut.select("doc_id", F.explode("tokens").alias("token")).join(wanted, "token", "left_semi").groupBy("doc_id", "token").agg(F.count(F.lit(1)).alias("tf"))
+    listed = small(wanted) if wanted is not None else None
+    near = counted.join(listed, "token", "left_semi") if wanted is not None else counted
     df = near.groupBy("token").agg(F.count(F.lit(1)).alias("df"))
-    weighted = near.join(df, "token").join(lengths, "doc_id").crossJoin(F.broadcast(corpus))
     idf = F.log(1 + (F.col("n") - F.col("df") + 0.5) / (F.col("df") + 0.5))
-    part = idf * F.col("tf") * (k1 + 1) / (F.col("tf") + k1 * (1 - b + b * F.col("len") / F.col("mean")))
-    scored = weighted.select("token", "doc_id", part.alias("part"))
-    if before:
-        scored = scored.join(docs.select("doc_id", "pub_ts"), "doc_id")
-    met = asked.join(scored, "token")
-    if before:
-        met = met.filter(F.col("pub_ts") <= F.col("claim_ts"))
-    sums = met.groupBy("claim_id", "doc_id").agg(F.round(F.sum("part"), 6).alias("score"))
+    known = df.crossJoin(F.broadcast(corpus)).select(F.col("token").alias("_token"), idf.alias("_idf"), "mean")
+    # as many rows as wanted tokens at most, so no need to count them when those are few
+    few = F.broadcast(known) if listed is not None and listed is not wanted else small(known)
+    weighted = near.join(few, F.col("token") == F.col("_token"))
+    part = F.col("_idf") * F.col("tf") * (k1 + 1) / (F.col("tf") + k1 * (1 - b + b * F.col("len") / F.col("mean")))
+    return weighted.select("doc_id", *more, "token", part.alias("part"))
+
+
+def scores(claims: DataFrame, docs: DataFrame, k1: float = 1.2, b: float = 0.75, before: bool = False, side: str = "claims", block: int = 2_000_000) -> DataFrame:
+    """(claim_id, doc_id, score): BM25 of every claim and document that share a token, without a shuffle of these pairs.
+
+    ``side`` names the one whose token lists are sent to all executors, block by block if they are longer than
+    ``block`` rows; the other side is dealt by its key once, and sums of a (claim, document) pair form where its row is. With
+    ``before`` only documents with ``pub_ts`` up to the claim's ``claim_ts`` are scored.
+    """
+    c_time, d_time = (("claim_ts",), ("pub_ts",)) if before else ((), ())
+    if side == "claims":
+        asked = tokens_of(claims, c_time)
+        sent, held = asked, postings(docs, asked.select("token").distinct(), k1, b, d_time)
+    else:
+        held = _counted(claims, "claim_id", list(c_time)).select("claim_id", *c_time, "token")
+        sent = postings(docs, None, k1, b, d_time)
+    key = "claim_id" if side == "claims" else "doc_id"
+    n = sent.count()
+    blocks = max(1, -(-n // block))
+    out = None
+    for at in range(blocks):
+        some = sent if blocks == 1 else sent.filter(F.pmod(F.xxhash64(key), F.lit(blocks)) == at)
+        met = held.join(F.broadcast(some.withColumnRenamed("token", "_token")), F.col("token") == F.col("_token"))
+        if before:
+            met = met.filter(F.col("pub_ts") <= F.col("claim_ts"))
+        sums = met.groupBy("claim_id", "doc_id").agg(F.round(F.sum("part"), 6).alias("score"))
+        out = sums if out is None else out.unionByName(sums)
+    return out
+
+
+def tokens_of(claims: DataFrame, more: tuple[str, ...] = ()) -> DataFrame:
+    """(claim_id, more, token): the distinct tokens of each claim."""
+    cut = F.array_distinct(F.filter(F.split(F.lower(F.col("text")), r"[^\p{L}\p{N}]+"), lambda t: t != ""))
+    return claims.select("claim_id", *more, F.explode(cut).alias("token")).distinct()
+
+
+def search(claims: DataFrame, docs: DataFrame, k: int = 3, before: bool = False, side: str = "claims", **bm25) -> DataFrame:
+    """(claim_id, doc_id, score, rank): the ``k`` documents of largest BM25 score for each claim.
+
+    Pairs are scored where the documents are, and each partition passes on no more than its ``k`` best for a claim.
+    With ``before`` the time cut comes before ranking, as later documents would leak through ranks. ``side`` as in ``scores``:
+    ``claims`` for many documents, ``docs`` for many claims and a small collection of evidence.
+    """
     best = Window.partitionBy("claim_id").orderBy(F.desc("score"), "doc_id")
-    return sums.withColumn("rank", F.row_number().over(best)).filter(F.col("rank") <= k)
+    return scores(claims, docs, before=before, side=side, **bm25).withColumn("rank", F.row_number().over(best)).filter(F.col("rank") <= k)
+
+
+def support(claims: DataFrame, docs: DataFrame, full: float = 100.0, **options) -> DataFrame:
+    """(claim_id, support): how well the best document backs a claim: its score as a share of ``full``, 1 at most."""
+    best = scores(claims, docs, **options).groupBy("claim_id").agg(F.max("score").alias("_best"))
+    return best.select("claim_id", F.least(F.lit(1.0), F.col("_best") / full).alias("support"))

@@ -6,6 +6,7 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from factbench.operators.ensemble import combine_wide
 from factbench.operators.metrics import measures
 
 
@@ -25,21 +26,20 @@ def truth(ann: DataFrame, min_annotators: int = 2, how: str = "mean") -> DataFra
 def ablations(votes: DataFrame, human: DataFrame, max_spread: float = 1.0) -> DataFrame:
     """Six rows: the filtered ensemble, the unfiltered one, and each member alone, with n and all measures.
 
-    Votes meet the truth once; every claim is then expanded into the settings it counts for and aggregated once.
+    ``votes`` are wide: a row per claim with a column per member. They meet the truth once; every claim is then
+    expanded into the settings it counts for and aggregated once.
     """
-    wide = votes.groupBy("claim_id").pivot("member", ["J1", "J2", "J3", "J4"]).agg(F.first("score"))
-    members = [F.col(f"J{i}") for i in range(1, 5)]
-    mean = sum(members[1:], members[0]) / 4
-    spread = F.round(F.greatest(*members) - F.least(*members), 6)
-    settings = [F.when(spread <= max_spread, F.struct(F.lit("filtered").alias("setting"), mean.alias("score"))), F.struct(F.lit("unfiltered").alias("setting"), mean.alias("score"))]
-    settings += [F.struct(F.lit(f"J{i}").alias("setting"), F.col(f"J{i}").alias("score")) for i in range(1, 5)]
+    names = [c for c in votes.columns if c != "claim_id"]
+    wide = combine_wide(votes, names)
+    settings = [F.when(F.col("spread") <= max_spread, F.struct(F.lit("filtered").alias("setting"), F.col("mean").alias("score"))), F.struct(F.lit("unfiltered").alias("setting"), F.col("mean").alias("score"))]
+    settings += [F.struct(F.lit(name).alias("setting"), F.col(name).alias("score")) for name in names]
     rows = wide.join(human, "claim_id").select("truth", F.inline(F.array_compact(F.array(*settings))))
     return rows.groupBy("setting").agg(*measures())
 
 
 def sweep(votes: DataFrame, human: DataFrame, spreads: tuple[float, ...] = (0.25, 0.5, 0.75, 1.0, 1.25, 1.5, 1.75, 2.0)) -> DataFrame:
-    """Error against the share of claims kept, for several agreement thresholds."""
-    per = votes.groupBy("claim_id").agg(F.avg("score").alias("score"), F.round(F.max("score") - F.min("score"), 6).alias("spread")).join(human, "claim_id")
+    """Error against the share of claims kept, for several agreement thresholds. ``votes`` are wide."""
+    per = combine_wide(votes, [c for c in votes.columns if c != "claim_id"]).select("claim_id", F.col("mean").alias("score"), "spread").join(human, "claim_id")
     each = per.withColumn("threshold", F.explode(F.array(*[F.lit(s) for s in spreads])))
     inside = F.col("spread") <= F.col("threshold")
     err = (F.col("score") - F.col("truth")) * (F.col("score") - F.col("truth"))

@@ -1,7 +1,8 @@
 """Pluggable model interfaces: where hosted models would be called, and their local stand-ins.
 
-A column binding stays in code generation. A batch binding runs over pandas frames in ``mapInPandas`` with a
-declared schema; a failed batch is tried again and then marked in a failure column, not raised.
+A column binding stays in code generation. Every interface also has a batch binding, ``in_batches``: it runs over pandas
+frames in ``mapInPandas`` with a declared schema; a failed batch is tried again and then marked in a failure column, not
+raised.
 """
 
 from __future__ import annotations
@@ -23,9 +24,9 @@ class Scorer(Protocol):
 
 
 class Rewriter(Protocol):
-    """Texts of claims rewritten: a column binding from columns to the new text."""
+    """Texts of claims rewritten: a column binding from the raw text and, if asked for, article, appearance, claimant and date."""
 
-    def __call__(self, raw: Column, kinds: Column) -> Column: ...
+    def __call__(self, raw: Column, *context: Column) -> Column: ...
 
 
 class Validator(Protocol):
@@ -58,34 +59,75 @@ class LinkExtractor(Protocol):
     def __call__(self, text: Column, html: Column) -> Column: ...
 
 
-def local_votes(documents: DataFrame, family: Callable[[str], dict[str, Column]] = texts.scorers) -> DataFrame:
-    """(claim_id, member, score, justification) of the local members, by column expressions: no shuffle, no Python."""
-    scores = family("text")
-    wide = documents.select(F.col("doc_id").alias("claim_id"), *[s.alias(m) for m, s in scores.items()])
-    long = wide.unpivot(["claim_id"], list(scores), "member", "score")
-    return long.withColumn("justification", F.concat_ws(" ", "member", F.lit("scores"), F.round("score", 3).cast("string")))
+def wide_votes(documents: DataFrame, family: Callable[[], dict[str, Column]] = texts.raw_scorers) -> DataFrame:
+    """(claim_id, J1, ..., J4) of the local members, by column expressions: no shuffle, no Python."""
+    told = texts.with_scores(documents.select(F.col("doc_id").alias("claim_id"), "text"), "text", family)
+    return told.drop("text")
 
 
-def scored(df: DataFrame, scorer: Scorer, member: str, key: str = "claim_id", attempts: int = 2, calls=None) -> DataFrame:
-    """Run a batch scorer: (key, member, score, justification, failure). ``calls`` is an accumulator of rows sent to it."""
-    schema = f"{key} {df.schema[key].dataType.simpleString()}, member string, score double, justification string, failure string"
+def justified(member: Column, score: Column) -> Column:
+    """What a local member says for itself."""
+    return F.concat_ws(" ", member, F.lit("scores"), F.round(score, 3).cast("string"))
+
+
+def local_votes(documents: DataFrame, family: Callable[[], dict[str, Column]] = texts.raw_scorers) -> DataFrame:
+    """(claim_id, member, score, justification) of the local members: the long form of ``wide_votes``."""
+    wide = wide_votes(documents, family)
+    long = wide.unpivot(["claim_id"], wide.columns[1:], "member", "score")
+    return long.withColumn("justification", justified(F.col("member"), F.col("score")))
+
+
+def attempted(work: Callable[[pd.DataFrame], pd.DataFrame], out: dict[str, str], attempts: int = 2, calls=None):
+    """A batch of a hosted model as a function for ``mapInPandas``: tried again when it fails, then marked in ``failure``, not raised."""
 
     def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for frame in frames:
-            out = pd.DataFrame({key: frame[key], "member": member, "score": None, "justification": None, "failure": None})
+            result = frame.copy()
+            for name in out:
+                result[name] = None
+            result["failure"] = None
             for attempt in range(attempts):
                 try:
                     if calls is not None:
                         calls.add(len(frame))
-                    told = scorer(frame)
-                    out["score"], out["justification"] = told["score"].to_numpy(), told["justification"].to_numpy()
-                    out["failure"] = None
+                    told = work(frame)
+                    for name in out:
+                        result[name] = told[name].to_numpy() if told[name].dtype != object else told[name].tolist()
+                    result["failure"] = None
                     break
                 except Exception as error:  # any failure of a model is a result, not the end of the job
-                    out["failure"] = f"attempt {attempt + 1}: {error}"
-            yield out.astype({"score": "float64"})
+                    result["failure"] = f"attempt {attempt + 1}: {error}"
+            for name, kind in out.items():
+                if kind == "double":
+                    result[name] = result[name].astype("float64")
+            yield result
+
+    return run
+
 
-    return df.mapInPandas(run, schema)
+def in_batches(df: DataFrame, model: Callable[[pd.DataFrame], pd.DataFrame], out: dict[str, str], needs: list[str], key: str = "claim_id", attempts: int = 2, calls=None) -> DataFrame:
+    """The batch binding of any interface here: (key, new columns, failure).
+
+    ``model`` gets a frame of ``key`` and the columns it ``needs``, in Arrow batches, and returns a frame with the columns
+    of ``out`` (name to SQL type): ``claim`` from a rewriter, ``reasons`` from a validator, ``summary`` from a
+    summarizer, ``relevant`` from a relevance judge, ``start`` and ``end`` from a span detector, ``urls`` from a link
+    extractor, ``score`` and ``justification`` from a scorer.
+    """
+    rows = df.select(key, *needs)
+    kinds = [f"`{f.name}` {f.dataType.simpleString()}" for f in rows.schema.fields] + [f"`{n}` {k}" for n, k in out.items()] + ["failure string"]
+    return rows.mapInPandas(attempted(model, out, attempts, calls), ", ".join(kinds)).drop(*needs)
+
+
+def judged(media: DataFrame, judge: RelevanceJudge, needs: list[str], key: str = "media_id", **options) -> tuple[DataFrame, DataFrame]:
+    """(kept, failed): media that a batch relevance judge keeps, and those it could not judge, with the failure."""
+    told = in_batches(media, judge, {"relevant": "boolean"}, needs, key, **options)
+    return media.join(told.filter("relevant").select(key), key, "left_semi"), told.filter("failure is not null").select(key, "failure")
+
+
+def scored(df: DataFrame, scorer: Scorer, member: str, key: str = "claim_id", attempts: int = 2, calls=None) -> DataFrame:
+    """Run a batch scorer: (key, member, score, justification, failure). ``calls`` is an accumulator of rows sent to it."""
+    told = in_batches(df, scorer, {"score": "double", "justification": "string"}, [c for c in df.columns if c != key], key, attempts, calls)
+    return told.select(key, F.lit(member).alias("member"), "score", "justification", "failure")
 
 
 def staged(df: DataFrame, steps: list[tuple[str, Scorer]], key: str, store: Callable[[DataFrame], DataFrame], edge: float = -1 / 3, calls=None) -> DataFrame:

@@ -2,13 +2,16 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from factbench.functions.vectors import cosine, signature
+from factbench.functions.vectors import cosine, plane
+from factbench.sources.io import checkpointed
 
 #: Origins in order of precedence. Fixed values.
 ORIGINS = ("original", "archived", "article")
@@ -28,9 +31,9 @@ def within_limits(df: DataFrame, max_seconds: float = 300, max_mb: float = 128,
     return df.filter((F.col(seconds) <= max_seconds) & (F.col(mb) <= max_mb))
 
 
-def retain_relevant(df: DataFrame, judge) -> DataFrame:
-    """Media that a relevance judge (a column binding) keeps."""
-    return df.filter(judge(F.col("claim_label"), F.col("label")))
+def retain_relevant(df: DataFrame, judge, claim: str = "claim_label", media: str = "label") -> DataFrame:
+    """Media that a relevance judge (a column binding of two columns) keeps; ``judges.judged`` is the batch form."""
+    return df.filter(judge(F.col(claim), F.col(media)))
 
 
 def similar_pairs(media: DataFrame, threshold: float) -> DataFrame:
@@ -47,11 +50,13 @@ def dedup(media: DataFrame, threshold: float = 0.85, mode: str = "pairwise") ->
     """Media without near duplicates inside their claim (similarity above the threshold).
 
     ``pairwise`` drops an item similar to any of higher precedence; ``greedy`` compares with items kept so far;
-    ``components`` keeps the best of each connected group.
+    ``components`` keeps the best of each connected group. An item may belong to several claims, and is judged in
+    each on its own.
     """
+    both = ["claim_id", "media_id"]
     if mode == "pairwise":
-        gone = similar_pairs(media, threshold).select(F.col("dropped_id").alias("media_id")).distinct()
-        return media.join(gone, "media_id", "left_anti")
+        gone = similar_pairs(media, threshold).select("claim_id", F.col("dropped_id").alias("media_id")).distinct()
+        return media.join(gone, both, "left_anti")
     if mode == "greedy":
         items = F.array_sort(F.collect_list(F.struct("origin", "media_id", "embedding")))
         start = F.expr("cast(array() as array<struct<media_id:bigint,embedding:array<double>>>)")
@@ -59,47 +64,74 @@ def dedup(media: DataFrame, threshold: float = 0.85, mode: str = "pairwise") ->
             items, start,
             lambda done, x: F.when(F.exists(done, lambda k: cosine(k["embedding"], x["embedding"]) > threshold), done).otherwise(F.concat(done, F.array(F.struct(x["media_id"].alias("media_id"), x["embedding"].alias("embedding"))))),
         )
-        ids = media.groupBy("claim_id").agg(F.transform(kept, lambda k: k["media_id"]).alias("ids")).select(F.explode("ids").alias("media_id"))
-        return media.join(ids, "media_id", "left_semi")
+        ids = media.groupBy("claim_id").agg(F.transform(kept, lambda k: k["media_id"]).alias("ids")).select("claim_id", F.explode("ids").alias("media_id"))
+        return media.join(ids, both, "left_semi")
     if mode == "components":
-        pairs = similar_pairs(media, threshold).select(F.col("kept_id").alias("a"), F.col("dropped_id").alias("b"))
-        group = components(pairs)
+        node = lambda c: F.struct("claim_id", F.col(c).alias("media_id"))
+        group = components(similar_pairs(media, threshold).select(node("kept_id").alias("a"), node("dropped_id").alias("b")))
         best = Window.partitionBy("_group").orderBy("origin", "media_id")
-        marked = media.join(group, F.col("media_id") == F.col("node"), "left").withColumn("_group", F.coalesce("component", "media_id"))
+        marked = media.join(group, F.struct(*both) == F.col("node"), "left").withColumn("_group", F.coalesce("component", F.struct(*both)))
         return marked.withColumn("_n", F.row_number().over(best)).filter(F.col("_n") <= 1).select(*media.columns)
     raise ValueError(f"no mode {mode}")
 
 
-def components(pairs: DataFrame, rounds: int = 50) -> DataFrame:
-    """(node, component): least id reached over (a, b) pairs, by rounds of least labels; lineage is cut each round."""
-    spark = pairs.sparkSession
-    if not spark.conf.get("spark.checkpoint.dir", None) and spark.sparkContext._jsc.sc().getCheckpointDir().isEmpty():
-        import tempfile
+def components(pairs: DataFrame) -> DataFrame:
+    """(node, component): the least node that (a, b) pairs reach, of any type that has an order.
 
-        spark.sparkContext.setCheckpointDir(tempfile.mkdtemp(prefix="factbench-"))
-    both = pairs.select("a", "b").unionByName(pairs.select(F.col("b").alias("a"), F.col("a").alias("b"))).distinct().checkpoint()
-    labels = both.groupBy("a").agg(F.least(F.min("b"), F.col("a")).alias("label")).select(F.col("a").alias("node"), "label").checkpoint()
-    for _ in range(rounds):
+    Each round takes the least label of the neighbours, then that label's own label, so that rounds grow with the
+    logarithm of the longest chain; it ends when no label changes. Lineage is cut each round.
+    """
+    both = checkpointed(pairs.select("a", "b").unionByName(pairs.select(F.col("b").alias("a"), F.col("a").alias("b"))).distinct())
+    labels = checkpointed(both.groupBy("a").agg(F.least(F.min("b"), F.col("a")).alias("label")).select(F.col("a").alias("node"), "label"))
+    while True:
         near = both.join(labels, F.col("b") == F.col("node")).groupBy("a").agg(F.min("label").alias("near"))
-        nxt = labels.join(near, F.col("node") == F.col("a"), "left").select("node", F.col("label").alias("was"), F.least("label", "near").alias("label")).checkpoint()
+        lower = labels.join(near, F.col("node") == F.col("a"), "left").select("node", F.col("label").alias("was"), F.least("label", "near").alias("label"))
+        ahead = labels.select(F.col("node").alias("_at"), F.col("label").alias("_jump"))
+        nxt = checkpointed(lower.join(ahead, F.col("label") == F.col("_at"), "left").select("node", "was", F.least("label", "_jump").alias("label")))
         changed = nxt.filter("label < was").limit(1).count()
         labels = nxt.select("node", "label")
         if not changed:
-            break
-    return labels.select("node", F.col("label").alias("component"))
+            return labels.select("node", F.col("label").alias("component"))
+
+
+def lsh_shape(n: int, threshold: float, recall: float) -> tuple[int, int]:
+    """(bits, tables) of random-hyperplane buckets: about 16 vectors a bucket, and tables enough for the recall at the threshold."""
+    bits = max(4, round(np.log2(max(2, n))) - 4)
+    together = (1 - np.arccos(np.clip(threshold, -1, 1)) / np.pi) ** bits
+    return bits, max(1, int(np.ceil(np.log(1 - recall) / np.log1p(-together))))
+
+
+def _bucket_rows(bits: int, tables: int):
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        weights = 1 << np.arange(bits, dtype=np.int64)
+        for batch in batches:
+            if not batch.num_rows:
+                continue
+            vectors = np.asarray(batch.column(1).flatten(), dtype=np.float64).reshape(batch.num_rows, -1)
+            for table in range(tables):
+                planes = np.array([plane(table, bit, vectors.shape[1]) for bit in range(bits)])
+                keys = (vectors @ planes.T > 0).astype(np.int64) @ weights
+                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(keys), table, np.int32)), pa.array(keys), batch.column(0)], names=["table", "bucket", "media_id"])
+
+    return run
 
 
-def near_pairs(media: DataFrame, threshold: float, tables: int = 20, bits: int = 8, dims: int = 64) -> DataFrame:
+def near_pairs(media: DataFrame, threshold: float, recall: float = 0.999) -> DataFrame:
     """(a, b, similarity) of similar media in the whole corpus: random-hyperplane buckets, then exact comparison.
 
-    Expected recall at similarity s is 1 - (1 - p**bits)**tables with p = 1 - acos(s)/pi. Narrow rows
-    (table, bucket, id) meet first; vectors join distinct candidates only.
+    The number of vectors sets the bits, so that buckets stay as small as the table grows, and the target recall
+    of pairs at exactly the threshold sets the number of tables; more similar pairs are found more surely. Narrow rows
+    (table, bucket, id) meet first; vectors join distinct candidates only. All vectors must have one length; null ones
+    take no part.
     """
-    keys = F.array(*[F.struct(F.lit(t).alias("table"), signature("embedding", t, bits, dims).alias("bucket")) for t in range(tables)])
-    rows = media.select("media_id", F.inline(keys))
+    known = media.filter("embedding is not null")
+    lengths = known.agg(F.count(F.lit(1)), F.min(F.size("embedding")), F.max(F.size("embedding"))).first()
+    if lengths[1] != lengths[2]:
+        raise ValueError(f"vectors have {lengths[1]} to {lengths[2]} components")
+    rows = known.select("media_id", F.transform("embedding", lambda x: x.cast("double")).alias("v")).mapInArrow(_bucket_rows(*lsh_shape(lengths[0], threshold, recall)), "table int, bucket long, media_id long")
     a, b = rows.withColumnRenamed("media_id", "a"), rows.withColumnRenamed("media_id", "b")
     met = a.join(b, ["table", "bucket"]).filter("a < b").select("a", "b").distinct()
-    left, right = media.select(F.col("media_id").alias("a"), F.col("embedding").alias("va")), media.select(F.col("media_id").alias("b"), F.col("embedding").alias("vb"))
+    left, right = known.select(F.col("media_id").alias("a"), F.col("embedding").alias("va")), known.select(F.col("media_id").alias("b"), F.col("embedding").alias("vb"))
     sim = met.join(left, "a").join(right, "b").withColumn("similarity", F.round(cosine("va", "vb"), 6))
     return sim.filter(F.col("similarity") > threshold).select("a", "b", "similarity")
 

@@ -6,6 +6,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from factbench.functions.url import host, registrable_domain
+from factbench.sources.io import small
 
 
 def with_publisher(df: DataFrame, url: str = "url") -> DataFrame:
@@ -22,12 +23,12 @@ def n_publishers(df: DataFrame, by: str = "publisher", approximate: bool = False
 
 
 def retain_credible(df: DataFrame, credible: DataFrame, by: str = "publisher") -> DataFrame:
-    """Reviews of listed publishers; the list is a short dimension table."""
-    return df.join(F.broadcast(credible.select(F.col(credible.columns[0]).alias(by))), by, "left_semi")
+    """Reviews of listed publishers; the list is a dimension table, broadcast while it is short."""
+    return df.join(small(credible.select(F.col(credible.columns[0]).alias(by))), by, "left_semi")
 
 
 def dropped(df: DataFrame, credible: DataFrame, by: str = "publisher") -> DataFrame:
-    return df.join(F.broadcast(credible.select(F.col(credible.columns[0]).alias(by))), by, "left_anti")
+    return df.join(small(credible.select(F.col(credible.columns[0]).alias(by))), by, "left_anti")
 
 
 def derive_credible(df: DataFrame, min_reviews: int, min_valid: float = 0.0, valid: str | None = None, by: str = "publisher") -> DataFrame:

@@ -11,7 +11,7 @@ from factbench.functions.text import STOP_WORDS
 from factbench.operators import appearances, articles, claims, discovery, ensemble, funnel, judges, media, publishers, rectify, splits, verdict
 from factbench.operators.metrics import bin_index
 from factbench.sources import derived
-from factbench.sources.io import load
+from factbench.sources.io import load, spread
 
 QUERIES: dict = {}
 SQL: dict[str, str] = {}
@@ -156,11 +156,11 @@ def url_canonical(spark, d):
 
 @query("SELECT page_id, url AS original, page_id % 2 = 0 AS archived FROM pages")
 def url_unwrap_archive(spark, d):
-    """Every second page's URL wrapped by an archive, some twice, then unwrapped."""
+    """Every second page's URL wrapped by an archive, some five times, then unwrapped."""
     p = load(spark, d, "pages", ["page_id", "url"])
     once = F.concat(F.lit("https://web.archive.example/web/20240102030405/"), "url")
-    twice = F.concat(F.lit("https://web.archive.example/web/2023/"), once)
-    given = p.withColumn("seen", F.when(F.col("page_id") % 4 == 0, twice).when(F.col("page_id") % 2 == 0, once).otherwise(F.col("url")))
+    often = F.concat(F.lit("https://web.archive.example/web/2023/" * 2 + "https://old.example/2019id_/" * 2), once)
+    given = p.withColumn("seen", F.when(F.col("page_id") % 4 == 0, often).when(F.col("page_id") % 2 == 0, once).otherwise(F.col("url")))
     return given.select("page_id", url.unwrap_archive("seen").alias("original"), url.is_archived("seen").alias("archived"))
 
 
@@ -221,10 +221,10 @@ def article_blocks(spark, d):
 
 LINKS = r"""found AS (SELECT page_id, regexp_extract(url, '^([a-zA-Z]+://[^/?#]+)', 1) AS root, list_concat(regexp_extract_all(html, 'href="([^"]*)"', 1), regexp_extract_all(html, 'https?://[^\s"''<>]+')) AS hs FROM pages),
 each_ AS (SELECT page_id, root, unnest(hs) AS href, generate_subscripts(hs, 1) AS at_ FROM found),
-once AS (SELECT page_id, root, href, min(at_) AS at_ FROM each_ GROUP BY ALL),
-full_ AS (SELECT page_id, at_, CASE WHEN regexp_matches(href, '^[a-zA-Z]+://') THEN href WHEN href LIKE '/%' THEN root || href ELSE root || '/' || href END AS u FROM once),
+full_ AS (SELECT page_id, at_, CASE WHEN regexp_matches(href, '^[a-zA-Z]+://') THEN href WHEN href LIKE '/%' THEN root || href ELSE root || '/' || href END AS u FROM each_),
 short AS (SELECT page_id, at_, regexp_replace(regexp_replace(regexp_replace(regexp_replace(u, '[?#].*$', ''), '^[a-zA-Z]+://(?:www\.|m\.)*', 'https://'), '\.(?:html|htm|php)$', ''), '/+$', '') AS c FROM full_),
-links AS (SELECT page_id, row_number() OVER (PARTITION BY page_id ORDER BY at_) - 1 AS place, 'https://' || lower(regexp_extract(c, '^https://([^/]*)', 1)) || regexp_extract(c, '^https://[^/]*(.*)$', 1) AS url FROM short)"""
+named AS (SELECT page_id, at_, 'https://' || lower(regexp_extract(c, '^https://([^/]*)', 1)) || regexp_extract(c, '^https://[^/]*(.*)$', 1) AS url FROM short),
+links AS (SELECT page_id, row_number() OVER (PARTITION BY page_id ORDER BY min(at_)) - 1 AS place, url FROM named GROUP BY page_id, url)"""
 
 
 @query(f"WITH {LINKS} SELECT page_id, CAST(place AS INTEGER) AS place, url FROM links")
@@ -271,23 +271,44 @@ UNION ALL SELECT vec_id + 1000000, vec_id // 10, (vec_id + 1000000) % 3 = 0, 2,
 NEAR = """near_ AS (SELECT a.claim_id, a.media_id AS kept_id, b.media_id AS dropped_id, list_cosine_similarity(a.embedding, b.embedding) AS sim FROM media a JOIN media b ON a.claim_id = b.claim_id AND (a.origin, a.media_id) < (b.origin, b.media_id))"""
 
 
-@query(f"WITH {MEDIA}, {NEAR} SELECT claim_id, media_id, is_video, origin FROM media WHERE media_id NOT IN (SELECT dropped_id FROM near_ WHERE sim > 0.85)")
+@query(f"WITH {MEDIA}, {NEAR} SELECT claim_id, media_id, is_video, origin FROM media WHERE (claim_id, media_id) NOT IN (SELECT (claim_id, dropped_id) FROM near_ WHERE sim > 0.85)")
 def media_dedup(spark, d):
     return media.dedup(derived.media(spark, d)).select("claim_id", "media_id", "is_video", "origin")
 
 
-@query(f"WITH {MEDIA}, {NEAR} SELECT claim_id, media_id, is_video, origin FROM media WHERE media_id NOT IN (SELECT dropped_id FROM near_ WHERE sim > 0.85)")
+#: Chains: copies turned by a few degrees each, so that neighbours are similar and ends are not; some items are in two claims.
+CHAINS = """chains AS (SELECT e.vec_id * 100 + k AS media_id, e.vec_id // 5 AS claim_id, false AS is_video, CAST((e.vec_id + k) % 3 AS INTEGER) AS origin,
+  list_transform(e.embedding::DOUBLE[], lambda x, i: x * cos(k * 0.4::DOUBLE) + f.embedding[i]::DOUBLE * sin(k * 0.4::DOUBLE)) AS embedding
+  FROM embeddings e JOIN embeddings f ON f.vec_id = e.vec_id + 1, (VALUES (0), (1), (2), (3)) t(k) WHERE e.vec_id % 5 = 0
+UNION ALL SELECT e.vec_id * 100, e.vec_id // 5 + 1, false, 0, list_transform(e.embedding::DOUBLE[], lambda x, i: x) FROM embeddings e WHERE e.vec_id % 10 = 0 AND e.vec_id + 1 IN (SELECT vec_id FROM embeddings))"""
+CHAIN_NEAR = """near_ AS (SELECT a.claim_id, a.media_id AS kept_id, b.media_id AS dropped_id, a.origin AS a_origin, b.origin AS b_origin FROM chains a JOIN chains b ON a.claim_id = b.claim_id AND (a.origin, a.media_id) < (b.origin, b.media_id)
+  WHERE list_cosine_similarity(a.embedding, b.embedding) > 0.85)"""
+
+
+@query(f"WITH {CHAINS}, {CHAIN_NEAR} SELECT claim_id, media_id, origin FROM chains WHERE (claim_id, media_id) NOT IN (SELECT (claim_id, dropped_id) FROM near_)")
+def media_dedup_pairwise_chains(spark, d):
+    return media.dedup(derived.media_chains(spark, d)).select("claim_id", "media_id", "origin")
+
+
+@query(f"""WITH RECURSIVE {CHAINS}, {CHAIN_NEAR},
+placed AS (SELECT claim_id, media_id, row_number() OVER (PARTITION BY claim_id ORDER BY origin, media_id) AS at_ FROM chains),
+walk AS (SELECT claim_id, 0 AS at_, CAST([] AS BIGINT[]) AS kept FROM placed GROUP BY 1
+  UNION ALL SELECT w.claim_id, w.at_ + 1, CASE WHEN len(list_filter(w.kept, lambda k: list_contains(p.rivals, k))) > 0 THEN w.kept ELSE list_append(w.kept, p.media_id) END
+  FROM walk w JOIN (SELECT x.claim_id, x.media_id, x.at_, coalesce(list(n.kept_id) FILTER (n.kept_id IS NOT NULL), CAST([] AS BIGINT[])) AS rivals FROM placed x LEFT JOIN near_ n ON n.claim_id = x.claim_id AND n.dropped_id = x.media_id GROUP BY 1, 2, 3) p ON p.claim_id = w.claim_id AND p.at_ = w.at_ + 1),
+done AS (SELECT claim_id, unnest(arg_max(kept, at_)) AS media_id FROM walk GROUP BY 1) SELECT claim_id, media_id, origin FROM chains JOIN done USING (claim_id, media_id)""")
 def media_dedup_greedy(spark, d):
-    """On these tables no chains of similar items occur, so the greedy list equals the pairwise one."""
-    return media.dedup(derived.media(spark, d), mode="greedy").select("claim_id", "media_id", "is_video", "origin")
+    return media.dedup(derived.media_chains(spark, d), mode="greedy").select("claim_id", "media_id", "origin")
 
 
-@query(f"WITH {MEDIA}, {NEAR} SELECT claim_id, media_id, is_video, origin FROM media WHERE media_id NOT IN (SELECT dropped_id FROM near_ WHERE sim > 0.85)")
+@query(f"""WITH RECURSIVE {CHAINS}, {CHAIN_NEAR}, links AS (SELECT claim_id, kept_id AS a, dropped_id AS b FROM near_ UNION SELECT claim_id, dropped_id, kept_id FROM near_),
+reach AS (SELECT claim_id, media_id AS a, media_id AS r FROM chains UNION SELECT reach.claim_id, reach.a, l.b FROM reach JOIN links l ON l.claim_id = reach.claim_id AND l.a = reach.r),
+groups AS (SELECT claim_id, a AS media_id, min(r) AS grp FROM reach GROUP BY 1, 2)
+SELECT claim_id, media_id, origin FROM chains JOIN groups USING (claim_id, media_id) QUALIFY row_number() OVER (PARTITION BY claim_id, grp ORDER BY origin, media_id) = 1""")
 def media_dedup_components(spark, d):
-    return media.dedup(derived.media(spark, d), mode="components").select("claim_id", "media_id", "is_video", "origin")
+    return media.dedup(derived.media_chains(spark, d), mode="components").select("claim_id", "media_id", "origin")
 
 
-@query(f"""WITH {MEDIA}, {NEAR}, kept AS (SELECT * FROM media WHERE media_id NOT IN (SELECT dropped_id FROM near_ WHERE sim > 0.85))
+@query(f"""WITH {MEDIA}, {NEAR}, kept AS (SELECT * FROM media WHERE (claim_id, media_id) NOT IN (SELECT (claim_id, dropped_id) FROM near_ WHERE sim > 0.85))
 SELECT claim_id, media_id, CAST(row_number() OVER (PARTITION BY claim_id ORDER BY is_video DESC, origin, media_id) AS INTEGER) AS rank FROM kept QUALIFY rank <= 4""")
 def media_cap4(spark, d):
     return media.cap(media.dedup(derived.media(spark, d))).select("claim_id", "media_id", "rank")
@@ -332,7 +353,7 @@ _N_WORDS = r"len(regexp_split_to_array(regexp_replace({0}, '^[ \t\n\r]+|[ \t\n\r
 
 
 @query(
-    rf"SELECT doc_id, concat_ws('; ', CASE WHEN regexp_matches(text, '{claims._any(claims.VERDICT_WORDS)}') THEN 'verdict exposed' END, CASE WHEN regexp_matches(text, '{claims._any(claims.MEDIA_WORDS)}') AND doc_id % 2 = 0 THEN 'media missing' END, CASE WHEN "
+    rf"SELECT doc_id, concat_ws('; ', CASE WHEN trim(coalesce(text, '')) = '' THEN 'empty' END, CASE WHEN regexp_matches(text, '{claims._any(claims.VERDICT_WORDS)}') THEN 'verdict exposed' END, CASE WHEN regexp_matches(text, '{claims._any(claims.MEDIA_WORDS)}') AND doc_id % 2 = 0 THEN 'media missing' END, CASE WHEN "
     + _N_WORDS.format("text") + " > 70 THEN 'too long' END) AS reasons FROM documents"
 )
 def claim_validate(spark, d):
@@ -401,8 +422,21 @@ votes AS (SELECT doc_id AS claim_id, unnest(['J1', 'J2', 'J3', 'J4']) AS member,
 ens AS (SELECT claim_id, round(avg(score), 9) AS mean, min(score) AS low, max(score) AS high, round(max(score) - min(score), 6) AS spread FROM votes GROUP BY 1)"""
 
 
+def _documents(spark, d):
+    return spread(load(spark, d, "documents", ["doc_id", "text"]))
+
+
 def _votes(spark, d):
-    return judges.local_votes(load(spark, d, "documents", ["doc_id", "text"]))
+    return judges.local_votes(_documents(spark, d))
+
+
+def _wide(spark, d):
+    """The same votes, a row per claim: what needs all members of a claim then needs no shuffle."""
+    return judges.wide_votes(_documents(spark, d))
+
+
+def _ensemble(spark, d):
+    return ensemble.combine_wide(_wide(spark, d), list(text.raw_scorers()))
 
 
 @query(f"WITH {SCORERS} SELECT claim_id, mean, low, high, spread FROM ens")
@@ -412,12 +446,12 @@ def ensemble_mean(spark, d):
 
 @query(f"WITH {SCORERS} SELECT claim_id, mean, spread FROM ens WHERE spread <= 1")
 def ensemble_agreement(spark, d):
-    return ensemble.filter_agreement(ensemble.combine(_votes(spark, d), ["claim_id"])).select("claim_id", "mean", "spread")
+    return ensemble.filter_agreement(_ensemble(spark, d)).select("claim_id", "mean", "spread")
 
 
 @query(f"WITH {SCORERS} SELECT claim_id, spread FROM ens WHERE spread > 1")
 def ensemble_dropped(spark, d):
-    return ensemble.dropped_by_spread(ensemble.combine(_votes(spark, d), ["claim_id"])).select("claim_id", "spread")
+    return ensemble.dropped_by_spread(_ensemble(spark, d)).select("claim_id", "spread")
 
 
 @query(f"WITH {SCORERS} SELECT claim_id, score FROM votes WHERE member = 'J2'")
@@ -579,11 +613,10 @@ def funnel_stages(spark, d):
     waits, long = F.col("page_id") % 10 == 9, F.length("article") >= 300
     second = funnel.marked(pages.filter(ok), "article", F.when(waits, "pending").when(long, "kept").otherwise("dropped"), F.when(~waits & ~long, "too short"))
     agree = F.col("spread") <= 1
-    third = funnel.marked(ensemble.combine(_votes(spark, d), ["claim_id"]), "agreement", F.when(agree, "kept").otherwise("dropped"), F.when(~agree, "low agreement"))
+    third = funnel.marked(_ensemble(spark, d), "agreement", F.when(agree, "kept").otherwise("dropped"), F.when(~agree, "low agreement"))
     return funnel.report(funnel.union([first, second, third]))
 
 
 @query(f"WITH {SCORERS} SELECT CAST((mean > 1.0::DOUBLE/3)::INT - (mean < -1.0::DOUBLE/3)::INT AS INTEGER) AS bin, count(*) AS n FROM ens GROUP BY 1")
 def ensemble_bins(spark, d):
-    e = ensemble.combine(_votes(spark, d), ["claim_id"])
-    return e.groupBy(bin_index("mean", 3).alias("bin")).agg(F.count(F.lit(1)).alias("n"))
+    return _ensemble(spark, d).groupBy(bin_index("mean", 3).alias("bin")).agg(F.count(F.lit(1)).alias("n"))

@@ -8,7 +8,8 @@ from pyspark.sql import functions as F
 from factbench.functions import text
 from factbench.functions.scores import band, bin_index, coarse_label, flip_equivalent, nearest_anchor
 from factbench.operators import ablate, baselines, cutoff, evidence, frames, funnel, humaneval, insights, judges, leaderboard, metrics, splits
-from factbench.plans.construction import ARTICLE, HOSTS, SCORERS, VERDICTS, _verdicts, _votes
+from factbench.operators.ensemble import combine_wide
+from factbench.plans.construction import ARTICLE, HOSTS, SCORERS, VERDICTS, _documents, _ensemble, _verdicts, _wide
 from factbench.sources import derived
 from factbench.sources.io import load
 
@@ -57,18 +58,17 @@ def _human(spark, d, **options):
 
 def _ensemble_truth(spark, d):
     """Unfiltered ensemble scores beside human truths."""
-    votes = _votes(spark, d).groupBy("claim_id").agg(F.round(F.avg("score"), 9).alias("score"))
-    return votes.join(_human(spark, d), "claim_id")
+    return _ensemble(spark, d).select("claim_id", F.col("mean").alias("score")).join(_human(spark, d), "claim_id")
 
 
 @query(f"WITH {SETTINGS} SELECT setting, {_m()} FROM settings JOIN human USING (claim_id) GROUP BY setting")
 def human_eval_ablations(spark, d):
-    return humaneval.ablations(_votes(spark, d), _human(spark, d))
+    return humaneval.ablations(_wide(spark, d), _human(spark, d))
 
 
 @query(f"WITH {SETTINGS}, least_ AS (SELECT claim_id, min(score) AS truth FROM ann GROUP BY 1) SELECT setting, {_m()} FROM settings JOIN least_ USING (claim_id) GROUP BY setting")
 def human_eval_min_truth(spark, d):
-    return humaneval.ablations(_votes(spark, d), _human(spark, d, how="min"))
+    return humaneval.ablations(_wide(spark, d), _human(spark, d, how="min"))
 
 
 def _confusion_sql(n: int) -> str:
@@ -96,7 +96,7 @@ def human_confusion_wide(spark, d):
 
 @query(f"WITH {SCORERS}, {HUMAN} SELECT CASE annotator WHEN 'H1' THEN 'quality' ELSE 'toxicity' END AS property, {_m('mean', 'a.score')} FROM ens JOIN ann a USING (claim_id) GROUP BY 1")
 def human_properties(spark, d):
-    votes = _votes(spark, d).groupBy("claim_id").agg(F.round(F.avg("score"), 9).alias("score"))
+    votes = _ensemble(spark, d).select("claim_id", F.col("mean").alias("score"))
     return metrics.by_property(votes.join(_annotations(spark, d).select("claim_id", "property", F.col("score").alias("truth")), "claim_id"))
 
 
@@ -122,7 +122,7 @@ def human_kappa_udaf(spark, d):
 @query(f"""WITH {SCORERS}, {HUMAN}, e AS (SELECT mean AS score, spread, truth FROM ens JOIN human USING (claim_id)), t AS (SELECT unnest([0.25::DOUBLE, 0.5, 0.75, 1.0, 1.25, 1.5, 1.75, 2.0]) AS threshold)
 SELECT threshold, round(avg((spread <= threshold)::INT::DOUBLE), 6) AS kept_share, round(avg(CASE WHEN spread <= threshold THEN (score - truth) * (score - truth) END), 6) AS mse FROM e, t GROUP BY 1""")
 def human_spread_sweep(spark, d):
-    return humaneval.sweep(_votes(spark, d), _human(spark, d))
+    return humaneval.sweep(_wide(spark, d), _human(spark, d))
 
 
 @query("SELECT round(100.0::DOUBLE * avg(toxic), 6) AS flagged_percent, count(*) AS n FROM labels")
@@ -132,9 +132,7 @@ def human_flag_rate(spark, d):
 
 @query(f"WITH {SCORERS} SELECT quantile_disc(spread, 0.25) AS q25, quantile_disc(spread, 0.5) AS q50, quantile_disc(spread, 0.75) AS q75 FROM ens")
 def ensemble_spread_quantiles(spark, d):
-    from factbench.operators.ensemble import combine
-
-    return insights.spread_quantiles(combine(_votes(spark, d), ["claim_id"]))
+    return insights.spread_quantiles(_ensemble(spark, d))
 
 
 # systems
@@ -313,19 +311,7 @@ def prior_mean_baseline(spark, d):
 
 @query(f"WITH {SCORERS}, {HUMAN} SELECT member AS system, {_m()} FROM votes JOIN human USING (claim_id) GROUP BY 1")
 def parametric_baselines(spark, d):
-    docs = load(spark, d, "documents", ["doc_id", "text"])
-    return metrics.evaluate(baselines.parametric(docs, text.scorers("text")).join(_human(spark, d), "claim_id"), ["system"])
-
-
-@query(f"WITH {SCORERS}, {HUMAN}, m AS (SELECT doc_id AS claim_id, round((\"J1\" + \"J2\" + \"J3\" + \"J4\") / 4, 6) AS score FROM wide) SELECT {_m()} FROM m JOIN human USING (claim_id)")
-def multi_check_baseline(spark, d):
-    return metrics.evaluate(baselines.multi_check(load(spark, d, "documents", ["doc_id", "text"])).join(_human(spark, d), "claim_id"))
-
-
-@query()
-def stepwise_baseline(spark, d):
-    """Sentence by sentence: its split needs lookbehind, which the SQL engine's patterns lack."""
-    return metrics.evaluate(baselines.stepwise(load(spark, d, "documents", ["doc_id", "text"])).join(_human(spark, d), "claim_id"))
+    return metrics.evaluate(baselines.parametric(_documents(spark, d)).join(_human(spark, d), "claim_id"), ["system"])
 
 
 @query(f"WITH {LATEST} SELECT system, search, CASE WHEN truth > 1.0::DOUBLE/3 THEN 'true' ELSE 'false' END AS truth_label, CASE WHEN score > 1.0::DOUBLE/3 THEN 'true' WHEN score < -1.0::DOUBLE/3 THEN 'false' ELSE 'not enough information' END AS label, count(*) AS n, round(avg((score - truth) * (score - truth)), 6) AS mse FROM late GROUP BY ALL")
@@ -396,15 +382,60 @@ def evidence_search_before(spark, d):
     return evidence.search(claims, docs, before=True)
 
 
-@query(f"""WITH {BM25}, top AS (SELECT doc_id AS claim_id, least(1.0::DOUBLE, max(score) / 100) AS support FROM s GROUP BY 1), {SCORERS}, {HUMAN},
-m AS (SELECT v.claim_id, member AS system, round(greatest(-1.0::DOUBLE, least(1.0::DOUBLE, 0.5::DOUBLE * score + 0.5::DOUBLE * (2 * coalesce(support, 0.0::DOUBLE) - 1) * abs(score))), 6) AS score FROM votes v LEFT JOIN top USING (claim_id))
-SELECT system, {_m()} FROM m JOIN human USING (claim_id) GROUP BY 1""")
+# claims against a collection of evidence: documents are the claims, the benchmark's items the evidence
+
+_CUT = r"list_filter(regexp_split_to_array(lower({0}), '[^\p{{L}}\p{{N}}]+'), lambda t: t <> '')"
+
+
+def _backed(queries: str, name: str = "back") -> str:
+    """SQL of the support of (id, text) queries in the benchmark."""
+    return rf"""{name}_q AS (SELECT DISTINCT id, unnest({_CUT.format('text')}) AS token FROM ({queries})), {name}_p AS ({_tokens_sql('benchmark', 'item_id')}), {name}_l AS (SELECT item_id, sum(tf) AS len FROM {name}_p GROUP BY 1), {name}_c AS (SELECT count(*) AS n, avg(len) AS mean FROM {name}_l),
+{name}_f AS (SELECT token, count(*) AS df FROM {name}_p GROUP BY 1), {name}_s AS (SELECT q.id, p.item_id, round(sum(ln(1 + (c.n - f.df + 0.5::DOUBLE) / (f.df + 0.5::DOUBLE)) * p.tf * 2.2::DOUBLE / (p.tf + 1.2::DOUBLE * (0.25::DOUBLE + 0.75::DOUBLE * l.len / c.mean))), 6) AS score
+FROM {name}_q q JOIN {name}_p p USING (token) JOIN {name}_f f USING (token) JOIN {name}_l l ON l.item_id = p.item_id, {name}_c c GROUP BY 1, 2), {name} AS (SELECT id, least(1.0::DOUBLE, max(score) / 100) AS support FROM {name}_s GROUP BY 1)"""
+
+
+def _moved(score: str) -> str:
+    return f"greatest(-1.0::DOUBLE, least(1.0::DOUBLE, 0.5::DOUBLE * ({score}) + 0.5::DOUBLE * (2 * coalesce(support, 0.0::DOUBLE) - 1) * abs({score})))"
+
+
+def _found(spark, d):
+    """Support of claims in the benchmark's items, which are sent to where the claims are."""
+    items = load(spark, d, "benchmark").select(F.col("item_id").alias("doc_id"), "text")
+    return lambda claims: evidence.support(claims, items, side="docs")
+
+
+WHOLE = "SELECT doc_id AS id, text FROM documents"
+
+
+@query(f"WITH {_backed(WHOLE)}, {SCORERS}, {HUMAN}, m AS (SELECT claim_id, member AS system, round({_moved('score')}, 6) AS score FROM votes LEFT JOIN back ON id = claim_id) SELECT system, {_m()} FROM m JOIN human USING (claim_id) GROUP BY 1")
 def evidence_augmented_baselines(spark, d):
-    docs = load(spark, d, "documents", ["doc_id", "text"])
-    found = evidence.search(_claims_as_queries(spark, d), docs, k=1 << 30)
-    support = found.groupBy(F.col("doc_id").alias("claim_id")).agg(F.least(F.lit(1.0), F.max("score") / 100).alias("support"))
-    scores = baselines.with_evidence(baselines.parametric(docs, text.scorers("text")), support)
-    return metrics.evaluate(scores.join(_human(spark, d), "claim_id"), ["system"])
+    docs = _documents(spark, d)
+    support = _found(spark, d)(docs.select(F.col("doc_id").alias("claim_id"), "text"))
+    return metrics.evaluate(baselines.with_evidence(baselines.parametric(docs), support).join(_human(spark, d), "claim_id"), ["system"])
+
+
+def _backbones_sql(table: str) -> str:
+    return f"""SELECT *, unnest(['b1', 'b2', 'b3']) AS b, unnest([("J1" + "J2" + "J3" + "J4") / 4, "J4", least("J4", "J3")]) AS own FROM {table}"""
+
+
+MULTI_CHECK = f"""{_backed(WHOLE)}, {SCORERS}, mc AS ({_backbones_sql('wide LEFT JOIN back ON id = doc_id')}),
+multi AS (SELECT doc_id AS claim_id, 'multi_check_' || b AS system, round((own + ({_moved('"J1"')} + {_moved('"J2"')} + {_moved('"J3"')} + {_moved('"J4"')}) / 4 + least({_moved('"J1"')}, {_moved('"J2"')}, {_moved('"J3"')}, {_moved('"J4"')})) / 3, 6) AS score FROM mc)"""
+
+
+@query(f"WITH {MULTI_CHECK}, {HUMAN} SELECT system, {_m()} FROM multi JOIN human USING (claim_id) GROUP BY 1")
+def multi_check_baseline(spark, d):
+    return metrics.evaluate(baselines.multi_check(_documents(spark, d), _found(spark, d)).join(_human(spark, d), "claim_id"), ["system"])
+
+
+PARTS = rf"""cuts AS (SELECT doc_id, regexp_extract_all(text, '{baselines.SENTENCE}') AS ps FROM documents), each_part AS (SELECT doc_id, unnest(ps) AS text, generate_subscripts(ps, 1) - 1 AS place FROM cuts),
+sents AS (SELECT doc_id AS claim, doc_id || ':' || place AS doc_id, text FROM each_part WHERE trim(translate(text, chr(10) || chr(9) || chr(13), '   ')) <> '')"""
+STEPWISE = f"""{PARTS}, {_backed('SELECT doc_id AS id, text FROM sents', 'sb')}, {SCORERS.replace('FROM documents', 'FROM sents')}, st AS ({_backbones_sql('wide LEFT JOIN sb ON id = doc_id')}),
+stepwise AS (SELECT claim AS claim_id, 'stepwise_' || b AS system, round(min({_moved('own')}), 6) AS score FROM st JOIN sents USING (doc_id) GROUP BY 1, 2)"""
+
+
+@query(f"WITH {STEPWISE}, {HUMAN} SELECT system, {_m()} FROM stepwise JOIN human USING (claim_id) GROUP BY 1")
+def stepwise_baseline(spark, d):
+    return metrics.evaluate(baselines.stepwise(_documents(spark, d), _found(spark, d)).join(_human(spark, d), "claim_id"), ["system"])
 
 
 # frames and transcripts
@@ -501,9 +532,8 @@ SECOND = SCORERS.replace('round(greatest(-1.0::DOUBLE, least(1.0::DOUBLE, r4)),
 @query(f"""WITH a AS (WITH {SCORERS} SELECT claim_id, mean AS sa FROM ens), b AS (WITH {SECOND} SELECT claim_id, mean AS sb FROM ens)
 SELECT count(*) AS n, round(avg((sa - sb) * (sa - sb)), 6) AS mse, round(avg(abs(sa - sb)), 6) AS mae, round(corr(sa, sb), 6) AS correlation, round(avg(({_b('sa', 3)} = {_b('sb', 3)})::INT::DOUBLE), 6) AS same_decision FROM a JOIN b USING (claim_id)""")
 def backbone_compare(spark, d):
-    docs = load(spark, d, "documents", ["doc_id", "text"])
-    run = lambda family: judges.local_votes(docs, family).groupBy("claim_id").agg(F.round(F.avg("score"), 9).alias("score"))
-    return ablate.compare_runs(run(text.scorers), run(text.second_scorers))
+    run = lambda family: combine_wide(judges.wide_votes(_documents(spark, d), family), list(family())).select("claim_id", F.col("mean").alias("score"))
+    return ablate.compare_runs(run(text.raw_scorers), run(text.second_raw_scorers))
 
 
 @query(r"""WITH c AS (SELECT item_id, text, regexp_replace(text, '\.', ' !', 'g') AS other FROM benchmark), w AS (SELECT item_id, list_distinct(regexp_split_to_array(text, '[ \t\n\r]+')) AS a, list_distinct(regexp_split_to_array(other, '[ \t\n\r]+')) AS b, text, other FROM c)
@@ -549,4 +579,4 @@ def funnel_cumulative(spark, d):
 
 @query(f"WITH {SCORERS} SELECT CAST({_b('mean', 7)} AS INTEGER) AS bin, count(*) AS n FROM ens GROUP BY 1")
 def ensemble_bins7(spark, d):
-    return _votes(spark, d).groupBy("claim_id").agg(F.round(F.avg("score"), 9).alias("mean")).groupBy(bin_index("mean", 7).alias("bin")).agg(F.count(F.lit(1)).alias("n"))
+    return _ensemble(spark, d).groupBy(bin_index("mean", 7).alias("bin")).agg(F.count(F.lit(1)).alias("n"))

@@ -10,6 +10,7 @@ from pyspark.sql import functions as F
 from factbench.operators.verdict import label
 from factbench.plans.update import append_quarter
 from factbench.sources.derived import claims
+from factbench.sources.io import work_dir
 from factbench.streaming import streams
 
 QUERIES: dict = {}
@@ -27,13 +28,8 @@ def query(sql: str | None = None):
 
 
 def _folder(spark: SparkSession) -> str:
-    """A fresh folder in the shared one that the cluster names; one of our own where none is named."""
-    named = spark.conf.get("spark.checkpoint.dir", None)
-    if not named:
-        import tempfile
-
-        named = tempfile.mkdtemp(prefix="factbench-")
-    return f"{named.rstrip('/')}/stream-{uuid.uuid4().hex}"
+    """A fresh folder that all executors see."""
+    return f"{work_dir(spark)}/stream-{uuid.uuid4().hex}"
 
 
 @query("""WITH c AS (SELECT o_orderkey AS claim_id, CAST(date_trunc('quarter', o_orderdate) AS DATE) AS quarter, ((o_custkey * 7919) % 2001 - 1000) / 1000.0::DOUBLE AS v FROM orders)

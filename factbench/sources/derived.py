@@ -57,6 +57,20 @@ def media(spark: SparkSession, folder: str) -> DataFrame:
     return first.unionByName(copies)
 
 
+def media_chains(spark: SparkSession, folder: str) -> DataFrame:
+    """Media whose similarity doesn't carry over: copies of every fifth vector turned by steps toward another one. Half of the first copies are in a second claim too."""
+    e = load(spark, folder, "embeddings", ["vec_id", "embedding"])
+    vector = F.transform("embedding", lambda x: x.cast("double"))
+    own, toward = e.select("vec_id", vector.alias("u")), e.select((F.col("vec_id") - 1).alias("vec_id"), vector.alias("v"))
+    steps = own.filter("vec_id % 5 = 0").join(toward, "vec_id").withColumn("k", F.explode(F.array(*[F.lit(k) for k in range(4)])))
+    cos, sin = F.cos(F.col("k") * 0.4), F.sin(F.col("k") * 0.4)
+    turned = F.zip_with("u", "v", lambda x, y: x * cos + y * sin)
+    claim = F.expr("vec_id div 5")
+    chain = steps.select((F.col("vec_id") * 100 + F.col("k")).alias("media_id"), claim.alias("claim_id"), ((F.col("vec_id") + F.col("k")) % 3).cast("int").alias("origin"), turned.alias("embedding"))
+    again = steps.filter("k = 0 and vec_id % 10 = 0").select((F.col("vec_id") * 100).alias("media_id"), (claim + 1).alias("claim_id"), F.lit(0).alias("origin"), F.col("u").alias("embedding"))
+    return chain.unionByName(again).withColumn("is_video", F.lit(False))
+
+
 def predictions(spark: SparkSession, folder: str) -> DataFrame:
     """(system, search, claim_id, claim_ts, quarter, truth, english, cutoff, score): a row per claim, system and arm.
 

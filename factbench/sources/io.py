@@ -6,6 +6,9 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
+#: Rows up to which a side of a join is sent to all executors.
+SMALL = 1_000_000
+
 TABLES = ("region", "nation", "customer", "supplier", "part", "orders", "lineitem", "events", "documents", "embeddings", "pages", "benchmark", "labels", "conversations")
 
 #: A record of the review feed: one claim, one or more reviews of it.
@@ -22,6 +25,38 @@ REVIEW = T.StructType(
 )
 
 
+def small(df: DataFrame, most: int = SMALL) -> DataFrame:
+    """``df`` marked for broadcasting if it has at most ``most`` rows, else as it is; counts no further than that."""
+    return F.broadcast(df) if df.limit(most + 1).count() <= most else df  # the same object if it is too long
+
+
+def work_dir(spark: SparkSession) -> str:
+    """A folder that all executors see: the one in spark.checkpoint.dir, else one in the warehouse; a temporary one in local mode alone."""
+    named = spark.conf.get("spark.checkpoint.dir", None)
+    if not named:
+        if spark.sparkContext.master.startswith("local"):
+            import tempfile
+
+            named = tempfile.mkdtemp(prefix="factbench-")
+        else:
+            named = f"{spark.conf.get('spark.sql.warehouse.dir').rstrip('/')}/_factbench"
+    return named.rstrip("/")
+
+
+def checkpointed(df: DataFrame) -> DataFrame:
+    """``df`` computed once and cut from its lineage, in the shared folder."""
+    spark = df.sparkSession
+    if spark.sparkContext._jsc.sc().getCheckpointDir().isEmpty():
+        spark.sparkContext.setCheckpointDir(work_dir(spark))
+    return df.checkpoint()
+
+
+def spread(df: DataFrame) -> DataFrame:
+    """A scan of fewer splits than half the cores, dealt over all of them; larger scans are left as they are."""
+    cores = df.sparkSession.sparkContext.defaultParallelism
+    return df.repartition(cores) if 2 * df.rdd.getNumPartitions() < cores else df
+
+
 def load(spark: SparkSession, folder: str, name: str, columns: list[str] | None = None) -> DataFrame:
     """A given table; only ``columns`` reach the scan if named."""
     if name not in TABLES:

@@ -14,6 +14,7 @@ from pyspark.sql import types as T
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
 from factbench.operators.splits import CLASSES, draw, quarter
+from factbench.sources.io import small
 
 
 def files(spark: SparkSession, folder: str, schema: T.StructType | str, files_per_trigger: int | None = None) -> DataFrame:
@@ -64,8 +65,8 @@ def evidence(claims: DataFrame, found: DataFrame, key: str, days: int, delay: st
 
 
 def credible(reviews: DataFrame, listed: DataFrame, by: str = "publisher") -> DataFrame:
-    """A stream against a short static list."""
-    return reviews.join(F.broadcast(listed), by, "left_semi")
+    """A stream against a static list, broadcast while it is short."""
+    return reviews.join(small(listed), by, "left_semi")
 
 
 def _sink_quota(folder: str, per_class: int, seed: str):
