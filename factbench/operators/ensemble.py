@@ -89,7 +89,19 @@ def integrity_votes(votes: DataFrame, order: str = "mean_then_min", gate: str =
     ctx, ver, cov = verdict.evaluated(*[F.col(c) for c in verdict.ORDER], early_stop=gate == "ensemble")
     out = sums.withColumn("min_of_means", verdict.integrity(ctx, ver, cov))
     chosen = F.col("min_of_means") if order == "mean_then_min" else F.col("mean_of_mins")
-    return out.withColumn("integrity", F.round(chosen, 6)).withColumn("spread", F.round("spread", 6))
+    return out.withColumn("integrity", F.round(chosen, 9)).withColumn("spread", F.round("spread", 6))  # means of scores of six places: no ties
+
+
+def standardize(votes: DataFrame) -> DataFrame:
+    """Stage 6 from members' property votes: (claim_id, the evaluated properties, integrity, spread, compromising, label).
+
+    Means over members, early stopping by the ensemble's own decisions, the least property as integrity. ``spread`` is
+    the difference of the members' own integrities, for ``filter_agreement``.
+    """
+    sums = integrity_votes(votes).select("claim_id", *[F.round(c, 9).alias(c) for c in verdict.ORDER], "integrity", "spread")
+    cols = dict(zip(verdict.ORDER, verdict.evaluated(*[F.col(c) for c in verdict.ORDER]), strict=True))
+    out = sums.withColumns(cols)
+    return out.withColumn("compromising", verdict.compromising({c: F.col(c) for c in verdict.ORDER})).withColumn("label", verdict.label("integrity"))
 
 
 def property_spread(votes: DataFrame) -> DataFrame:

@@ -465,7 +465,7 @@ def ensemble_justification(spark, d):
     return ensemble.justify(_votes(spark, d), ["claim_id"])
 
 
-WIDE_VOTES = f"""{CLAIMS}, {CLAIM_MEDIA}, {OVER_MEDIA}, wv AS (SELECT c.claim_id, i AS k, round(greatest(-1.0::DOUBLE, least(1.0::DOUBLE, m.contextualization + ((c.claim_id * i * 31) % 601 - 300) / 1000.0::DOUBLE)), 6) AS ctx,
+WIDE_VOTES = f"""{CLAIMS}, {CLAIM_MEDIA}, {OVER_MEDIA}, wv AS (SELECT c.claim_id, i AS k, CASE WHEN m.contextualization IS NOT NULL THEN round(greatest(-1.0::DOUBLE, least(1.0::DOUBLE, m.contextualization + ((c.claim_id * i * 31) % 601 - 300) / 1000.0::DOUBLE)), 6) END AS ctx,
  round(greatest(-1.0::DOUBLE, least(1.0::DOUBLE, c.veracity + ((c.claim_id * i * 37) % 601 - 300) / 1000.0::DOUBLE)), 6) AS ver, round(greatest(-1.0::DOUBLE, least(1.0::DOUBLE, c.coverage + ((c.claim_id * i * 41) % 601 - 300) / 1000.0::DOUBLE)), 6) AS cov
  FROM claims c LEFT JOIN over_media m USING (claim_id), (VALUES (1), (2), (3), (4)) t(i))"""
 
@@ -479,17 +479,38 @@ def _wide_votes(spark, d):
     return base.select("claim_id", F.concat(F.lit("J"), F.col("k").cast("string")).alias("member"), *[F.round(clip(F.col(c) + off(p)), 6).alias(c) for c, p in (("contextualization", 31), ("veracity", 37), ("coverage", 41))])
 
 
+#: Stage 6 on the members' votes in ``wv``: means, the gates, the least; the members' own least for the spread.
+STANDARD = """own_ AS (SELECT *, least(ctx, ver, cov) AS own FROM wv),
+mean_ AS (SELECT claim_id, avg(ctx) AS c0, avg(ver) AS v0, avg(cov) AS o0, round(max(own) - min(own), 6) AS spread FROM own_ GROUP BY 1),
+gate_ AS (SELECT *, coalesce(c0, 1.0) < -1.0::DOUBLE/3 AS stop1, coalesce(c0, 1.0) < -1.0::DOUBLE/3 OR coalesce(v0, 1.0) < -1.0::DOUBLE/3 AS stop2, round(c0, 9) AS c, round(v0, 9) AS v, round(o0, 9) AS o FROM mean_),
+std AS (SELECT claim_id, spread, round(least(c0, CASE WHEN NOT stop1 THEN v0 END, CASE WHEN NOT stop2 THEN o0 END), 9) AS integrity,
+  CASE WHEN c = least(c, CASE WHEN NOT stop1 THEN v END, CASE WHEN NOT stop2 THEN o END) THEN 'contextualization' WHEN NOT stop1 AND v = least(c, v, CASE WHEN NOT stop2 THEN o END) THEN 'veracity' WHEN NOT stop2 THEN 'coverage' END AS compromising,
+  CASE WHEN integrity > 1.0::DOUBLE/3 THEN 'intact' WHEN integrity < -1.0::DOUBLE/3 THEN 'compromised' WHEN integrity IS NOT NULL THEN 'uncertain' END AS label FROM gate_)"""
+_NEAREST = "arg_min(CASE WHEN {p} IS NOT NULL THEN 'J' || k || ' scores ' || CAST(round({p}, 3) AS VARCHAR) END, (round(abs({p} - m_{p}), 6), k)) FILTER ({p} IS NOT NULL)"
+JUSTIFIED = f"""{WIDE_VOTES}, {STANDARD}, far_ AS (SELECT *, avg(ctx) OVER w AS m_ctx, avg(ver) OVER w AS m_ver, avg(cov) OVER w AS m_cov FROM wv WINDOW w AS (PARTITION BY claim_id)),
+says AS (SELECT claim_id, {', '.join(_NEAREST.format(p=p) + f' AS {n}_justification' for p, n in (('ctx', 'contextualization'), ('ver', 'veracity'), ('cov', 'coverage')))} FROM far_ GROUP BY 1),
+justified AS (SELECT std.*, says.* EXCLUDE (claim_id), CASE compromising WHEN 'contextualization' THEN contextualization_justification WHEN 'veracity' THEN veracity_justification WHEN 'coverage' THEN coverage_justification END AS justification FROM std JOIN says USING (claim_id))"""
+_REVOTE = """CASE WHEN w.{c} IS NULL THEN NULL WHEN w.claim_id % 11 = 3 AND w.k = 2 THEN -0.9::DOUBLE WHEN w.{c} <= 1.0::DOUBLE/3 THEN round(greatest(-1.0::DOUBLE, least(1.0::DOUBLE,
+  CASE WHEN (w.claim_id * 31) % 40 = 0 THEN round(w.{c} / 2, 6) ELSE round(0.334::DOUBLE + ((w.claim_id * 7919) % 667) / 1001.0::DOUBLE, 6) END + ((w.claim_id * 13 + (48 + w.k) * 29) % 41 - 20) / 400.0::DOUBLE)), 6) ELSE w.{c} END AS {c}"""
+
+
+def _justified(spark, d, votes=None):
+    votes = _wide_votes(spark, d) if votes is None else votes
+    long = votes.unpivot(["claim_id", "member"], list(verdict.ORDER), "property", "score").withColumn("justification", judges.justified(F.col("member"), F.col("score")))
+    return ensemble.justify_integrity(ensemble.standardize(votes), ensemble.justify_properties(long))
+
+
 _GATED = "CASE WHEN NOT (coalesce({c}, 1.0) < -1.0::DOUBLE/3) THEN {v} END"
 
 
 @query(f"""WITH {WIDE_VOTES}, m AS (SELECT claim_id, avg(ctx) AS c, avg(ver) AS v0, avg(cov) AS o0 FROM wv GROUP BY 1), g AS (SELECT *, {_GATED.format(c='c', v='v0')} AS v FROM m)
-SELECT claim_id, round(least(c, v, CASE WHEN NOT (coalesce(c, 1.0) < -1.0::DOUBLE/3) AND NOT (coalesce(v, 1.0) < -1.0::DOUBLE/3) THEN o0 END), 6) AS integrity FROM g""")
+SELECT claim_id, round(least(c, v, CASE WHEN NOT (coalesce(c, 1.0) < -1.0::DOUBLE/3) AND NOT (coalesce(v, 1.0) < -1.0::DOUBLE/3) THEN o0 END), 9) AS integrity FROM g""")
 def ensemble_mean_then_min(spark, d):
     return ensemble.integrity_votes(_wide_votes(spark, d)).select("claim_id", "integrity")
 
 
 @query(f"""WITH {WIDE_VOTES}, g AS (SELECT *, {_GATED.format(c='ctx', v='ver')} AS v FROM wv), h AS (SELECT claim_id, least(ctx, v, CASE WHEN NOT (coalesce(ctx, 1.0) < -1.0::DOUBLE/3) AND NOT (coalesce(v, 1.0) < -1.0::DOUBLE/3) THEN cov END) AS own FROM g)
-SELECT claim_id, round(avg(own), 6) AS integrity, round(max(own) - min(own), 6) AS spread FROM h GROUP BY 1""")
+SELECT claim_id, round(avg(own), 9) AS integrity, round(max(own) - min(own), 6) AS spread FROM h GROUP BY 1""")
 def ensemble_min_then_mean(spark, d):
     return ensemble.integrity_votes(_wide_votes(spark, d), order="min_then_mean", gate="member").select("claim_id", "integrity", "spread")
 
@@ -499,22 +520,43 @@ def ensemble_property_spread(spark, d):
     return ensemble.property_spread(_wide_votes(spark, d))
 
 
+@query(f"WITH {WIDE_VOTES}, {STANDARD} SELECT claim_id, integrity, spread, compromising, label FROM std")
+def ensemble_standardize(spark, d):
+    return ensemble.standardize(_wide_votes(spark, d)).select("claim_id", "integrity", "spread", "compromising", "label")
+
+
+@query(f"WITH {JUSTIFIED} SELECT claim_id, contextualization_justification, veracity_justification, coverage_justification, justification FROM justified")
+def integrity_justification(spark, d):
+    """A justification for every property, and the compromising property's as that of the integrity."""
+    return _justified(spark, d).select("claim_id", *[f"{p}_justification" for p in verdict.ORDER], "justification")
+
+
 # stage 7
 
-_LIFT = "CASE WHEN {c} <= 1.0::DOUBLE/3 THEN CASE WHEN (claim_id * 31) % 40 = 0 THEN round({c} / 2, 6) ELSE round(0.334::DOUBLE + ((claim_id * 7919) % 667) / 1001.0::DOUBLE, 6) END ELSE {c} END"
-TWINS = f"""{VERDICTS}, tw AS (SELECT *, {_LIFT.format(c='ctx')} AS tc, {_LIFT.format(c='ver')} AS tv0, {_LIFT.format(c='cov')} AS to0, ((claim_id * 104729) % 1100) / 1000.0::DOUBLE AS twin_spread FROM verdicts WHERE label = 'compromised'),
-tw1 AS (SELECT *, {_GATED.format(c='tc', v='tv0')} AS tv FROM tw),
-tw2 AS (SELECT *, least(tc, tv, CASE WHEN NOT (coalesce(tc, 1.0) < -1.0::DOUBLE/3) AND NOT (coalesce(tv, 1.0) < -1.0::DOUBLE/3) THEN to0 END) AS twin_integrity FROM tw1),
-twins AS (SELECT *, CASE WHEN twin_spread > 1 THEN 'low agreement' WHEN NOT (twin_integrity > 1.0::DOUBLE/3) THEN 'not intact' ELSE 'accepted' END AS outcome FROM tw2)"""
+TEXTS = """texts AS (SELECT o_orderkey AS claim_id, 'Customer ' || o_custkey % 100 || ' ordered goods with priority ' || lower(substr(o_orderpriority, 3)) || CASE WHEN o_orderkey % 3 = 0 THEN ', as a video shows' ELSE '' END || CASE WHEN o_orderkey % 13 = 0 THEN ': ' || repeat('123456789 ', 5) ELSE '' END AS text,
+  coalesce(n_media, 0) AS n_media FROM orders LEFT JOIN over_media m ON m.claim_id = o_orderkey)"""
+TWINS = f"""{JUSTIFIED}, {TEXTS}, cand AS (SELECT j.*, t.text, t.n_media FROM justified j JOIN texts t USING (claim_id) WHERE label = 'compromised' AND spread <= 1),
+tw1 AS (SELECT *, CASE compromising WHEN 'contextualization' THEN 'Seen in its context: ' WHEN 'veracity' THEN 'In fact: ' ELSE 'With what was left out: ' END || text || CASE WHEN compromising = 'coverage' THEN ' (' || coalesce(justification, '') || ')' ELSE '' END AS twin_text FROM cand),
+tw2 AS (SELECT *, NOT (regexp_matches(twin_text, '{claims._any(claims.MEDIA_WORDS)}') AND n_media = 0) AS consistent,
+  len(string_split(twin_text, ' ')) BETWEEN 4 AND 70 AND length(regexp_replace(twin_text, '[^0-9]', '', 'g')) / greatest(1, length(twin_text))::DOUBLE <= 0.25 AS shareable FROM tw1),
+tvotes AS (SELECT w.claim_id, w.k, {', '.join(_REVOTE.format(c=c) for c in ('ctx', 'ver', 'cov'))} FROM wv w JOIN tw2 t ON t.claim_id = w.claim_id AND t.consistent AND t.shareable),
+{STANDARD.replace('std', 'tstd').replace('FROM wv', 'FROM tvotes').replace('own_', 'town_').replace('mean_', 'tmean_').replace('gate_', 'tgate_')},
+twins AS (SELECT t.*, s.integrity AS twin_integrity, s.spread AS twin_spread, CASE WHEN NOT t.consistent THEN 'inconsistent' WHEN NOT t.shareable THEN 'not shareable' WHEN s.spread > 1 THEN 'low agreement' WHEN s.integrity > 1.0::DOUBLE/3 THEN 'accepted' ELSE 'not intact' END AS outcome
+  FROM tw2 t LEFT JOIN tstd s USING (claim_id))"""
 
 
 def _twins(spark, d):
-    return rectify.decided(rectify.rescore(rectify.generate(rectify.candidates(_verdicts(spark, d)))))
+    """Compromised claims with high agreement, corrected, checked, and scored again by the same ensemble."""
+    votes = _wide_votes(spark, d)
+    judged = ensemble.filter_agreement(_justified(spark, d, votes))
+    cands = rectify.candidates(judged).join(derived.claim_texts(spark, d), "claim_id")
+    twins = rectify.checked(rectify.generate(cands))
+    return rectify.decided(rectify.rescore(twins, rectify.revote(rectify.passing(twins), votes)))
 
 
-@query(f"WITH {TWINS} SELECT claim_id, twin_integrity, twin_spread, outcome FROM twins")
+@query(f"WITH {TWINS} SELECT claim_id, twin_text, twin_integrity, twin_spread, outcome FROM twins")
 def rectify_accept(spark, d):
-    return _twins(spark, d).select("claim_id", "twin_integrity", "twin_spread", "outcome")
+    return _twins(spark, d).select("claim_id", "twin_text", "twin_integrity", "twin_spread", "outcome")
 
 
 @query(f"WITH {TWINS} SELECT outcome, count(*) AS n, round(100.0::DOUBLE * count(*) / sum(count(*)) OVER (), 6) AS percent FROM twins GROUP BY outcome")
@@ -522,15 +564,15 @@ def rectify_report(spark, d):
     return rectify.report(_twins(spark, d))
 
 
-REPLACED = f"""{TWINS}, replaced AS (SELECT v.claim_id, v.quarter, v.claim_ts, coalesce(t.twin_integrity, v.integrity) AS integrity, t.claim_id IS NOT NULL AS rectified FROM verdicts v LEFT JOIN (SELECT * FROM twins WHERE outcome = 'accepted') t USING (claim_id)),
+REPLACED = f"""{TWINS}, replaced AS (SELECT v.claim_id, c.quarter, coalesce(t.twin_integrity, v.integrity) AS integrity, t.claim_id IS NOT NULL AS rectified FROM std v JOIN claims c USING (claim_id) LEFT JOIN (SELECT * FROM twins WHERE outcome = 'accepted') t USING (claim_id) WHERE v.spread <= 1),
 final AS (SELECT *, CASE WHEN integrity > 1.0::DOUBLE/3 THEN 'intact' WHEN integrity < -1.0::DOUBLE/3 THEN 'compromised' WHEN integrity IS NOT NULL THEN 'uncertain' END AS label FROM replaced)"""
 
 
 def _final(spark, d, half: bool = True):
-    """Claims after rectification. Half of the candidates, by integer hash, are rectified, so that both classes stay."""
-    v = _verdicts(spark, d)
+    """Claims with high agreement after rectification. Half of the candidates, by integer hash, are rectified, so that both classes stay."""
+    judged = ensemble.filter_agreement(ensemble.standardize(_wide_votes(spark, d))).join(derived.claims(spark, d).select("claim_id", "claim_ts", "quarter"), "claim_id")
     twins = _twins(spark, d)
-    return rectify.replace(v, twins.filter("claim_id % 2 = 0") if half else twins)
+    return rectify.replace(judged, twins.filter("claim_id % 2 = 0") if half else twins)
 
 
 HALF = REPLACED.replace("WHERE outcome = 'accepted'", "WHERE outcome = 'accepted' AND claim_id % 2 = 0")

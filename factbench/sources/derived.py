@@ -36,6 +36,17 @@ def claims(spark: SparkSession, folder: str) -> DataFrame:
     )
 
 
+def claim_texts(spark: SparkSession, folder: str) -> DataFrame:
+    """(claim_id, text, n_media): short texts for the claims; some name a video, some are mostly digits."""
+    o = load(spark, folder, "orders", ["o_orderkey", "o_custkey", "o_orderpriority"])
+    said = F.concat(
+        F.lit("Customer "), (F.col("o_custkey") % 100).cast("string"), F.lit(" ordered goods with priority "), F.lower(F.expr("substr(o_orderpriority, 3)")),
+        F.when(F.col("o_orderkey") % 3 == 0, ", as a video shows").otherwise(""), F.when(F.col("o_orderkey") % 13 == 0, ": " + "123456789 " * 5).otherwise(""),
+    )
+    counts = load(spark, folder, "lineitem", ["l_orderkey"]).groupBy(F.col("l_orderkey").alias("claim_id")).agg(F.count(F.lit(1)).alias("n_media"))
+    return o.select(F.col("o_orderkey").alias("claim_id"), said.alias("text")).join(counts, "claim_id", "left").withColumn("n_media", F.coalesce("n_media", F.lit(0)))
+
+
 def claim_media(spark: SparkSession, folder: str) -> DataFrame:
     """Media items of claims from line items; an item returned is a video. No key: only for aggregation by claim."""
     li = load(spark, folder, "lineitem", ["l_orderkey", "l_discount", "l_tax", "l_returnflag"])
