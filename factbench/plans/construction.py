@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 from factbench.functions import html, text, url
 from factbench.functions.scores import decide
 from factbench.functions.text import STOP_WORDS
-from factbench.operators import appearances, articles, claims, discovery, ensemble, funnel, judges, media, publishers, rectify, splits, verdict
+from factbench.operators import appearances, articles, claims, discovery, ensemble, judges, media, publishers, rectify, splits, verdict
 from factbench.operators.metrics import bin_index
 from factbench.sources import derived
 from factbench.sources.io import load, spread
@@ -487,9 +487,10 @@ std AS (SELECT claim_id, spread, round(least(c0, CASE WHEN NOT stop1 THEN v0 END
   CASE WHEN c = least(c, CASE WHEN NOT stop1 THEN v END, CASE WHEN NOT stop2 THEN o END) THEN 'contextualization' WHEN NOT stop1 AND v = least(c, v, CASE WHEN NOT stop2 THEN o END) THEN 'veracity' WHEN NOT stop2 THEN 'coverage' END AS compromising,
   CASE WHEN integrity > 1.0::DOUBLE/3 THEN 'intact' WHEN integrity < -1.0::DOUBLE/3 THEN 'compromised' WHEN integrity IS NOT NULL THEN 'uncertain' END AS label FROM gate_)"""
 _NEAREST = "arg_min(CASE WHEN {p} IS NOT NULL THEN 'J' || k || ' scores ' || CAST(round({p}, 3) AS VARCHAR) END, (round(abs({p} - m_{p}), 6), k)) FILTER ({p} IS NOT NULL)"
-JUSTIFIED = f"""{WIDE_VOTES}, {STANDARD}, far_ AS (SELECT *, avg(ctx) OVER w AS m_ctx, avg(ver) OVER w AS m_ver, avg(cov) OVER w AS m_cov FROM wv WINDOW w AS (PARTITION BY claim_id)),
+SAYS = f"""far_ AS (SELECT *, avg(ctx) OVER w AS m_ctx, avg(ver) OVER w AS m_ver, avg(cov) OVER w AS m_cov FROM wv WINDOW w AS (PARTITION BY claim_id)),
 says AS (SELECT claim_id, {', '.join(_NEAREST.format(p=p) + f' AS {n}_justification' for p, n in (('ctx', 'contextualization'), ('ver', 'veracity'), ('cov', 'coverage')))} FROM far_ GROUP BY 1),
 justified AS (SELECT std.*, says.* EXCLUDE (claim_id), CASE compromising WHEN 'contextualization' THEN contextualization_justification WHEN 'veracity' THEN veracity_justification WHEN 'coverage' THEN coverage_justification END AS justification FROM std JOIN says USING (claim_id))"""
+JUSTIFIED = f"{WIDE_VOTES}, {STANDARD}, {SAYS}"
 _REVOTE = """CASE WHEN w.{c} IS NULL THEN NULL WHEN w.claim_id % 11 = 3 AND w.k = 2 THEN -0.9::DOUBLE WHEN w.{c} <= 1.0::DOUBLE/3 THEN round(greatest(-1.0::DOUBLE, least(1.0::DOUBLE,
   CASE WHEN (w.claim_id * 31) % 40 = 0 THEN round(w.{c} / 2, 6) ELSE round(0.334::DOUBLE + ((w.claim_id * 7919) % 667) / 1001.0::DOUBLE, 6) END + ((w.claim_id * 13 + (48 + w.k) * 29) % 41 - 20) / 400.0::DOUBLE)), 6) ELSE w.{c} END AS {c}"""
 
@@ -535,14 +536,16 @@ def integrity_justification(spark, d):
 
 TEXTS = """texts AS (SELECT o_orderkey AS claim_id, 'Customer ' || o_custkey % 100 || ' ordered goods with priority ' || lower(substr(o_orderpriority, 3)) || CASE WHEN o_orderkey % 3 = 0 THEN ', as a video shows' ELSE '' END || CASE WHEN o_orderkey % 13 = 0 THEN ': ' || repeat('123456789 ', 5) ELSE '' END AS text,
   coalesce(n_media, 0) AS n_media FROM orders LEFT JOIN over_media m ON m.claim_id = o_orderkey)"""
-TWINS = f"""{JUSTIFIED}, {TEXTS}, cand AS (SELECT j.*, t.text, t.n_media FROM justified j JOIN texts t USING (claim_id) WHERE label = 'compromised' AND spread <= 1),
-tw1 AS (SELECT *, CASE compromising WHEN 'contextualization' THEN 'Seen in its context: ' WHEN 'veracity' THEN 'In fact: ' ELSE 'With what was left out: ' END || text || CASE WHEN compromising = 'coverage' THEN ' (' || coalesce(justification, '') || ')' ELSE '' END AS twin_text FROM cand),
+_SYMBOLS = r"length(regexp_replace(text, '[\p{L}\p{N} \t\n\r]', '', 'g')) / greatest(1, length(text))::DOUBLE < 0.15::DOUBLE"
+#: From candidates of one line of text, in ``cand``, to outcomes, in ``twins``.
+TWINS_OF = f"""tw1 AS (SELECT *, CASE compromising WHEN 'contextualization' THEN 'Seen in its context: ' WHEN 'veracity' THEN 'In fact: ' ELSE 'With what was left out: ' END || CASE WHEN {_SYMBOLS} THEN text ELSE '' END || CASE WHEN compromising = 'coverage' THEN ' (' || coalesce(justification, '') || ')' ELSE '' END AS twin_text FROM cand),
 tw2 AS (SELECT *, NOT (regexp_matches(twin_text, '{claims._any(claims.MEDIA_WORDS)}') AND n_media = 0) AS consistent,
-  len(string_split(twin_text, ' ')) BETWEEN 4 AND 70 AND length(regexp_replace(twin_text, '[^0-9]', '', 'g')) / greatest(1, length(twin_text))::DOUBLE <= 0.25 AS shareable FROM tw1),
+  len(list_filter(regexp_split_to_array(twin_text, '[ \t\n\r]+'), lambda w: w <> '')) BETWEEN 4 AND 70 AND length(regexp_replace(twin_text, '[^0-9]', '', 'g')) / greatest(1, length(twin_text))::DOUBLE <= 0.25 AS shareable FROM tw1),
 tvotes AS (SELECT w.claim_id, w.k, {', '.join(_REVOTE.format(c=c) for c in ('ctx', 'ver', 'cov'))} FROM wv w JOIN tw2 t ON t.claim_id = w.claim_id AND t.consistent AND t.shareable),
 {STANDARD.replace('std', 'tstd').replace('FROM wv', 'FROM tvotes').replace('own_', 'town_').replace('mean_', 'tmean_').replace('gate_', 'tgate_')},
 twins AS (SELECT t.*, s.integrity AS twin_integrity, s.spread AS twin_spread, CASE WHEN NOT t.consistent THEN 'inconsistent' WHEN NOT t.shareable THEN 'not shareable' WHEN s.spread > 1 THEN 'low agreement' WHEN s.integrity > 1.0::DOUBLE/3 THEN 'accepted' ELSE 'not intact' END AS outcome
   FROM tw2 t LEFT JOIN tstd s USING (claim_id))"""
+TWINS = f"""{JUSTIFIED}, {TEXTS}, cand AS (SELECT j.*, t.text, t.n_media FROM justified j JOIN texts t USING (claim_id) WHERE label = 'compromised' AND spread <= 1), {TWINS_OF}"""
 
 
 def _twins(spark, d):
@@ -636,29 +639,6 @@ def sample_by_hash(spark, d):
     return splits.sample_by_hash(load(spark, d, "documents", ["doc_id"]), "doc_id", 0.2)
 
 
-# the funnel
-
-FUNNEL = rf"""{HOSTS}, {ARTICLE}, {SCORERS},
-rows_ AS (SELECT 'publisher' AS stage, CASE WHEN publisher IN {CREDIBLE} THEN 'kept' ELSE 'dropped' END AS status, CASE WHEN publisher IN {CREDIBLE} THEN '' ELSE 'not credible' END AS reason FROM pubs
-UNION ALL SELECT 'article', CASE WHEN page_id % 10 = 9 THEN 'pending' WHEN length(article) >= 300 THEN 'kept' ELSE 'dropped' END, CASE WHEN page_id % 10 <> 9 AND length(article) < 300 THEN 'too short' ELSE '' END FROM article JOIN pubs USING (page_id) WHERE publisher IN {CREDIBLE}
-UNION ALL SELECT 'agreement', CASE WHEN spread <= 1 THEN 'kept' ELSE 'dropped' END, CASE WHEN spread <= 1 THEN '' ELSE 'low agreement' END FROM ens),
-n_ AS (SELECT stage, status, reason, count(*) AS n FROM rows_ GROUP BY ALL),
-t_ AS (SELECT *, CAST(sum(n) OVER (PARTITION BY stage) AS BIGINT) AS entered, CAST(sum(CASE WHEN status <> 'pending' THEN n ELSE 0 END) OVER (PARTITION BY stage) AS BIGINT) AS processed FROM n_)"""
-
-
-@query(f"WITH {FUNNEL} SELECT stage, status, reason, n, entered, processed, round(100.0::DOUBLE * n / entered, 6) AS rate_entered, CASE WHEN status <> 'pending' THEN round(100.0::DOUBLE * n / processed, 6) END AS rate_processed FROM t_")
-def funnel_stages(spark, d):
-    """Pages through publisher and length filters, documents through agreement; a tenth of the pages is a backlog."""
-    pages = articles.with_article(publishers.with_publisher(load(spark, d, "pages")))
-    ok = F.col("publisher").isin(*CREDIBLE)
-    first = funnel.marked(pages, "publisher", F.when(ok, "kept").otherwise("dropped"), F.when(~ok, "not credible"))
-    waits, long = F.col("page_id") % 10 == 9, F.length("article") >= 300
-    second = funnel.marked(pages.filter(ok), "article", F.when(waits, "pending").when(long, "kept").otherwise("dropped"), F.when(~waits & ~long, "too short"))
-    agree = F.col("spread") <= 1
-    third = funnel.marked(_ensemble(spark, d), "agreement", F.when(agree, "kept").otherwise("dropped"), F.when(~agree, "low agreement"))
-    return funnel.report(funnel.union([first, second, third]))
-
-
 @query(f"WITH {SCORERS} SELECT CAST((mean > 1.0::DOUBLE/3)::INT - (mean < -1.0::DOUBLE/3)::INT AS INTEGER) AS bin, count(*) AS n FROM ens GROUP BY 1")
 def ensemble_bins(spark, d):
     return _ensemble(spark, d).groupBy(bin_index("mean", 3).alias("bin")).agg(F.count(F.lit(1)).alias("n"))
