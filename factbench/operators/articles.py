@@ -47,7 +47,7 @@ def html_blocks(source: str) -> list[tuple[int, int, int, str, float]]:
 
 
 def blocks(pages: DataFrame, html_col: str = "html") -> DataFrame:
-    """A row per block, through a Python table function joined laterally."""
+    """A row per block, through a Python table function joined laterally; nothing is registered in the session."""
     from pyspark.sql.functions import udtf
 
     @udtf(returnType="block_no int, start int, end int, text string, link_share double")
@@ -55,23 +55,19 @@ def blocks(pages: DataFrame, html_col: str = "html") -> DataFrame:
         def eval(self, source: str):
             yield from html_blocks(source)
 
-    spark = pages.sparkSession
-    spark.udtf.register("factbench_html_blocks", Blocks)
-    pages.createOrReplaceTempView("factbench_pages")
-    return spark.sql(f"SELECT p.page_id, b.* FROM factbench_pages p, LATERAL factbench_html_blocks(p.{html_col}) b")
+    return pages.lateralJoin(Blocks(F.col(html_col).outer())).select("page_id", "block_no", "start", "end", "text", "link_share")
 
 
 def density_span(pages: DataFrame, html_col: str = "html", least: int = 40, most_links: float = 0.3) -> DataFrame:
-    """(page_id, start, end, body): from the first to the last block of enough text and few links; no model."""
+    """(page_id, start, end, body): from the first to the last block of enough text and few links; null where no block is good. No model."""
 
     def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for frame in frames:
             rows = []
             for page, source in zip(frame["page_id"], frame[html_col], strict=True):
                 good = [b for b in html_blocks(source) if len(b[3]) >= least and b[4] <= most_links]
-                if good:
-                    rows.append((page, good[0][1], good[-1][2], source[good[0][1] : good[-1][2]]))
-            yield pd.DataFrame(rows, columns=["page_id", "start", "end", "body"])
+                rows.append((page, good[0][1], good[-1][2], source[good[0][1] : good[-1][2]]) if good else (page, None, None, None))
+            yield pd.DataFrame(rows, columns=["page_id", "start", "end", "body"]).astype({"start": "Int64", "end": "Int64"})
 
     return pages.select("page_id", html_col).mapInPandas(run, "page_id long, start long, end long, body string")
 

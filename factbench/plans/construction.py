@@ -95,6 +95,16 @@ def review_parse(spark, d):
     return discovery.parse_reviews(raw).select(F.col("url").cast("long").alias("doc_id"), "claim", "publisher_name", "malformed")
 
 
+@query("SELECT page_id, 'Claim of page ' || page_id AS claim, 'false' AS rating FROM pages WHERE page_id % 3 = 0")
+def review_markup_in_pages(spark, d):
+    """Linked data planted in every third page, found and parsed as reviews."""
+    p = load(spark, d, "pages", ["page_id", "html"])
+    block = F.to_json(F.struct(F.concat(F.lit("Claim of page "), F.col("page_id").cast("string")).alias("claimReviewed"), F.concat(F.lit("https://r.example/"), F.col("page_id").cast("string")).alias("url"), F.struct(F.lit("false").alias("alternateName")).alias("reviewRating")))
+    planted = p.withColumn("html", F.when(F.col("page_id") % 3 == 0, F.concat("html", F.lit('<script type="application/ld+json">'), block, F.lit("</script>"))).otherwise(F.col("html")))
+    parsed = discovery.parse_reviews(discovery.markup_from_html(planted))
+    return parsed.select(F.regexp_extract("url", "([0-9]+)$", 1).cast("long").alias("page_id"), "claim", "rating")
+
+
 # stage 2
 
 HOSTS = r"hosts AS (SELECT page_id, url, lower(regexp_extract(url, '^[a-zA-Z]+://(?:[^/?#@]*@)?([^/?#:]+)', 1)) AS host, html FROM pages), pubs AS (SELECT *, regexp_extract(host, '([^.]+\.[^.]+)$', 1) AS publisher FROM hosts)"
@@ -237,6 +247,28 @@ def appearance_cap2(spark, d):
     return appearances.cap(appearances.extract(load(spark, d, "pages", ["page_id", "url", "html"])), "page_id", ["place"]).drop("rank")
 
 
+@query("SELECT doc_id AS review_id, CAST(p AS INTEGER) AS place, 'https://given.example/' || p || '/' || doc_id AS url FROM documents, (VALUES (0), (1)) t(p) WHERE doc_id % 8 = 0 UNION ALL SELECT doc_id, NULL, NULL FROM documents WHERE doc_id % 8 <> 0")
+def appearance_given(spark, d):
+    """Appearances that a feed names, planted for one review in eight; the others keep a row without any."""
+    docs = load(spark, d, "documents", ["doc_id"]).withColumnRenamed("doc_id", "review_id")
+    named = F.when(F.col("review_id") % 8 == 0, F.array(*[F.concat(F.lit(f"https://given.example/{p}/"), F.col("review_id").cast("string")) for p in (0, 1)]))
+    return appearances.given(docs.withColumn("appearances", named))
+
+
+@query("""WITH e AS (SELECT user_id AS claim_id, CAST(row_number() OVER (PARTITION BY user_id ORDER BY ts, event_id) - 1 AS INTEGER) AS place, event_id FROM events),
+c AS (SELECT *, CASE WHEN event_id % 4 <> 0 THEN 'u' || event_id WHEN event_id % 8 = 0 THEN 'a' || event_id END AS chosen FROM e)
+SELECT claim_id, place, chosen, chosen LIKE 'a%' AS from_archive FROM c WHERE chosen IS NOT NULL QUALIFY row_number() OVER (PARTITION BY claim_id ORDER BY place) <= 2""")
+def appearance_retrieved(spark, d):
+    """Two appearances a claim that could be fetched: a quarter of the originals is lost, half of these have an archived copy."""
+    from pyspark.sql.window import Window
+
+    e = load(spark, d, "events", ["event_id", "user_id", "ts"])
+    name = lambda p: F.concat(F.lit(p), F.col("event_id").cast("string"))
+    asked = e.select(F.col("user_id").alias("claim_id"), (F.row_number().over(Window.partitionBy("user_id").orderBy("ts", "event_id")) - 1).alias("place"), name("u").alias("url"), name("a").alias("archived_url"))
+    fetched = e.select(F.inline(F.array(F.struct(name("u").alias("url"), (F.col("event_id") % 4 != 0).alias("ok")), F.struct(name("a").alias("url"), (F.col("event_id") % 8 == 0).alias("ok")))))
+    return appearances.retrieved(asked, fetched).select("claim_id", "place", "chosen", "from_archive")
+
+
 CHOOSE = """ok AS (SELECT DISTINCT event_id FROM events WHERE event_type <> 'error'),
 cand AS (SELECT event_id AS claim_id, event_id AS u, event_id + 1 AS a FROM events)"""
 
@@ -332,6 +364,14 @@ def media_near_pairs_lsh(spark, d):
     return media.near_pairs(derived.media(spark, d).select("media_id", "embedding"), 0.85)
 
 
+@query("SELECT event_type, CASE event_type WHEN 'view' THEN 0 WHEN 'click' THEN 1 WHEN 'purchase' THEN 2 ELSE 3 END AS precedence, count(*) AS n FROM events GROUP BY 1, 2")
+def media_precedence(spark, d):
+    """Events as media of three origins, and of none that is known."""
+    e = load(spark, d, "events", ["event_type"])
+    origin = F.when(F.col("event_type") == "view", "original").when(F.col("event_type") == "click", "archived").when(F.col("event_type") == "purchase", "article").otherwise("elsewhere")
+    return e.groupBy("event_type", media.precedence(origin).alias("precedence")).agg(F.count(F.lit(1)).alias("n"))
+
+
 @query("SELECT vec_id AS media_id FROM embeddings WHERE label = (vec_id // 10) % 10")
 def media_relevant(spark, d):
     e = load(spark, d, "embeddings", ["vec_id", "label"]).select(F.col("vec_id").alias("media_id"), "label", F.expr("cast((vec_id div 10) % 10 as int)").alias("claim_label"))
@@ -623,6 +663,17 @@ def split_longitudinal(spark, d):
     return splits.longitudinal(_final(spark, d), 10).select("claim_id", "quarter", "label", "rank")
 
 
+@query(_balanced_sql(500))
+def split_balanced_1000(spark, d):
+    """The published size: 1000 a quarter. Quarters of small tables don't have that many."""
+    return splits.balanced(_final(spark, d), 1000).select("claim_id", "quarter", "label", "rank")
+
+
+@query(_balanced_sql(50))
+def split_longitudinal_100(spark, d):
+    return splits.longitudinal(_final(spark, d), 100).select("claim_id", "quarter", "label", "rank")
+
+
 @query(f"WITH {HALF} SELECT quarter, CAST(sum(CASE WHEN label = 'intact' THEN 1 ELSE 0 END) AS BIGINT) AS n_intact, CAST(sum(CASE WHEN label = 'compromised' THEN 1 ELSE 0 END) AS BIGINT) AS n_compromised, least(sum(CASE WHEN label = 'intact' THEN 1 ELSE 0 END), sum(CASE WHEN label = 'compromised' THEN 1 ELSE 0 END)) >= 100 AS eligible FROM final GROUP BY 1")
 def split_eligible(spark, d):
     return splits.eligible(_final(spark, d), 100)

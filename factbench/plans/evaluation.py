@@ -143,6 +143,12 @@ pred0 AS (SELECT s.system, a.search, o_orderkey AS claim_id, o_orderdate AS clai
   CASE WHEN a.search THEN searched WHEN o_orderdate < cutoff THEN before_ ELSE after_ END AS fit, (((o_orderkey + number * 31 + CASE WHEN a.search THEN 17 ELSE 0 END) * 7919) % 2001 - 1000) / 997.0::DOUBLE * noise AS dev
   FROM orders, systems s, (VALUES (false), (true)) a(search)),
 pred AS (SELECT system, search, claim_id, claim_ts, quarter, truth, english, cutoff, round(greatest(-1.0::DOUBLE, least(1.0::DOUBLE, truth * fit + dev - 0.05::DOUBLE)), 9) AS score FROM pred0)"""
+_AGENTS = ", ".join(f"('{s}', {n}, {f}::DOUBLE, {e}::DOUBLE, {b}::DOUBLE)" for s, n, f, e, b in derived.AGENTS)
+ALL = f"""{PRED}, agents(system, number, fit, noise, lean) AS (VALUES {_AGENTS}),
+every AS (SELECT *, CASE WHEN search THEN 'search' ELSE 'parametric' END AS block FROM (SELECT system, search, claim_id, quarter, truth, english, score FROM pred)
+UNION ALL SELECT a.system, true, o_orderkey, CAST(date_trunc('quarter', o_orderdate) AS DATE), CASE WHEN (o_orderkey * 104729) % 2 = 0 THEN 1.0::DOUBLE ELSE -1.0::DOUBLE END AS t, o_custkey % 5 < 2,
+  round(greatest(-1.0::DOUBLE, least(1.0::DOUBLE, t * fit + (((o_orderkey + number * 31 + 17) * 7919) % 2001 - 1000) / 997.0::DOUBLE * noise - lean)), 9), 'agent' FROM orders, agents a),
+late_all AS (SELECT * FROM every WHERE quarter = (SELECT max(quarter) FROM every)), full_board AS (SELECT system, block, {_m()} FROM late_all GROUP BY 1, 2)"""
 LATEST = f"{PRED}, late AS (SELECT * FROM pred WHERE quarter = (SELECT max(quarter) FROM pred)), board AS (SELECT system, search, {_m()} FROM late GROUP BY 1, 2)"
 
 
@@ -154,13 +160,20 @@ def _board(spark, d):
     return metrics.evaluate(_late(spark, d), ["system", "search"])
 
 
-@query(f"WITH {LATEST}, r AS (SELECT *, CAST(dense_rank() OVER (PARTITION BY search ORDER BY mse) AS INTEGER) AS rank FROM board) SELECT *, CASE rank WHEN 1 THEN 'best' WHEN 2 THEN 'second' ELSE '' END AS mark FROM r")
+def _late_all(spark, d):
+    """All 22 rows of the system table: eight systems without and with search, two kinds of agents with three backbones."""
+    kinds = [derived.predictions(spark, d).drop("cutoff").withColumn("block", F.when(F.col("search"), "search").otherwise("parametric")), derived.agent_predictions(spark, d).withColumn("block", F.lit("agent"))]
+    return splits.latest(kinds[0].unionByName(kinds[1]))
+
+
+@query(f"WITH {ALL}, r AS (SELECT *, CAST(dense_rank() OVER (PARTITION BY block ORDER BY mse) AS INTEGER) AS rank FROM full_board) SELECT *, CASE rank WHEN 1 THEN 'best' WHEN 2 THEN 'second' ELSE '' END AS mark FROM r")
 def leaderboard_rank(spark, d):
-    return leaderboard.rank(_board(spark, d))
+    """The system table in three blocks: parametric, with search, agents."""
+    return leaderboard.rank(metrics.evaluate(_late_all(spark, d), ["system", "block"]), block="block")
 
 
 _SUB = " UNION ALL ".join(
-    f"SELECT system, search, '{name}' AS subset, score, truth FROM j WHERE {where}"
+    f"SELECT system, block, '{name}' AS subset, score, truth FROM j WHERE {where}"
     for name, where in (("images", "has_image"), ("videos", "has_video"), ("text_only", "NOT has_image AND NOT has_video"), ("english", "english"), ("other_language", "NOT english"), ("intact", "truth > 1.0::DOUBLE/3"), ("compromised", "truth <= 1.0::DOUBLE/3"), ("all", "true"))
 )
 MEMBERS = "mem AS (SELECT l_orderkey AS claim_id, bool_or(l_returnflag <> 'R') AS has_image, bool_or(l_returnflag = 'R') AS has_video FROM lineitem GROUP BY 1)"
@@ -171,9 +184,9 @@ def _with_media(spark, d, rows):
     return joined.withColumns({c: F.coalesce(c, F.lit(False)) for c in ("has_image", "has_video")})
 
 
-@query(f"WITH {LATEST}, {MEMBERS}, j AS (SELECT late.*, coalesce(has_image, false) AS has_image, coalesce(has_video, false) AS has_video FROM late LEFT JOIN mem USING (claim_id)), s AS ({_SUB}) SELECT system, search, subset, count(*) AS n, round(avg((score - truth) * (score - truth)), 6) AS mse FROM s GROUP BY ALL")
+@query(f"WITH {ALL}, {MEMBERS}, j AS (SELECT late_all.*, coalesce(has_image, false) AS has_image, coalesce(has_video, false) AS has_video FROM late_all LEFT JOIN mem USING (claim_id)), s AS ({_SUB}) SELECT system, block, subset, count(*) AS n, round(avg((score - truth) * (score - truth)), 6) AS mse FROM s GROUP BY ALL")
 def leaderboard_subsets(spark, d):
-    return metrics.subsets(_with_media(spark, d, _late(spark, d)), ["system", "search"])
+    return metrics.subsets(_with_media(spark, d, _late_all(spark, d)), ["system", "block"])
 
 
 @query(f"WITH {LATEST} SELECT system, english, truth, count(*) AS n, round(avg((score - truth) * (score - truth)), 6) AS mse, CAST(grouping(system, english, truth) AS BIGINT) AS level FROM late GROUP BY CUBE (system, english, truth)")
@@ -459,14 +472,26 @@ def transcripts(spark, d):
     return frames.transcript(load(spark, d, "conversations"), "conv_id", "turn")
 
 
-@query(rf"""WITH p AS ({_EVEN.format(k='conv_id', o='turn', t='conversations')}), w AS (SELECT conv_id, CAST(len(regexp_split_to_array(regexp_replace(text, '^[ \t\n\r]+|[ \t\n\r]+$', '', 'g'), '[ \t\n\r]+')) AS DOUBLE) AS k, {_WANTED} AS sampled FROM p)
-SELECT round(avg(full_ - five), 6) AS bias, round(avg(abs(full_ - five)), 6) AS mae, count(*) AS n FROM (SELECT conv_id, avg(k) AS full_, avg(k) FILTER (sampled) AS five FROM w GROUP BY 1)""")
+def _scored_as(table: str, of: str) -> str:
+    """SQL of the ensemble over another table of (doc_id, text), as a subquery."""
+    return f"(WITH documents AS ({table}), {SCORERS} SELECT claim_id, mean AS {of} FROM ens)"
+
+
+_NATIVE = "SELECT conv_id AS doc_id, string_agg(text, chr(10) ORDER BY turn, text) AS text FROM conversations GROUP BY 1"
+_FIVE = f"SELECT conv_id AS doc_id, string_agg(text, chr(10) ORDER BY turn, text) AS text FROM ({_EVEN.format(k='conv_id', o='turn', t='conversations')}) WHERE {_WANTED} GROUP BY 1"
+
+
+def _compared(b3) -> str:
+    return f"SELECT count(*) AS n, round(avg((sa - sb) * (sa - sb)), 6) AS mse, round(avg(abs(sa - sb)), 6) AS mae, round(corr(sa, sb), 6) AS correlation, round(avg(({b3('sa', 3)} = {b3('sb', 3)})::INT::DOUBLE), 6) AS same_decision"
+
+
+@query(f"{_compared(_b)} FROM {_scored_as(_NATIVE, 'sa')} JOIN {_scored_as(_FIVE, 'sb')} USING (claim_id)")
 def frames_vs_native(spark, d):
-    """A score (mean words of a turn) from five sampled turns against all of them."""
-    c = load(spark, d, "conversations").withColumn("k", text.n_words("text").cast("double"))
-    full = c.groupBy("conv_id").agg(F.avg("k").alias("f"))
-    five = frames.even(c, "conv_id", ["turn"]).groupBy("conv_id").agg(F.avg("k").alias("s"))
-    return full.join(five, "conv_id").agg(F.round(F.avg(F.col("f") - F.col("s")), 6).alias("bias"), F.round(F.avg(F.abs(F.col("f") - F.col("s"))), 6).alias("mae"), F.count(F.lit(1)).alias("n"))
+    """Scores of the same systems from five sampled turns and a transcript of them, against the whole dialogue."""
+    c = load(spark, d, "conversations")
+    joined = lambda rows: rows.groupBy(F.col("conv_id").alias("doc_id")).agg(F.array_join(F.transform(F.array_sort(F.collect_list(F.struct("turn", "text"))), lambda x: x["text"]), "\n").alias("text"))
+    scored = lambda docs: combine_wide(judges.wide_votes(docs), list(text.raw_scorers())).select("claim_id", F.col("mean").alias("score"))
+    return ablate.compare_runs(scored(joined(c)), scored(joined(frames.even(c, "conv_id", ["turn"]))))
 
 
 # statistics and trends
@@ -536,6 +561,17 @@ def backbone_compare(spark, d):
     return ablate.compare_runs(run(text.raw_scorers), run(text.second_raw_scorers))
 
 
+_QUARTER = "SELECT doc_id, text FROM documents WHERE date_trunc('quarter', DATE '2023-01-01' + CAST(doc_id % 800 AS INTEGER)) = DATE '2024-01-01'"
+
+
+@query(f"{_compared(_b)} FROM {_scored_as(_QUARTER, 'sa')} JOIN {_scored_as(_QUARTER, 'sb').replace(SCORERS, SECOND)} USING (claim_id)")
+def backbone_quarter(spark, d):
+    """One quarter made again with another backbone: are scores and verdicts the same?"""
+    dated = _documents(spark, d).filter(F.trunc(F.date_add(F.lit("2023-01-01").cast("date"), (F.col("doc_id") % 800).cast("int")), "quarter") == F.lit("2024-01-01").cast("date"))
+    run = lambda family: combine_wide(judges.wide_votes(dated, family), list(family())).select("claim_id", F.col("mean").alias("score"))
+    return ablate.compare_runs(run(text.raw_scorers), run(text.second_raw_scorers))
+
+
 @query(r"""WITH c AS (SELECT item_id, text, regexp_replace(text, '\.', ' !', 'g') AS other FROM benchmark), w AS (SELECT item_id, list_distinct(regexp_split_to_array(text, '[ \t\n\r]+')) AS a, list_distinct(regexp_split_to_array(other, '[ \t\n\r]+')) AS b, text, other FROM c)
 SELECT item_id AS claim_id, round(len(list_intersect(a, b)) / len(list_distinct(list_concat(a, b)))::DOUBLE, 6) AS jaccard, CAST(levenshtein(text, other) AS INTEGER) AS distance FROM w""")
 def backbone_texts(spark, d):

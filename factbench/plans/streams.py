@@ -33,19 +33,23 @@ def _folder(spark: SparkSession) -> str:
 
 
 @query("""WITH c AS (SELECT o_orderkey AS claim_id, CAST(date_trunc('quarter', o_orderdate) AS DATE) AS quarter, ((o_custkey * 7919) % 2001 - 1000) / 1000.0::DOUBLE AS v FROM orders)
-SELECT claim_id, quarter, CASE WHEN v > 1.0::DOUBLE/3 THEN 'intact' WHEN v < -1.0::DOUBLE/3 THEN 'compromised' ELSE 'uncertain' END AS label FROM c WHERE quarter IN (SELECT DISTINCT quarter FROM c ORDER BY quarter DESC LIMIT 2)""")
+SELECT claim_id, quarter, CASE WHEN v > 1.0::DOUBLE/3 THEN 'intact' WHEN v < -1.0::DOUBLE/3 THEN 'compromised' ELSE 'uncertain' END AS label FROM c""")
 def quarterly_append(spark, d):
-    """The two newest quarters replayed: one in two runs with a backlog between them, and one of them again."""
+    """All quarters replayed in order, a year a run; the newest quarter in two runs with a backlog between them, and the newest year once more."""
     feed = claims(spark, d).select("claim_id", "quarter", "veracity")
-    two = [r[0] for r in feed.select("quarter").distinct().orderBy(F.desc("quarter")).limit(2).collect()]
+    years: dict[int, list[str]] = {}
+    for (q,) in feed.select("quarter").distinct().orderBy("quarter").collect():
+        years.setdefault(q.year, []).append(str(q))
     state = _folder(spark)
 
     def process(rows):
         return rows.select("claim_id", "quarter", label("veracity").alias("label"))
 
-    append_quarter(state, feed, str(two[1]), process, limit=50)
-    for q in (two[1], two[0], two[0]):
-        append_quarter(state, feed, str(q), process)
+    for year, quarters in sorted(years.items()):
+        if year == max(years):
+            append_quarter(state, feed, quarters[-1], process, limit=50)
+        append_quarter(state, feed, quarters, process)
+    append_quarter(state, feed, years[max(years)], process)
     return spark.read.parquet(f"{state}/claims").select("claim_id", F.col("quarter").cast("date").alias("quarter"), "label")
 
 
@@ -99,6 +103,15 @@ def stream_evidence(spark, d):
     return _written(spark, streams.evidence(claims, found, "user_id", 3))
 
 
+@query("""WITH c AS (SELECT event_id AS claim_id, user_id, ts FROM events WHERE event_type = 'purchase'), e AS (SELECT user_id, event_id AS evidence_id, ts FROM events WHERE event_type IN ('view', 'click')),
+w AS (SELECT least((SELECT max(ts) FROM c), (SELECT max(ts) FROM e)) AS at_) SELECT claim_id, evidence_id FROM c LEFT JOIN e ON c.user_id = e.user_id AND e.ts <= c.ts AND e.ts >= c.ts - INTERVAL 3 DAYS, w WHERE evidence_id IS NOT NULL OR c.ts < at_""")
+def stream_evidence_missing(spark, d):
+    """The same with claims that have no evidence; those after the last watermark are still open."""
+    claims = _events(spark, d).filter("event_type = 'purchase'").select(F.col("event_id").alias("claim_id"), "user_id", F.col("ts").alias("claim_ts"))
+    found = _events(spark, d).filter("event_type in ('view', 'click')").select(F.col("event_id").alias("evidence_id"), "user_id", F.col("ts").alias("pub_ts"))
+    return _written(spark, streams.evidence(claims, found, "user_id", 3, how="left_outer"))
+
+
 @query("""SELECT event_id AS claim_id, CAST(date_trunc('quarter', ts) AS DATE) AS quarter, CASE WHEN event_type = 'error' THEN 'compromised' ELSE 'intact' END AS label FROM events
 QUALIFY row_number() OVER (PARTITION BY date_trunc('quarter', ts), event_type = 'error' ORDER BY md5('split-1:' || event_id), event_id) <= 100""")
 def stream_quota(spark, d):

@@ -20,6 +20,9 @@ SYSTEMS = (
     ("V8", 8, 0.55, 0.35, 0.80, 0.55, "1999-07-01"),
 )
 
+#: Planted agents, always with search: name, number, fit, noise, lean to the bad class. Fixed values.
+AGENTS = (("A1", 9, 0.75, 0.45, 0.05), ("A2", 10, 0.85, 0.35, 0.05), ("A3", 11, 0.72, 0.45, 0.05), ("X1", 12, 0.15, 0.5, 0.6), ("X2", 13, 0.1, 0.5, 0.7), ("X3", 14, 0.2, 0.6, -0.2))
+
 
 def claims(spark: SparkSession, folder: str) -> DataFrame:
     """Dated claims from orders, with planted veracity and coverage."""
@@ -111,6 +114,19 @@ def predictions(spark: SparkSession, folder: str) -> DataFrame:
     return base.select("system", "search", "claim_id", "claim_ts", "quarter", "truth", "english", "cutoff", score.alias("score"))
 
 
+def agent_predictions(spark: SparkSession, folder: str) -> DataFrame:
+    """The same columns but for the cutoff, from the planted agents: two kinds with three backbones each."""
+    o = load(spark, folder, "orders", ["o_orderkey", "o_custkey", "o_orderdate"])
+    arms = F.array(*[F.struct(F.lit(s).alias("system"), F.lit(n).alias("number"), F.lit(f).alias("fit"), F.lit(e).alias("noise"), F.lit(b).alias("lean")) for s, n, f, e, b in AGENTS])
+    base = o.select(
+        F.col("o_orderkey").alias("claim_id"), F.col("o_orderdate").alias("claim_ts"), F.trunc("o_orderdate", "quarter").alias("quarter"),
+        F.when((F.col("o_orderkey") * 104729) % 2 == 0, 1.0).otherwise(-1.0).alias("truth"), (F.col("o_custkey") % 5 < 2).alias("english"), F.inline(arms),
+    )
+    noise = (((F.col("claim_id") + F.col("number") * 31 + 17) * 7919) % 2001 - 1000) / 997.0 * F.col("noise")
+    score = F.round(clip(F.col("truth") * F.col("fit") + noise - F.col("lean")), 9)
+    return base.select("system", F.lit(True).alias("search"), "claim_id", "claim_ts", "quarter", "truth", "english", score.alias("score"))
+
+
 def memberships(spark: SparkSession, folder: str) -> DataFrame:
     """(claim_id, has_image, has_video) for claims with media."""
     return claim_media(spark, folder).groupBy("claim_id").agg(F.bool_or(~F.col("is_video")).alias("has_image"), F.bool_or("is_video").alias("has_video"))

@@ -56,12 +56,16 @@ def sessions(df: DataFrame, key: str, ts: str, gap: str, delay: str = "0 seconds
     return grouped.select(key, F.col("session_window.start").alias("start"), F.col("session_window.end").alias("end"), "n")
 
 
-def evidence(claims: DataFrame, found: DataFrame, key: str, days: int, delay: str = "0 seconds") -> DataFrame:
-    """Claims with evidence of their key from the ``days`` before: an interval join of two watermarked streams."""
+def evidence(claims: DataFrame, found: DataFrame, key: str, days: int, delay: str = "0 seconds", how: str = "inner") -> DataFrame:
+    """Claims with evidence of their key from the ``days`` before: an interval join of two watermarked streams.
+
+    With ``how`` as ``left_outer``, claims without evidence come with a null ``evidence_id`` once the watermark shows that
+    none can arrive any more; those of the newest moments stay in the state until then.
+    """
     c = claims.withWatermark("claim_ts", delay).alias("c")
     e = found.withWatermark("pub_ts", delay).alias("e")
     when = F.expr(f"c.{key} = e.{key} AND e.pub_ts <= c.claim_ts AND e.pub_ts >= c.claim_ts - INTERVAL {int(days)} DAYS")
-    return c.join(e, when).select("c.claim_id", "e.evidence_id")
+    return c.join(e, when, how).select("c.claim_id", "e.evidence_id")
 
 
 def credible(reviews: DataFrame, listed: DataFrame, by: str = "publisher") -> DataFrame:
