@@ -28,13 +28,18 @@ def combine_wide(wide: DataFrame, members: list[str]) -> DataFrame:
     return out.drop("_votes").withColumn("spread", F.round(F.col("high") - F.col("low"), 6)).withColumn("complete", F.col("n_votes") >= len(members))
 
 
-def filter_agreement(df: DataFrame, max_spread: float = 1.0) -> DataFrame:
-    """Rows whose members differ by no more than ``max_spread``; a spread of exactly that stays."""
-    return df.filter(F.col("spread") <= max_spread)
+def _where(df: DataFrame, keep, in_place: bool) -> DataFrame:
+    """A filter; in place as a generator, through which the optimizer doesn't push the condition, so that scorers run once."""
+    return df.select(F.inline(F.array_compact(F.array(F.when(keep, F.struct(*df.columns)))))) if in_place else df.filter(keep)
 
 
-def dropped_by_spread(df: DataFrame, max_spread: float = 1.0) -> DataFrame:
-    return df.filter(F.col("spread") > max_spread)
+def filter_agreement(df: DataFrame, max_spread: float = 1.0, in_place: bool = False) -> DataFrame:
+    """Rows whose members differ by no more than ``max_spread``; a spread of exactly that stays. ``in_place`` for scores still to be computed."""
+    return _where(df, F.col("spread") <= max_spread, in_place)
+
+
+def dropped_by_spread(df: DataFrame, max_spread: float = 1.0, in_place: bool = False) -> DataFrame:
+    return _where(df, F.col("spread") > max_spread, in_place)
 
 
 def single(votes: DataFrame, member: str) -> DataFrame:

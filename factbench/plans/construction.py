@@ -486,12 +486,12 @@ def ensemble_mean(spark, d):
 
 @query(f"WITH {SCORERS} SELECT claim_id, mean, spread FROM ens WHERE spread <= 1")
 def ensemble_agreement(spark, d):
-    return ensemble.filter_agreement(_ensemble(spark, d)).select("claim_id", "mean", "spread")
+    return ensemble.filter_agreement(_ensemble(spark, d).select("claim_id", "mean", "spread"), in_place=True)
 
 
 @query(f"WITH {SCORERS} SELECT claim_id, spread FROM ens WHERE spread > 1")
 def ensemble_dropped(spark, d):
-    return ensemble.dropped_by_spread(_ensemble(spark, d)).select("claim_id", "spread")
+    return ensemble.dropped_by_spread(_ensemble(spark, d).select("claim_id", "spread"), in_place=True)
 
 
 @query(f"WITH {SCORERS} SELECT claim_id, score FROM votes WHERE member = 'J2'")

@@ -63,9 +63,9 @@ def test_wide_curve_is_the_global_error(spark, small):
 
 
 def test_ablation_rows(spark, medium):
-    from factbench.operators.judges import local_votes
+    from factbench.operators.judges import wide_votes
 
-    votes = local_votes(load(spark, medium, "documents", ["doc_id", "text"]))
+    votes = wide_votes(load(spark, medium, "documents", ["doc_id", "text"]))
     human = humaneval.truth(humaneval.annotations(load(spark, medium, "labels")))
     rows = {r["setting"]: r for r in humaneval.ablations(votes, human).collect()}
     assert rows["filtered"]["n"] < rows["unfiltered"]["n"]

@@ -34,3 +34,18 @@ def test_no_python(spark, small, name):
 def test_scans_are_narrow(spark, small):
     p = plan(spark, small, "verdict_integrity")
     assert "l_extendedprice" not in p and p.count("Exchange hashpartitioning") <= 3
+
+
+@pytest.mark.parametrize(("name", "exchanges"), [("ensemble_agreement", 1), ("human_eval_ablations", 4)])
+def test_scorers_see_each_text_once(spark, small, name, exchanges):
+    """Every text is searched for symbols once and split once for words; votes of one claim need no shuffle."""
+    p = plan(spark, small, name)
+    assert p.count("regexp_replace(") == 1 and p.count("array_distinct(") == 2
+    assert p.count("Exchange") - p.count("BroadcastExchange") - p.count("ReusedExchange") <= exchanges
+
+
+def test_search_shuffles_no_pairs(spark, small):
+    """Documents are dealt once; pairs are summed where they are, and only the best of each partition leave it."""
+    p = plan(spark, small, "evidence_search")
+    assert "WindowGroupLimit" in p and "hashpartitioning(claim_id" in p
+    assert "hashpartitioning(claim_id#" in p and not any("doc_id" in line and "claim_id" in line for line in p.splitlines() if "Exchange hashpartitioning" in line)

@@ -73,19 +73,56 @@ def test_mean_of_mins_never_exceeds_min_of_means(spark):
     assert a.join(b, "claim_id").filter("mean_of_mins > min_of_means + 1e-6").count() == 0
 
 
-@pytest.mark.parametrize(("integrity", "spread", "outcome"), [(0.34, 0.5, "accepted"), (1 / 3, 0.5, "not intact"), (0.9, 1.2, "low agreement")])
-def test_twins(spark, integrity, spread, outcome):
-    df = spark.createDataFrame([(1, integrity, spread)], "claim_id long, twin_integrity double, twin_spread double")
+@pytest.mark.parametrize(
+    ("consistent", "shareable", "integrity", "spread", "outcome"),
+    [(True, True, 0.34, 0.5, "accepted"), (True, True, 1 / 3, 0.5, "not intact"), (True, True, 0.9, 1.2, "low agreement"), (False, True, 0.9, 0.1, "inconsistent"), (True, False, 0.9, 0.1, "not shareable"), (True, True, None, None, "not intact")],
+)
+def test_twins(spark, consistent, shareable, integrity, spread, outcome):
+    df = spark.createDataFrame([(1, consistent, shareable, integrity, spread)], "claim_id long, consistent boolean, shareable boolean, twin_integrity double, twin_spread double")
     assert rectify.decided(df).first()["outcome"] == outcome
 
 
 def test_replacement_keeps_every_claim_once(spark, small):
-    v = verdict.verdicts(derived.claims(spark, small), derived.claim_media(spark, small))
-    twins = rectify.decided(rectify.rescore(rectify.generate(rectify.candidates(v))))
-    out = rectify.replace(v, twins)
-    assert out.count() == out.select("claim_id").distinct().count() == v.count()
+    from factbench.plans.construction import _final, _twins
+
+    twins, out = _twins(spark, small).persist(), _final(spark, small, half=False).persist()
+    assert out.count() == out.select("claim_id").distinct().count() == 1500
     assert out.filter("rectified and not (integrity > 1.0/3)").count() == 0
-    assert {r[0] for r in twins.select("outcome").distinct().collect()} == {"accepted", "not intact", "low agreement"}
+    assert out.filter("rectified").count() == twins.filter("outcome = 'accepted'").count() > 100
+    assert {r[0] for r in twins.select("outcome").distinct().collect()} == {"accepted", "not intact", "low agreement", "inconsistent", "not shareable"}
+    assert twins.filter("outcome in ('inconsistent', 'not shareable') and twin_integrity is not null").count() == 0  # never scored
+
+
+def test_twins_follow_the_justification(spark):
+    rows = [(1, "It rained\nIt rained\n#### $$$$", "coverage", "forgot the sun"), (2, "It rained", "veracity", "no"), (3, "It rained", "contextualization", None)]
+    df = spark.createDataFrame(rows, "claim_id long, text string, compromising string, justification string")
+    assert {r["claim_id"]: r["twin_text"] for r in rectify.generate(df).collect()} == {1: "With what was left out: It rained (forgot the sun)", 2: "In fact: It rained", 3: "Seen in its context: It rained"}
+
+
+def test_justification_of_integrity(spark):
+    names = ("contextualization", "veracity", "coverage")
+    given = {"J1": (0.9, -0.1, 0.5), "J2": (0.8, -0.6, 0.5), "J3": (0.9, -0.5, None), "J4": (0.9, -0.9, 0.7)}
+    rows = [(1, m, p, s, f"{m} on {p}") for m, scores in given.items() for p, s in zip(names, scores, strict=True)]
+    long = spark.createDataFrame(rows, "claim_id long, member string, property string, score double, justification string")
+    wide = spark.createDataFrame([(1, m, *s) for m, s in given.items()], "claim_id long, member string, contextualization double, veracity double, coverage double")
+    row = ensemble.justify_integrity(ensemble.standardize(wide), ensemble.justify_properties(long)).first()
+    assert (row["compromising"], row["label"], row["integrity"], row["spread"], row["coverage"]) == ("veracity", "compromised", -0.525, 0.8, None)
+    assert row["justification"] == row["veracity_justification"] == "J3 on veracity" and row["contextualization_justification"] == "J1 on contextualization"
+    summed = ensemble.justify_properties(long, lambda texts, scores: F.concat_ws("; ", F.array_join(texts, ","), F.size(scores).cast("string"))).first()
+    assert summed["coverage_justification"] == "J1 on coverage,J2 on coverage,J4 on coverage; 3"
+
+
+def test_wide_votes_are_the_long_ones(spark, small):
+    from factbench.sources.io import load
+
+    docs = load(spark, small, "documents", ["doc_id", "text"])
+    wide = judges.wide_votes(docs)
+    a = ensemble.combine_wide(wide, ["J1", "J2", "J3", "J4"]).select("claim_id", "mean", "low", "high", "n_votes", "spread", "complete")
+    b = ensemble.combine(judges.local_votes(docs), ["claim_id"]).select("claim_id", "mean", "low", "high", "n_votes", "spread", "complete")
+    assert sorted(map(tuple, a.collect())) == sorted(map(tuple, b.collect()))
+    some = spark.createDataFrame([(1, 0.5, None), (2, None, None)], "claim_id long, J1 double, J2 double")
+    got = {r["claim_id"]: (r["mean"], r["n_votes"], r["complete"]) for r in ensemble.combine_wide(some, ["J1", "J2"]).collect()}
+    assert got == {1: (0.5, 1, False), 2: (None, 0, False)}
 
 
 def labelled(spark, n=400):
@@ -129,3 +166,36 @@ def test_failing_scorer_is_a_result(spark):
 
     row = judges.scored(df, broken, "J1").first()
     assert row["score"] is None and "no model" in row["failure"]
+
+
+@pytest.mark.parametrize(
+    ("out", "told"),
+    [
+        ({"claim": "string"}, {"claim": "A B"}), ({"reasons": "array<string>"}, {"reasons": ["too long"]}), ({"summary": "string"}, {"summary": "in short"}), ({"relevant": "boolean"}, {"relevant": True}),
+        ({"start": "long", "end": "long"}, {"start": 1, "end": 2}), ({"urls": "array<string>"}, {"urls": ["u", "v"]}), ({"score": "double", "justification": "string"}, {"score": 0.5, "justification": "so"}),
+    ],
+)
+def test_every_interface_binds_in_batches(spark, out, told):
+    df = spark.createDataFrame([(i, f"text {i}", "spare") for i in range(5)], "claim_id long, text string, other string")
+
+    def model(frame):
+        assert list(frame.columns) == ["claim_id", "text"]
+        result = frame[["claim_id"]].copy()
+        for name, value in told.items():
+            result[name] = [value] * len(frame)
+        return result
+
+    rows = judges.in_batches(df, model, out, ["text"]).collect()
+    assert len(rows) == 5 and all({**told, "failure": None} == {k: r[k] for k in (*told, "failure")} for r in rows)
+
+    def broken(frame):
+        raise RuntimeError("no model")
+
+    rows = judges.in_batches(df, broken, out, ["text"], attempts=3).collect()
+    assert all(r["failure"] == "attempt 3: no model" and all(r[k] is None for k in told) for r in rows)
+
+
+def test_a_batch_judge_keeps_relevant_media(spark):
+    df = spark.createDataFrame([(1, "cat"), (2, "dog"), (3, "cat")], "media_id long, what string")
+    kept, failed = judges.judged(df, lambda frame: frame.assign(relevant=frame["what"] == "cat"), ["what"])
+    assert sorted(r["media_id"] for r in kept.collect()) == [1, 3] and failed.count() == 0
