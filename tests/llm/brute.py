@@ -64,6 +64,27 @@ def jaccard_groups(docs, k=4, threshold=85):
     return {d: (len(s), of[d]) for d, s in sets.items()}
 
 
+def mixed(docs, weights=(5, 2, 1), share=1.5, most=2.0, seed="mix-1"):
+    """(doc_id, text) of the mix of (doc_id, source, text): whole epochs, then hash-random order up to each budget, the last text cut."""
+    from factbench.llm.mixture import water_level
+
+    sources = defaultdict(list)
+    for d, s, t in docs:
+        sources[s].append((hashlib.md5(f"{seed}:{d}".encode()).hexdigest(), len(WORD.findall(t)), d, t))
+    names = sorted(sources, key=lambda s: (s is None, s))
+    sizes = [sum(n for _, n, *_ in sources[s]) for s in names]
+    out = []
+    for s, size, target in zip(names, sizes, water_level(sizes, [weights[i % len(weights)] for i in range(len(names))], share, most), strict=True):
+        left = math.floor(target)
+        while left > 0:
+            for _, n, d, t in sorted(sources[s]):
+                take = min(n, left)
+                left -= take
+                if take:
+                    out.append((d, t if take == n else t[: list(WORD.finditer(t))[take - 1].end()]))
+    return out
+
+
 def url_verdicts(pages, labels, depth=8, fan=20, rare=0.05, z=1.96, few=5, support=30, close=0.1, strength=10.0, reject=0.5):
     """{page_id: (template, impurity, bad)} by a plain recursion over (page_id, host, path) pages and a dict of labels; rules aside."""
 

@@ -220,6 +220,55 @@ def test_language_accuracy(spark, medium):
     assert all(0 <= r["score"] <= 1 for r in rows)
 
 
+def byte_runs(text):
+    """The distinct runs of one to four bytes of a text's letters, as the kernel sees them, not hashed."""
+    from factbench.llm.kernel_langid import _LETTERS
+
+    data = b" ".join([b"", *text.lower().encode().translate(_LETTERS).split(), b""])
+    return {data[i : i + n] for n in range(1, 5) for i in range(len(data) - n + 1)}
+
+
+def test_language_query_is_plain_kernel_regression(spark, small):
+    """The query's predictions are those of kernel ridge regression worked out on sets of byte runs, text by text."""
+    docs = spark.read.parquet(f"{small}/documents.parquet").select("doc_id", "text", "lang", F.xxhash64("doc_id").alias("h")).collect()
+    held = {r["doc_id"] for r in docs if zlib.crc32(str(r["doc_id"]).encode()) % 4 == 2}
+    known = [r for r in docs if r["doc_id"] not in held and r["lang"] and r["text"] and any(c.isalpha() for c in r["text"])]
+    turns: dict = {}
+    order = []
+    for r in sorted(known, key=lambda r: (r["h"], r["doc_id"])):
+        turns[r["lang"]] = turns.get(r["lang"], -1) + 1
+        if turns[r["lang"]] < 2048 // 4:
+            order.append((turns[r["lang"]], r["lang"], r["text"]))
+    assert len(turns) == 4
+    sets = [byte_runs(t) for *_, t in order]
+    kernel = lambda a, b: len(a & b) / math.sqrt(len(a) * len(b))
+    marks = [sets[i] for i in sorted(range(len(order)), key=lambda i: order[i][:2])[:128]]
+    k_mm, k_nm = (np.array([[kernel(a, b) for b in marks] for a in rows]) for rows in (marks, sets))
+    values, basis = np.linalg.eigh(k_mm)
+    root = basis[:, values > 1e-8 * values[-1]] / np.sqrt(values[values > 1e-8 * values[-1]])
+    x = np.c_[k_nm @ root, np.ones(len(sets))]
+    langs = sorted(turns)
+    y = np.array([[1.0 if c == lang else -1.0 for c in langs] for _, lang, _ in order])
+    w = np.linalg.solve(x.T @ x + 1e-3 * len(sets) * np.diag(np.r_[np.ones(root.shape[1]), 1e-6]), x.T @ y)
+    got = by_id(queries.op3_kernel_langid(spark, small), "held_out", "lang_pred", "score")
+    same = 0
+    for r in docs:
+        scores = np.r_[np.array([kernel(byte_runs(r["text"]), m) for m in marks]) @ root, 1.0] @ w
+        assert got[r["doc_id"]][0] == (r["doc_id"] in held) and abs(got[r["doc_id"]][2] - np.clip((1 + scores.max()) / 2, 0, 1)) < 0.05  # runs are hashed there
+        same += got[r["doc_id"]][1] == langs[int(scores.argmax())]
+    assert same >= 0.99 * len(docs)
+
+
+def test_the_sample_is_bounded_and_shared(spark):
+    rows = [(i, f"text {i}", "abc"[i % 3] if i % 50 else "rare") for i in range(3000)] + [(1, "twice", "a")]
+    df = spark.createDataFrame(rows, "doc_id long, text string, lang string")
+    got = kernel_langid.sampled(df, "doc_id", "text", "lang", 80).collect()
+    counts: dict = {}
+    for r in got:
+        counts.setdefault(r["lang"], []).append(r["turn"])
+    assert {k: sorted(v) for k, v in counts.items()} == {k: list(range(20)) for k in ("a", "b", "c", "rare")}
+
+
 def test_language_of_odd_rows(odd, empty):
     model = kernel_langid.train(odd, F.lit(True))
     assert set(model.languages) == {"en", "de", "fr"}
