@@ -85,7 +85,12 @@ def reasons(c: str, n_media: str) -> Column:
     )
 
 
+def with_reasons(df: DataFrame, c: str = "claim", n_media: str = "n_media") -> DataFrame:
+    """All claims with the reasons against them, an empty array for valid ones."""
+    return df.withColumn("reasons", reasons(c, n_media))
+
+
 def validate(df: DataFrame, c: str = "claim", n_media: str = "n_media") -> tuple[DataFrame, DataFrame]:
     """(kept, dropped): the dropped ones with their reasons."""
-    told = df.withColumn("reasons", reasons(c, n_media))
+    told = with_reasons(df, c, n_media)
     return told.filter(F.size("reasons") == 0).drop("reasons"), told.filter(F.size("reasons") > 0)

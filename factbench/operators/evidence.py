@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
@@ -43,15 +43,23 @@ def newest(claims: DataFrame, evidence: DataFrame, key: str) -> DataFrame:
 
 
 def tokens(df: DataFrame, key: str, col: str = "text") -> DataFrame:
-    """(key, tokens): lower-case runs of letters and digits."""
-    return df.select(F.col(key), F.filter(F.split(F.lower(F.col(col)), r"[^\p{L}\p{N}]+"), lambda t: t != "").alias("tokens"))
+    """(key, tokens) of each row."""
+    return df.select(F.col(key), _cut(col).alias("tokens"))
 
 
-def _counted(df: DataFrame, key: str, more: list[str]) -> DataFrame:
-    """(key, more, len, token, tf): one exchange deals texts by key, and all that follows by key needs no other."""
-    dealt = df.select(key, "text", *more).repartition(key)
-    cut = tokens(dealt, key).select(key, "tokens") if not more else dealt.select(key, *more, F.filter(F.split(F.lower(F.col("text")), r"[^\p{L}\p{N}]+"), lambda t: t != "").alias("tokens"))
-    each = cut.select(key, *more, F.size("tokens").alias("len"), F.explode("tokens").alias("token"))
+def _cut(text: str = "text") -> Column:
+    """Lower-case runs of letters and digits."""
+    return F.filter(F.split(F.lower(F.col(text)), r"[^\p{L}\p{N}]+"), lambda t: t != "")
+
+
+def _dealt(df: DataFrame, key: str, more: list[str]) -> DataFrame:
+    """(key, more, tokens): one exchange deals texts by key, and all that follows by key needs no other."""
+    return df.select(key, "text", *more).repartition(key).select(key, *more, _cut().alias("tokens"))
+
+
+def _counted(dealt: DataFrame, key: str, more: list[str]) -> DataFrame:
+    """(key, more, len, token, tf)"""
+    each = dealt.select(key, *more, F.size("tokens").alias("len"), F.explode("tokens").alias("token"))
     return each.groupBy(key, *more, "len", "token").agg(F.count(F.lit(1)).alias("tf"))
 
 
@@ -60,8 +68,9 @@ def postings(docs: DataFrame, wanted: DataFrame | None = None, k1: float = 1.2,
 
     Lengths and document counts are of all documents with a token; rows of one document stay in one partition.
     """
-    counted = _counted(docs, "doc_id", list(more))
-    lengths = tokens(docs, "doc_id").select(F.size("tokens").alias("len")).filter("len > 0")
+    dealt = _dealt(docs, "doc_id", list(more))
+    counted = _counted(dealt, "doc_id", list(more))
+    lengths = dealt.select(F.size("tokens").alias("len")).filter("len > 0")
     corpus = lengths.agg(F.count(F.lit(1)).alias("n"), F.avg("len").alias("mean"))
     listed = small(wanted) if wanted is not None else None
     near = counted.join(listed, "token", "left_semi") if wanted is not None else counted
@@ -87,7 +96,7 @@ def scores(claims: DataFrame, docs: DataFrame, k1: float = 1.2, b: float = 0.75,
         asked = tokens_of(claims, c_time)
         sent, held = asked, postings(docs, asked.select("token").distinct(), k1, b, d_time)
     else:
-        held = _counted(claims, "claim_id", list(c_time)).select("claim_id", *c_time, "token")
+        held = _counted(_dealt(claims, "claim_id", list(c_time)), "claim_id", list(c_time)).select("claim_id", *c_time, "token")
         sent = postings(docs, None, k1, b, d_time)
     key = "claim_id" if side == "claims" else "doc_id"
     n = sent.count()
@@ -105,8 +114,7 @@ def scores(claims: DataFrame, docs: DataFrame, k1: float = 1.2, b: float = 0.75,
 
 def tokens_of(claims: DataFrame, more: tuple[str, ...] = ()) -> DataFrame:
     """(claim_id, more, token): the distinct tokens of each claim."""
-    cut = F.array_distinct(F.filter(F.split(F.lower(F.col("text")), r"[^\p{L}\p{N}]+"), lambda t: t != ""))
-    return claims.select("claim_id", *more, F.explode(cut).alias("token")).distinct()
+    return claims.select("claim_id", *more, F.explode(F.array_distinct(_cut())).alias("token")).distinct()
 
 
 def search(claims: DataFrame, docs: DataFrame, k: int = 3, before: bool = False, side: str = "claims", **bm25) -> DataFrame:

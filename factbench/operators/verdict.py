@@ -10,6 +10,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from factbench.functions.scores import EDGE
+from factbench.sources.io import small
 
 #: Properties that bear on integrity, in evaluation order.
 ORDER = ("contextualization", "veracity", "coverage")
@@ -18,8 +19,8 @@ ORDER = ("contextualization", "veracity", "coverage")
 def map_rating(df: DataFrame, raw: str, table: DataFrame, out: str = "score") -> DataFrame:
     """Heterogeneous rating strings to scores through a small table (raw, score), compared trimmed and lower-cased."""
     key = F.lower(F.trim(F.col(raw)))
-    small = F.broadcast(table.select(F.lower(F.trim("raw")).alias("_raw"), F.col("score").alias(out)))
-    return df.join(small, key == F.col("_raw"), "left").drop("_raw")
+    known = small(table.select(F.lower(F.trim("raw")).alias("_raw"), F.col("score").alias(out)))
+    return df.join(known, key == F.col("_raw"), "left").drop("_raw")
 
 
 def over_media(media: DataFrame, how: str = "min") -> DataFrame:

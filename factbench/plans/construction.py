@@ -52,6 +52,10 @@ def _verdicts(spark: SparkSession, d: str, **options) -> DataFrame:
     return verdict.verdicts(derived.claims(spark, d), derived.claim_media(spark, d), **options)
 
 
+def _documents(spark, d):
+    return spread(load(spark, d, "documents", ["doc_id", "text"]))
+
+
 # stage 1
 
 
@@ -69,14 +73,14 @@ LANGUAGE = (
 
 @query(f"WITH {LANGUAGE} SELECT lang, count(*) AS n, round(100.0::DOUBLE * avg(CASE WHEN detected = lang THEN 1.0 ELSE 0.0 END), 6) AS accuracy FROM guess GROUP BY lang")
 def language_identify_accuracy(spark, d):
-    told = load(spark, d, "documents", ["lang", "text"]).withColumn("detected", text.language("text"))
+    told = spread(load(spark, d, "documents", ["lang", "text"])).withColumn("detected", text.language("text"))
     hit = F.coalesce((F.col("detected") == F.col("lang")).cast("double"), F.lit(0.0))
     return told.groupBy("lang").agg(F.count(F.lit(1)).alias("n"), F.round(100.0 * F.avg(hit), 6).alias("accuracy"))
 
 
 @query(f"WITH {LANGUAGE} SELECT doc_id, CASE WHEN doc_id % 3 = 0 THEN coalesce(detected) ELSE lang END AS lang FROM guess")
 def language_fill(spark, d):
-    docs = load(spark, d, "documents", ["doc_id", "lang", "text"]).withColumn("lang", F.when(F.col("doc_id") % 3 != 0, F.col("lang")))
+    docs = spread(load(spark, d, "documents", ["doc_id", "lang", "text"])).withColumn("lang", F.when(F.col("doc_id") % 3 != 0, F.col("lang")))
     return discovery.fill_language(docs).select("doc_id", "lang")
 
 
@@ -196,7 +200,7 @@ ARTICLE = (
 
 @query(f"WITH {ARTICLE} SELECT page_id, article FROM article")
 def article_clean(spark, d):
-    return articles.with_article(load(spark, d, "pages", ["page_id", "html"])).select("page_id", "article")
+    return articles.with_article(spread(load(spark, d, "pages", ["page_id", "html"]))).select("page_id", "article")
 
 
 @query(f"WITH {ARTICLE} SELECT count(*) AS n, CAST(sum(length(article)) AS BIGINT) AS chars, CAST(sum(CASE WHEN length(article) >= 300 THEN 1 ELSE 0 END) AS BIGINT) AS long_enough FROM article WHERE trim(article) <> ''")
@@ -385,7 +389,7 @@ rewritten AS (SELECT doc_id, CASE WHEN regexp_extract(c, '(?s)^(.*?[.!?])(?:\s|$
 @query(f"WITH {REWRITTEN} SELECT doc_id, claim || CASE WHEN doc_id % 3 = 0 THEN ' [video]' WHEN doc_id % 3 = 1 THEN ' [image, image]' ELSE '' END AS claim FROM rewritten")
 def claim_rewrite(spark, d):
     kinds = F.when(F.col("doc_id") % 3 == 0, F.array(F.lit("video"))).when(F.col("doc_id") % 3 == 1, F.array(F.lit("image"), F.lit("image"))).otherwise(F.expr("cast(array() as array<string>)"))
-    docs = load(spark, d, "documents", ["doc_id", "text"]).withColumn("kinds", kinds)
+    docs = _documents(spark, d).withColumn("kinds", kinds)
     return claims.reformulate(docs, "text", "kinds").select("doc_id", "claim")
 
 
@@ -397,9 +401,8 @@ _N_WORDS = r"len(regexp_split_to_array(regexp_replace({0}, '^[ \t\n\r]+|[ \t\n\r
     + _N_WORDS.format("text") + " > 70 THEN 'too long' END) AS reasons FROM documents"
 )
 def claim_validate(spark, d):
-    docs = load(spark, d, "documents", ["doc_id", "text"]).withColumn("n_media", (F.col("doc_id") % 2).cast("int"))
-    kept, gone = claims.validate(docs, "text", "n_media")
-    return kept.select("doc_id", F.lit("").alias("reasons")).unionByName(gone.select("doc_id", F.array_join("reasons", "; ").alias("reasons")))
+    docs = _documents(spark, d).withColumn("n_media", (F.col("doc_id") % 2).cast("int"))
+    return claims.with_reasons(docs, "text", "n_media").select("doc_id", F.array_join("reasons", "; ").alias("reasons"))
 
 
 @query("SELECT item_id, " + _N_WORDS.format("text") + " > 70 AS too_long FROM benchmark")
@@ -462,10 +465,6 @@ votes AS (SELECT doc_id AS claim_id, unnest(['J1', 'J2', 'J3', 'J4']) AS member,
 ens AS (SELECT claim_id, round(avg(score), 9) AS mean, min(score) AS low, max(score) AS high, round(max(score) - min(score), 6) AS spread FROM votes GROUP BY 1)"""
 
 
-def _documents(spark, d):
-    return spread(load(spark, d, "documents", ["doc_id", "text"]))
-
-
 def _votes(spark, d):
     return judges.local_votes(_documents(spark, d))
 
@@ -628,7 +627,7 @@ def rectify_replace(spark, d):
 
 @query(f"WITH {SCORERS} SELECT doc_id, len(ws) >= 4 AND len(ws) <= 70 AND length(regexp_replace(text, '[^0-9]', '', 'g')) / greatest(1, length(text))::DOUBLE <= 0.25 AS shareable FROM wide")
 def rectify_shareable(spark, d):
-    return load(spark, d, "documents", ["doc_id", "text"]).select("doc_id", rectify.shareable("text").alias("shareable"))
+    return _documents(spark, d).select("doc_id", rectify.shareable("text").alias("shareable"))
 
 
 @query(rf"""WITH l AS (SELECT doc_id, unnest(list_distinct(string_split(text, chr(10)))) AS line, string_split(text, chr(10)) AS ls FROM documents),
@@ -636,12 +635,12 @@ k AS (SELECT doc_id, line, list_position(ls, line) AS at_ FROM l WHERE length(re
 SELECT d.doc_id, coalesce((SELECT string_agg(line, chr(10) ORDER BY at_) FROM k WHERE k.doc_id = d.doc_id), '') AS twin_text FROM documents d""")
 def rectify_text(spark, d):
     """The local corrector of texts: repeated lines and lines of mostly symbols go."""
-    return rectify.generate_text(load(spark, d, "documents", ["doc_id", "text"])).select("doc_id", "twin_text")
+    return rectify.generate_text(_documents(spark, d)).select("doc_id", "twin_text")
 
 
 @query(rf"SELECT doc_id, NOT (regexp_matches(text, '{claims._any(claims.MEDIA_WORDS)}') AND doc_id % 2 = 0) AS consistent FROM documents")
 def rectify_consistent(spark, d):
-    docs = load(spark, d, "documents", ["doc_id", "text"]).withColumn("n_media", (F.col("doc_id") % 2).cast("int"))
+    docs = _documents(spark, d).withColumn("n_media", (F.col("doc_id") % 2).cast("int"))
     return docs.select("doc_id", rectify.consistent(docs, "text", "n_media").alias("consistent"))
 
 

@@ -11,7 +11,7 @@ from factbench.operators import ablate, baselines, cutoff, evidence, frames, fun
 from factbench.operators.ensemble import combine_wide
 from factbench.plans.construction import ARTICLE, HOSTS, SCORERS, VERDICTS, _documents, _ensemble, _verdicts, _wide
 from factbench.sources import derived
-from factbench.sources.io import load
+from factbench.sources.io import load, small
 
 QUERIES: dict = {}
 SQL: dict[str, str] = {}
@@ -591,7 +591,7 @@ def leak_overlap(spark, d):
         return df.select(key, F.explode(F.array_distinct(runs)).alias("gram"))
 
     own = grams(load(spark, d, "benchmark"), "item_id")
-    seen = grams(load(spark, d, "documents", ["doc_id", "text"]), "doc_id").join(F.broadcast(own.select("gram").distinct()), "gram", "left_semi").select("gram", F.lit(1).alias("hit")).distinct()
+    seen = grams(_documents(spark, d), "doc_id").join(small(own.select("gram").distinct()), "gram", "left_semi").select("gram", F.lit(1).alias("hit")).distinct()
     return own.join(seen, "gram", "left").groupBy("item_id").agg(F.count(F.lit(1)).alias("n_grams"), F.count("hit").alias("n_leaked"))
 
 
