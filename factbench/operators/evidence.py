@@ -33,13 +33,17 @@ def admissible_within(claims: DataFrame, evidence: DataFrame, days: int) -> Data
 def newest(claims: DataFrame, evidence: DataFrame, key: str) -> DataFrame:
     """As-of: each claim with its newest admissible evidence. Both sides in one sorted pass, no pairs are made.
 
-    At equal times evidence comes before claims and counts; of several, the one with the largest id.
+    At equal times evidence comes before claims and counts; of several, the one with the largest id. A key is sorted
+    day by day, and what earlier days leave comes from one row a day, so that a hot key is no single task.
     """
     c = claims.select(key, F.col("claim_ts").alias("ts"), F.lit(1).alias("kind"), F.col("claim_id").alias("id"), F.lit(None).cast("struct<pub_ts:timestamp_ntz,evidence_id:bigint>").alias("e"))
     e = evidence.select(key, F.col("pub_ts").alias("ts"), F.lit(0).alias("kind"), F.col("evidence_id").alias("id"), F.struct(F.col("pub_ts").cast("timestamp_ntz").alias("pub_ts"), F.col("evidence_id").cast("long").alias("evidence_id")).alias("e"))
-    over = Window.partitionBy(key).orderBy("ts", "kind", "id").rowsBetween(Window.unboundedPreceding, 0)
-    seen = c.unionByName(e).withColumn("last", F.last("e", ignorenulls=True).over(over))
-    return seen.filter("kind = 1").select(F.col("id").alias("claim_id"), key, F.col("ts").alias("claim_ts"), F.col("last.evidence_id").alias("evidence_id"), F.col("last.pub_ts").alias("pub_ts"))
+    both = c.unionByName(e).withColumn("_day", F.to_date("ts"))
+    earlier = Window.partitionBy(key).orderBy("_day").rowsBetween(Window.unboundedPreceding, -1)
+    days = both.groupBy(key, "_day").agg(F.max("e").alias("_last")).select(key, "_day", F.max("_last").over(earlier).alias("_before"))
+    within = Window.partitionBy(key, "_day").orderBy("ts", "kind", "id").rowsBetween(Window.unboundedPreceding, 0)
+    seen = both.withColumn("_own", F.last("e", ignorenulls=True).over(within)).filter("kind = 1").join(days, [key, "_day"])
+    return seen.withColumn("last", F.coalesce("_own", "_before")).select(F.col("id").alias("claim_id"), key, F.col("ts").alias("claim_ts"), F.col("last.evidence_id").alias("evidence_id"), F.col("last.pub_ts").alias("pub_ts"))
 
 
 def tokens(df: DataFrame, key: str, col: str = "text") -> DataFrame:
