@@ -170,9 +170,9 @@ def sampled(labelled: DataFrame, key: str, text: str, lang: str, sample_rows: in
     """(lang, turn, text): for each language its share of ``sample_rows``, those of least hash of the id; ``turn`` numbers them.
 
     Only rows whose hash is below a bound for about four times that many are ranked, so no task sees more than a
-    small multiple of the sample whatever the table's size.
+    small multiple of the sample whatever the table's size. Of more labels than ``sample_rows``, the most frequent count.
     """
-    counts = labelled.groupBy(F.col(lang).alias("_lang")).agg(F.count(F.lit(1)).alias("_n"))
+    counts = labelled.groupBy(F.col(lang).alias("_lang")).agg(F.count(F.lit(1)).alias("_n")).orderBy(F.desc("_n"), "_lang").limit(sample_rows)
     share = F.greatest(F.lit(1), F.floor(F.lit(sample_rows) / F.count(F.lit(1)).over(Window.partitionBy()))).cast("int")
     # hashes spread evenly over 64 bits; four times the share and 64 rows fall short of the share once in very many runs
     bound = F.least(F.lit(1.0), (4 * F.col("_share") + 64) / F.col("_n")) * F.lit(2.0**64) - F.lit(2.0**63)
