@@ -15,6 +15,16 @@ def shares(df: DataFrame, col: str, min_share: float = 0.0, other: str = "other"
     return named.groupBy(col).agg(F.sum("n").alias("n"), F.round(100.0 * F.sum("n") / F.first("total"), 6).alias("percent"))
 
 
+def distinct_sketches(df: DataFrame, by: str, col: str, lg: int = 12) -> DataFrame:
+    """(by, sketch): a mergeable sketch of the distinct values of each group; store it, and later totals need no second scan."""
+    return df.groupBy(by).agg(F.hll_sketch_agg(col, lg).alias("sketch"))
+
+
+def merged_distinct(sketches: DataFrame) -> DataFrame:
+    """(n_distinct, n_groups): distinct values over all groups out of their sketches; exact for a few hundred, within 2 % beyond."""
+    return sketches.agg(F.hll_sketch_estimate(F.hll_union_agg("sketch")).alias("n_distinct"), F.count(F.lit(1)).alias("n_groups"))
+
+
 def frequent(df: DataFrame, col: str, least: int = 50) -> DataFrame:
     """How many values there are, and how many occur at least ``least`` times."""
     counts = df.groupBy(col).agg(F.count(F.lit(1)).alias("n"))

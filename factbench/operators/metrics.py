@@ -98,6 +98,11 @@ def subset_cube(df: DataFrame, by: list[str]) -> DataFrame:
     return df.cube(*by).agg(F.count(F.lit(1)).alias("n"), F.round(mse("score", "truth"), 6).alias("mse"), F.grouping_id().alias("level"))
 
 
+def subset_rollup(df: DataFrame, by: list[str]) -> DataFrame:
+    """Totals of a hierarchy, such as quarter and system: one scan, fewer groups than the cube."""
+    return df.rollup(*by).agg(F.count(F.lit(1)).alias("n"), F.round(mse("score", "truth"), 6).alias("mse"), F.grouping_id().alias("level"))
+
+
 def by_property(long: DataFrame) -> DataFrame:
     """Measures for each low-level property of (property, score, truth) rows."""
     return evaluate(long, ["property"])

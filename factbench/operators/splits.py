@@ -57,6 +57,22 @@ def static(df: DataFrame, until: str) -> DataFrame:
     return df.filter(F.col("claim_ts") < F.lit(until).cast("timestamp_ntz"))
 
 
+def overlap(a: DataFrame, b: DataFrame, key: str = "claim_id") -> DataFrame:
+    """One row on two splits or runs: keys in both, in the first alone, in the second alone, and repeated in either."""
+    left, right = a.select(key), b.select(key)
+    parts = [left.intersect(right), left.distinct().exceptAll(right.distinct()), right.distinct().exceptAll(left.distinct()), left.exceptAll(left.distinct()).unionByName(right.exceptAll(right.distinct()))]
+    names = ("both", "first_only", "second_only", "repeated")
+    rows = [p.select(F.lit(n).alias("_part")) for n, p in zip(names, parts, strict=True)]
+    every = rows[0].unionByName(rows[1]).unionByName(rows[2]).unionByName(rows[3])
+    return every.agg(*[F.coalesce(F.sum((F.col("_part") == n).cast("long")), F.lit(0)).alias(n) for n in names])
+
+
+def sample_by_class(df: DataFrame, key: str, by: str, shares: dict, seed: str = "sample-1") -> DataFrame:
+    """A stratified sample, the same on every run: of each class its share of rows by hash; classes not named give none."""
+    share = F.coalesce(*[F.when(F.col(by) == c, F.lit(int(s * 2**32))) for c, s in shares.items()], F.lit(0))
+    return df.filter(F.conv(F.substring(draw(seed, key), 1, 8), 16, 10).cast("long") < share)
+
+
 def sample_by_hash(df: DataFrame, key: str, share: float, seed: str = "sample-1") -> DataFrame:
     """A deterministic sample: rows whose hash falls below the share."""
     return df.filter(F.conv(F.substring(draw(seed, key), 1, 8), 16, 10).cast("long") < int(share * 2**32))

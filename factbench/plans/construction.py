@@ -11,7 +11,7 @@ from factbench.functions.text import STOP_WORDS
 from factbench.operators import appearances, articles, claims, discovery, ensemble, judges, media, publishers, rectify, splits, verdict
 from factbench.operators.metrics import bin_index
 from factbench.sources import derived
-from factbench.sources.io import load, spread
+from factbench.sources.io import checkpointed, load, spread
 
 QUERIES: dict = {}
 SQL: dict[str, str] = {}
@@ -683,6 +683,21 @@ def split_latest(spark, d):
     return splits.latest(_final(spark, d)).select("claim_id", "label")
 
 
+@query(f"""WITH {RANKED}, a AS (SELECT claim_id FROM ranked WHERE rank <= 50 AND quarter IN (SELECT quarter FROM ranked WHERE rank <= 50 GROUP BY 1 HAVING count(*) = 100)), b AS (SELECT claim_id FROM ranked WHERE rank <= 5 AND quarter IN (SELECT quarter FROM ranked WHERE rank <= 5 GROUP BY 1 HAVING count(*) = 10))
+SELECT (SELECT count(*) FROM (SELECT claim_id FROM a INTERSECT SELECT claim_id FROM b)) AS "both", (SELECT count(*) FROM (SELECT claim_id FROM a EXCEPT SELECT claim_id FROM b)) AS first_only, (SELECT count(*) FROM (SELECT claim_id FROM b EXCEPT SELECT claim_id FROM a)) AS second_only,
+(SELECT count(*) - count(DISTINCT claim_id) FROM a) + (SELECT count(*) - count(DISTINCT claim_id) FROM b) AS repeated""")
+def split_overlap(spark, d):
+    """The small split lies in the large one where both have a quarter, and no claim is in either twice."""
+    final = checkpointed(_final(spark, d))
+    return splits.overlap(splits.balanced(final, 100), splits.longitudinal(final, 10))
+
+
+@query("SELECT doc_id, quality FROM labels WHERE CAST('0x' || substr(md5('sample-1:' || doc_id), 1, 8) AS BIGINT) < CASE quality WHEN 0 THEN 2147483648 WHEN 1 THEN 429496729 ELSE 0 END")
+def sample_by_class(spark, d):
+    """A stratified sample: half of the poor documents by hash, a tenth of the good ones."""
+    return splits.sample_by_class(load(spark, d, "labels", ["doc_id", "quality"]), "doc_id", "quality", {0: 0.5, 1: 0.1})
+
+
 @query("SELECT doc_id FROM documents WHERE CAST('0x' || substr(md5('sample-1:' || doc_id), 1, 8) AS BIGINT) < 858993459")
 def sample_by_hash(spark, d):
     """A sampling operator: a fifth of the documents by hash."""

@@ -194,6 +194,12 @@ def leaderboard_cube(spark, d):
     return metrics.subset_cube(_late(spark, d), ["system", "english", "truth"])
 
 
+@query(f"WITH {PRED} SELECT quarter, system, count(*) AS n, round(avg((score - truth) * (score - truth)), 6) AS mse, CAST(grouping(quarter, system) AS BIGINT) AS level FROM pred GROUP BY ROLLUP (quarter, system)")
+def error_rollup(spark, d):
+    """Errors of all predictions by quarter and system, with totals by quarter and overall."""
+    return metrics.subset_rollup(derived.predictions(spark, d), ["quarter", "system"])
+
+
 @query(f"WITH {LATEST}, r AS (SELECT *, dense_rank() OVER (PARTITION BY search ORDER BY mse) AS r FROM board), g AS (SELECT *, min(mse) OVER (PARTITION BY search) AS best, min(CASE WHEN r = 2 THEN mse END) OVER (PARTITION BY search) AS second FROM r) SELECT system, search, mse, round(mse - best, 6) AS gap, round(second - best, 6) AS lead FROM g")
 def leaderboard_gaps(spark, d):
     return leaderboard.gaps(_board(spark, d))
@@ -513,6 +519,12 @@ def stats_hosts(spark, d):
     return insights.shares(with_publisher(load(spark, d, "pages", ["url"])), "host", 5)
 
 
+@query("SELECT count(DISTINCT c_nationkey) AS n_distinct, (SELECT count(DISTINCT c_mktsegment) FROM customer) AS n_groups FROM customer")
+def stats_distinct_sketch(spark, d):
+    """Distinct nations over all market segments, out of one stored sketch a segment."""
+    return insights.merged_distinct(insights.distinct_sketches(load(spark, d, "customer"), "c_mktsegment", "c_nationkey"))
+
+
 @query(_shares_sql("source", "documents", 0.0))
 def stats_shares(spark, d):
     return insights.shares(load(spark, d, "documents", ["source"]), "source")
