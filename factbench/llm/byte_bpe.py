@@ -29,7 +29,7 @@ class ByteBpe(dict):
     It is itself the bounded memo of short pieces: looking up a missing piece encodes it.
     """
 
-    most, longest_kept = 300_000, 64
+    most, longest_kept = 120_000, 64
 
     def __init__(self, path: str, pattern: str):
         super().__init__()
@@ -94,7 +94,7 @@ class ByteBpe(dict):
         key = left << 32 | right
         known = self.beside.get(key)
         if known is None:
-            if len(self.beside) >= 500_000:
+            if len(self.beside) >= 200_000:
                 self.beside.clear()
             known = self.beside[key] = self._apart(left, right) if self.rising else self._merged(self.tokens[left] + self.tokens[right])[0] == [left, right]
         return known

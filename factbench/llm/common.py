@@ -156,7 +156,12 @@ def tidy() -> None:
 
 
 def text_slices(batches, place: int = 1, most: int = 8 << 20):
-    """Batches cut so that the texts in column ``place`` of each part add up to about ``most`` bytes."""
+    """Batches cut so that the texts in column ``place`` of each part add up to about ``most`` bytes.
+
+    Memory is given back before the first batch and after each, and hashes of words are forgotten at the end, as the
+    worker goes on to other work.
+    """
+    tidy()
     for batch in batches:
         ends = np.asarray(pa.compute.cumulative_sum(pa.compute.fill_null(pa.compute.binary_length(batch.column(place)), 0).cast(pa.int64())))
         start = 0
@@ -167,6 +172,8 @@ def text_slices(batches, place: int = 1, most: int = 8 << 20):
             start = stop
         del batch
         tidy()
+    _hashes.clear()
+    tidy()
 
 
 OWNED = "token long, owner long, owners array<long>"

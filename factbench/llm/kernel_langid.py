@@ -242,6 +242,7 @@ def predict(docs: DataFrame, model: LanguageModel | None, text: str = "text", pr
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         known, presence = shared.value, Presence()
+        tidy()
         for batch in batches:
             for at in range(0, batch.num_rows, 256):
                 part = batch.slice(at, 256)

@@ -9,7 +9,7 @@ from __future__ import annotations
 
 import math
 
-import pandas as pd
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
@@ -85,15 +85,15 @@ def mix(docs: DataFrame, size: str | Column, key: str = "doc_id", source: str =
     return both.drop("_mix", "_mix_source", "_mix_bucket")
 
 
-@F.pandas_udf(T.StringType())
-def _first_words(text: pd.Series, words: pd.Series) -> pd.Series:
+@F.arrow_udf(T.StringType())
+def _first_words(text: pa.Array, words: pa.Array) -> pa.Array:
     def cut(t: str, n: int) -> str:
         data, at = t.encode(), 0
         for word in data.split(None, int(n))[: int(n)]:
             at = data.index(word, at) + len(word)
         return data[:at].decode()
 
-    return pd.Series([cut(t, n) for t, n in zip(text, words, strict=True)], dtype=object)
+    return pa.array([cut(t, n) for t, n in zip(text.to_pylist(), words.to_pylist(), strict=True)], pa.string())
 
 
 def mixed_rows(docs: DataFrame, text: str = "text", key: str = "doc_id", source: str = "source", **options) -> DataFrame:
