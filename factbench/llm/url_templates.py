@@ -15,7 +15,7 @@ from pyspark.sql import functions as F
 from factbench.llm.common import settles, stored
 
 #: (host, path) that a rule names, and its verdict. Fixed values.
-RULES = (("com", "/en/", "block"), ("example.com", "/en/7", "allow"), ("net", "/de/", "block"), ("example.net", "/de/8", "block"), ("org", "/es/", "block"))
+RULES = (("com", "/en/", "block"), ("example.com", "/en/7", "allow"), ("net", "/de/", "allow"), ("example.net", "/de/8", "block"), ("org", "/es/", "block"))
 
 _PARTS = r"(?s)^.*?://([^/?#]*)([^?#]*)"
 
