@@ -38,6 +38,16 @@ def dedup(df: DataFrame, keys: list[str], ts: str, delay: str) -> DataFrame:
     return df.withWatermark(ts, delay).dropDuplicatesWithinWatermark(keys)
 
 
+def earliest(df: DataFrame, keys: list[str], ts: str, key: str) -> DataFrame:
+    """(keys, ``key``) of the first of equal reviews by time, the least ``key`` of several, in whatever order they arrive.
+
+    One row of state for each of the equal ones; an earlier row that comes late takes the place, so the output mode is
+    ``complete`` or ``update``. Rows without a time come last.
+    """
+    first = F.min(F.struct(F.col(ts).isNull().alias("_untimed"), F.col(ts).alias("_ts"), F.col(key).alias("_key")))
+    return df.groupBy(*keys).agg(first.alias("_first")).select(*keys, F.col("_first._key").alias(key))
+
+
 def volume(df: DataFrame, ts: str, width: str = "1 day", delay: str = "0 seconds") -> DataFrame:
     """Rows per tumbling window."""
     return df.withWatermark(ts, delay).groupBy(F.window(ts, width)).agg(F.count(F.lit(1)).alias("n")).select(F.col("window.start").alias("start"), "n")

@@ -7,6 +7,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from factbench.operators import ablate, cutoff, evidence, frames, humaneval, insights, leaderboard
+from factbench.plans import streams as plan_streams
 from factbench.plans import update
 from factbench.sources import derived
 from factbench.sources.io import load, write_split
@@ -181,3 +182,12 @@ def test_credible_stream(spark, tmp_path):
     listed = spark.createDataFrame([("x.org",)], "publisher string")
     streams.run_once(streams.credible(streams.files(spark, str(tmp_path / "in"), "publisher string, n int"), listed), str(tmp_path / "out"), str(tmp_path / "c4"))
     assert [r["n"] for r in spark.read.parquet(str(tmp_path / "out")).collect()] == [1]
+
+
+def test_first_of_equal_events_in_any_order_of_arrival(spark, tmp_path):
+    day = lambda n: datetime.datetime(2024, 1, 1) + datetime.timedelta(days=n)
+    late = [(1, day(9), 1, "view"), (2, day(4), 2, "view"), (3, None, 3, "view"), (4, day(5), 1, "click"), (9, day(2), 4, "view")]
+    early = [(5, day(3), 1, "view"), (6, day(4), 3, "view"), (7, day(800), 2, "view"), (8, day(2), 4, "view")]
+    for rows in (late, early):
+        spark.createDataFrame(rows, "event_id long, ts timestamp_ntz, user_id long, event_type string").coalesce(1).write.mode("append").parquet(str(tmp_path / "events.parquet"))
+    assert {r["event_id"] for r in plan_streams.stream_dedup(spark, str(tmp_path)).collect()} == {5, 2, 6, 4, 8}
