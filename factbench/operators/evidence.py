@@ -30,6 +30,24 @@ def admissible_within(claims: DataFrame, evidence: DataFrame, days: int) -> Data
     return met.filter((F.col("pub_ts") <= F.col("claim_ts")) & (F.col("pub_ts") > F.col("claim_ts") - F.make_dt_interval(days=F.lit(days))))
 
 
+def count_within(claims: DataFrame, evidence: DataFrame, days: int) -> DataFrame:
+    """(claim_id, n) of ``admissible_within`` for claims that have any, without making its pairs.
+
+    What was published up to a claim, less what was published up to ``days`` before it: running counts over both in one
+    sorted pass. Equal moments are combined before the shuffle, a day is sorted on its own, and counts of earlier days come
+    from one row a day.
+    """
+    ends = F.array(F.struct(F.col("claim_ts").alias("at"), F.lit(1).alias("sign")), F.struct((F.col("claim_ts") - F.make_dt_interval(days=F.lit(days))).alias("at"), F.lit(-1).alias("sign")))
+    asked = claims.filter("claim_ts is not null").select("claim_id", F.inline(ends)).withColumn("found", F.lit(0).cast("long"))
+    moments = evidence.filter("pub_ts is not null").groupBy(F.col("pub_ts").alias("at")).agg(F.count(F.lit(1)).alias("found"))
+    both = asked.unionByName(moments, allowMissingColumns=True).withColumn("_day", F.to_date("at"))
+    earlier = Window.orderBy("_day").rowsBetween(Window.unboundedPreceding, -1)
+    days_before = both.groupBy("_day").agg(F.sum("found").alias("_found")).select("_day", F.coalesce(F.sum("_found").over(earlier), F.lit(0)).alias("_before"))
+    within = Window.partitionBy("_day").orderBy("at", F.col("sign").isNotNull()).rowsBetween(Window.unboundedPreceding, 0)
+    seen = both.withColumn("_own", F.sum("found").over(within)).filter("sign is not null").join(days_before, "_day")
+    return seen.groupBy("claim_id").agg(F.sum(F.col("sign") * (F.col("_before") + F.col("_own"))).alias("n")).filter("n > 0")
+
+
 def newest(claims: DataFrame, evidence: DataFrame, key: str) -> DataFrame:
     """As-of: each claim with its newest admissible evidence. Both sides in one sorted pass, no pairs are made.
 

@@ -363,7 +363,7 @@ def evidence_lagged(spark, d):
 
 @query(f"WITH {DATED} SELECT claim_id, count(*) AS n FROM cl JOIN ev ON pub_ts <= claim_ts AND pub_ts > claim_ts - INTERVAL 1 DAY GROUP BY 1")
 def evidence_within_day(spark, d):
-    return evidence.admissible_within(*[x.drop("user_id") for x in _dated(spark, d)], days=1).groupBy("claim_id").agg(F.count(F.lit(1)).alias("n"))
+    return evidence.count_within(*[x.drop("user_id") for x in _dated(spark, d)], days=1)
 
 
 @query(f"WITH {DATED} SELECT claim_id, cl.user_id, claim_ts, arg_max(evidence_id, (pub_ts, evidence_id)) AS evidence_id, max(pub_ts) AS pub_ts FROM cl LEFT JOIN ev ON cl.user_id = ev.user_id AND pub_ts <= claim_ts GROUP BY 1, 2, 3")

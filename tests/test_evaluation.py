@@ -7,6 +7,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from factbench.operators import ablate, cutoff, evidence, frames, humaneval, insights, leaderboard
+from factbench.plans import evaluation as plan_evaluation
 from factbench.plans import streams as plan_streams
 from factbench.plans import update
 from factbench.sources import derived
@@ -184,6 +185,23 @@ def test_credible_stream(spark, tmp_path):
     assert [r["n"] for r in spark.read.parquet(str(tmp_path / "out")).collect()] == [1]
 
 
+def test_counts_within_are_those_of_pairs(spark):
+    at = lambda h, us=0: T0 + datetime.timedelta(hours=h, microseconds=us)
+    c = spark.createDataFrame([(1, at(0)), (2, at(24)), (3, at(24, -1)), (4, at(24, 1)), (5, at(500)), (6, None), (7, at(-900)), (2, at(30)), (8, at(12))], "claim_id long, claim_ts timestamp_ntz")
+    e = spark.createDataFrame([(i, t) for i, t in enumerate([at(0), at(0), at(0, 1), at(23), at(24), at(36), at(-3), None, at(499), at(-1000)])], "evidence_id long, pub_ts timestamp_ntz")
+    for days in (1, 3):
+        pairs = evidence.admissible_within(c, e, days).groupBy("claim_id").count().collect()
+        got = evidence.count_within(c, e, days)
+        assert {r["claim_id"]: r["n"] for r in got.collect()} == {r["claim_id"]: r["count"] for r in pairs} and got.count() == len(pairs)
+    assert evidence.count_within(c.limit(0), e, 1).count() == evidence.count_within(c, e.limit(0), 1).count() == 0
+
+
+def test_counting_within_a_day_makes_no_pairs(spark, small):
+    p = plan_evaluation.evidence_within_day(spark, small)._jdf.queryExecution().optimizedPlan().toString()
+    # the one join is to a row a day: claims and evidence meet in one sorted pass
+    assert p.count("Join ") == 1 and "Window" in p
+
+
 def test_first_of_equal_events_in_any_order_of_arrival(spark, tmp_path):
     day = lambda n: datetime.datetime(2024, 1, 1) + datetime.timedelta(days=n)
     late = [(1, day(9), 1, "view"), (2, day(4), 2, "view"), (3, None, 3, "view"), (4, day(5), 1, "click"), (9, day(2), 4, "view")]
