@@ -155,14 +155,15 @@ def known_runs(tables: list[tuple[str, bool, np.ndarray]], sizes: dict[str, int]
 
 
 def support_bound(whole: np.ndarray, shuffled: np.ndarray, lost: float = 0.005, way: float = 0.4, fewest: int = 8) -> float:
-    """A bound that lies ``way`` from the median of shuffled texts to what all but ``lost`` of the whole texts reach.
+    """A bound that lies ``way`` from the median of shuffled texts to what all but ``lost`` of the whole texts, or all but two, reach.
 
-    It errs to the side of keeping, as short texts with an address or a token have less support; a language whose
-    runs the learned ones share is above it. Fewer than ``fewest`` held-out texts set no bound (0).
+    Two, as ``lost`` of few texts is less than one, and a single text with a wrong label would set the bound. It errs to
+    the side of keeping, as short texts with an address or a token have less support; a language whose runs the learned
+    ones share is above it. Fewer than ``fewest`` held-out texts set no bound (0).
     """
     if len(whole) < fewest:
         return 0.0
-    high, low = np.quantile(whole, lost), np.median(shuffled)
+    high, low = np.quantile(whole, max(lost, 2 / (len(whole) - 1))), np.median(shuffled)
     return float(min(high, low + way * (high - low)))
 
 
